@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagquotient.llm import bpe, lines, quality, toxicity
+from dagquotient.llm import bpe, decontaminate, lines, quality, shards, spotsigs, toxicity, urls
 from dagquotient.llm.common import table
 
 
@@ -33,6 +33,16 @@ def op2_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op4_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urls.judge(table(spark, sf_dir, "pages", "page_id", "url"), [urls.rule(x) for x in RULES])
+
+
+def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, items = table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text")
+    found = decontaminate.report(docs, items, window=10)
+    return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
+
+
 def op7_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = lines.dedup(table(spark, sf_dir, "documents"), MIN_SITES)
     return out.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
@@ -44,6 +54,18 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _judged(toxicity.score(docs, model), _fold(3) == 1, 0.7)
 
 
+def op9_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shards.assign(table(spark, sf_dir, "documents", "doc_id", "text"), SHARD_BYTES).select("doc_id", "bytes", "shard", "shard_bytes")
+
+
+def op10_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spotsigs.edited(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+#: Fixed values of the contract: the explicit url rules.
+RULES = ("allow com/", "block example.com/en/", "allow www.example.com/en/", "block net/es/", "block net/fr/")
+#: The byte limit of a shard.
+SHARD_BYTES = 16 * 2**20
 #: Sites that a line must be on to count as boilerplate.
 MIN_SITES = 12
 
@@ -64,10 +86,42 @@ SELECT doc_id, count(*) AS n_lines, count(*) FILTER (WHERE gone) AS n_removed,
 FROM m GROUP BY doc_id
 """
 
+_WORDS_SQL = r"list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '')"
+
+LEAKS_SQL = f"""
+WITH d AS (SELECT doc_id, {_WORDS_SQL} AS w FROM documents),
+i AS (SELECT DISTINCT item_id, {_WORDS_SQL} AS w FROM benchmark),
+iw AS (
+  SELECT DISTINCT item_id, least(10, len(w)) AS n, array_to_string(w[p : p + least(10, len(w)) - 1], ' ') AS g
+  FROM (SELECT item_id, w, unnest(range(1, len(w) - least(10, len(w)) + 2)) AS p FROM i WHERE len(w) > 0)),
+sizes AS (SELECT DISTINCT n FROM iw),
+dw AS (
+  SELECT doc_id, n, p, array_to_string(w[p : p + n - 1], ' ') AS g
+  FROM (SELECT doc_id, w, n, unnest(range(1, len(w) - n + 2)) AS p FROM d, sizes WHERE len(w) >= n)),
+h AS (SELECT doc_id, item_id, p, dw.n FROM dw JOIN iw ON dw.g = iw.g AND dw.n = iw.n),
+c AS (SELECT doc_id, count(DISTINCT pos) AS n_hit FROM (SELECT doc_id, unnest(range(p, p + n)) AS pos FROM h) GROUP BY doc_id),
+s AS (SELECT doc_id, count(*) AS n_items, string_agg(x, ',' ORDER BY x) AS items FROM (SELECT DISTINCT doc_id, item_id::VARCHAR AS x FROM h) GROUP BY doc_id)
+SELECT d.doc_id, len(w) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items,
+       sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM d LEFT JOIN c USING (doc_id) LEFT JOIN s USING (doc_id)
+"""
+
+SHARDS_SQL = f"""
+WITH d AS (
+  SELECT doc_id, strlen(coalesce(text, '')) AS bytes,
+         ('0x' || substr(md5(concat_ws('|', doc_id::VARCHAR, text)), 1, 14))::BIGINT AS h FROM documents),
+x AS (SELECT doc_id, bytes, depth, h >> (56 - depth)::INT AS prefix FROM d, range(0, 57) r(depth)),
+s AS (SELECT depth, prefix, sum(bytes) AS total, count(*) AS n FROM x GROUP BY ALL),
+f AS (
+  SELECT x.doc_id, x.bytes, x.depth, x.prefix, total, row_number() OVER (PARTITION BY x.doc_id ORDER BY x.depth) AS rn
+  FROM x JOIN s USING (depth, prefix) WHERE total <= {SHARD_BYTES} OR n = 1)
+SELECT doc_id, bytes, depth || '-' || lower(to_hex(prefix)) || '-0' AS shard, total::BIGINT AS shard_bytes FROM f WHERE rn = 1
+"""
+
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality": op1_quality, "op2_bpe": op2_bpe, "op7_lines": op7_lines, "op8_toxicity": op8_toxicity}
+    return {"op1_quality": op1_quality, "op2_bpe": op2_bpe, "op4_urls": op4_urls, "op5_decontaminate": op5_decontaminate, "op7_lines": op7_lines, "op8_toxicity": op8_toxicity, "op9_shards": op9_shards, "op10_fingerprints": op10_fingerprints}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_lines": LINES_SQL}
+    return {"op5_decontaminate": LEAKS_SQL, "op7_lines": LINES_SQL, "op9_shards": SHARDS_SQL}
