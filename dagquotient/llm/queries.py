@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagquotient.llm import bpe, decontaminate, lines, quality, shards, spotsigs, toxicity, urls
+from dagquotient.llm import bpe, decontaminate, lines, ngram_join, quality, shards, spotsigs, toxicity, urls
 from dagquotient.llm.common import table
 
 
@@ -43,6 +43,10 @@ def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
 
 
+def op6_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.join(table(spark, sf_dir, "documents", "doc_id", "text"), n=3, percent=90)
+
+
 def op7_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = lines.dedup(table(spark, sf_dir, "documents"), MIN_SITES)
     return out.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
@@ -120,7 +124,7 @@ SELECT doc_id, bytes, depth || '-' || lower(to_hex(prefix)) || '-0' AS shard, to
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality": op1_quality, "op2_bpe": op2_bpe, "op4_urls": op4_urls, "op5_decontaminate": op5_decontaminate, "op7_lines": op7_lines, "op8_toxicity": op8_toxicity, "op9_shards": op9_shards, "op10_fingerprints": op10_fingerprints}
+    return {"op1_quality": op1_quality, "op2_bpe": op2_bpe, "op4_urls": op4_urls, "op5_decontaminate": op5_decontaminate, "op6_ngram_join": op6_ngram_join, "op7_lines": op7_lines, "op8_toxicity": op8_toxicity, "op9_shards": op9_shards, "op10_fingerprints": op10_fingerprints}
 
 
 def oracle_sql() -> dict[str, str]:
