@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagquotient.llm import bpe, decontaminate, lines, ngram_join, quality, shards, spotsigs, toxicity, urls
+from dagquotient.llm import bpe, decontaminate, lines, ngram_join, quality, shards, spotsigs, suffix, toxicity, urls
 from dagquotient.llm.common import table
 
 
@@ -33,6 +33,12 @@ def op2_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op3_suffix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = suffix.dedup(table(spark, sf_dir, "documents", "doc_id", "text"), length=200, first="goes")
+    removed = F.col("n_bytes") - F.octet_length("kept")
+    return out.select("doc_id", "n_bytes", removed.cast("long").alias("n_removed"), F.size("starts").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op4_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages", "page_id", "url"), [urls.rule(x) for x in RULES])
 
@@ -124,7 +130,7 @@ SELECT doc_id, bytes, depth || '-' || lower(to_hex(prefix)) || '-0' AS shard, to
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality": op1_quality, "op2_bpe": op2_bpe, "op4_urls": op4_urls, "op5_decontaminate": op5_decontaminate, "op6_ngram_join": op6_ngram_join, "op7_lines": op7_lines, "op8_toxicity": op8_toxicity, "op9_shards": op9_shards, "op10_fingerprints": op10_fingerprints}
+    return {"op1_quality": op1_quality, "op2_bpe": op2_bpe, "op3_suffix": op3_suffix, "op4_urls": op4_urls, "op5_decontaminate": op5_decontaminate, "op6_ngram_join": op6_ngram_join, "op7_lines": op7_lines, "op8_toxicity": op8_toxicity, "op9_shards": op9_shards, "op10_fingerprints": op10_fingerprints}
 
 
 def oracle_sql() -> dict[str, str]:
