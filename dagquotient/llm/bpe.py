@@ -171,11 +171,16 @@ def decode(encoded: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
     return _over(encoded.select("doc_id", "ids"), ranks_path, pattern, ["doc_id", "bytes"], [pa.int64(), pa.binary()], rows)
 
 
-def round_trip(docs: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256: each text encoded and decoded again, as digests."""
+def round_trip(docs: DataFrame, ranks_path: str, pattern: str, keep_ids: bool = False) -> DataFrame:
+    """doc_id, n_tokens, ids_sha256, decoded_sha256 (and ids): each text encoded and decoded again, as digests."""
 
     def rows(codec, ids, texts):
-        found = codec.encode_many([t or "" for t in texts])
-        return [(i, len(raw) // 4, hashlib.sha256(raw).hexdigest(), hashlib.sha256(codec.decode(np.frombuffer(raw, dtype="<u4"))).hexdigest()) for i, raw in zip(ids, found, strict=True)]
-
-    return _over(docs.select("doc_id", "text"), ranks_path, pattern, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"], [pa.int64(), pa.int64(), pa.string(), pa.string()], rows)
+        out = []
+        for i, raw in zip(ids, codec.encode_many([t or "" for t in texts]), strict=True):
+            found = np.frombuffer(raw, dtype="<u4")
+            row = (i, len(found), hashlib.sha256(raw).hexdigest(), hashlib.sha256(codec.decode(found)).hexdigest())
+            out.append((*row, found.astype(np.int32)) if keep_ids else row)
+        return out
+
+    names, kinds = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"], [pa.int64(), pa.int64(), pa.string(), pa.string()]
+    return _over(docs.select("doc_id", "text"), ranks_path, pattern, names + ["ids"] * keep_ids, kinds + [pa.list_(pa.int32())] * keep_ids, rows)
