@@ -22,7 +22,7 @@ def _mixed(*values):
 def random_dag(spark: SparkSession, n: int, degree: int = 4, labels: int = 8, seed: int = 0) -> LabeledDag:
     """``n`` nodes of ``labels`` labels; each but the first draws ``degree`` children of smaller ids (some alike)."""
     nodes = spark.range(n).select(F.col("id").alias("node_id"), F.concat(F.lit("l"), (_mixed(F.lit(seed), F.col("id")) % labels).cast("string")).alias("label"))
-    drawn = spark.range(1, n).select(F.col("id").alias("parent"), F.explode(F.sequence(F.lit(1), F.lit(degree))).cast("long").alias("k"))
+    drawn = spark.range(1, n).select(F.col("id").alias("parent"), F.explode(F.sequence(F.lit(1).cast("long"), F.lit(degree).cast("long"))).alias("k"))
     edges = drawn.select("parent", (_mixed(F.lit(seed + 1), F.col("parent"), F.col("k")) % F.col("parent")).alias("child")).distinct()
     return LabeledDag(nodes, edges)
 
