@@ -29,8 +29,9 @@ from pyspark.sql import functions as F
 
 from dagquotient.llm.common import cut, small
 
-#: Bytes of the strings whose hashes make anchors, bytes of a block of contexts, contexts of an anchor that a block may hold.
-GRAM, BLOCK, CROWD = 32, 1 << 20, 1500
+#: Bytes of the strings whose hashes make anchors, bytes of a block of contexts, contexts of an anchor that a
+#: block may hold, and windows of a piece of a context.
+GRAM, BLOCK, CROWD, RUN = 32, 1 << 20, 3000, 8
 _NO_ID = -(2**63)
 _MIX = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
 _PLACE = 28  # bits of a position; the rest of a key is hash
@@ -119,59 +120,83 @@ def _find(length: int):
 
 
 def suffix_ranks(text: np.ndarray, depth: int) -> list[tuple[int, np.ndarray]]:
-    """(k, rank of every suffix by its first k symbols), for k = 1, 2, 4, ... up to ``depth`` or more."""
-    rank = np.unique(text, return_inverse=True)[1].astype(np.int64)
-    out, k = [(1, rank)], 1
+    """(k, rank of every suffix by its first k symbols) for k = 1, 7, 14, 28, ... up to more than half of ``depth``.
+
+    Symbols are below 512, so the first seven fit one number; then lengths double. Suffixes that are alone with their
+    rank keep it and are not sorted again.
+    """
+    n = len(text)
+    packed = np.zeros(n, np.int64)
+    for k in range(7):
+        packed <<= 9
+        packed[: max(0, n - k)] += text[k:].astype(np.int64) + 1
+    order = np.argsort(packed)
+    new = np.concatenate([[True], packed[order][1:] != packed[order][:-1]])
+    start = np.maximum.accumulate(np.where(new, np.arange(n), 0))
+    rank = np.empty(n, np.int64)
+    rank[order] = start  # the rank of a group is the place of its first suffix
+    out, k = [(1, text.astype(np.int64)), (7, rank)], 7
     while k < depth:
-        ahead = np.zeros_like(rank)
-        ahead[:-k] = rank[k:] + 1
-        pair = rank * (len(rank) + 2) + ahead
-        order = np.argsort(pair, kind="stable")
-        step = np.concatenate([[0], np.cumsum(pair[order][1:] != pair[order][:-1])])
-        rank = np.empty_like(rank)
-        rank[order] = step
+        alone = new & np.append(new[1:], True)
+        at = np.flatnonzero(~alone)
+        rank = rank.copy()
+        if len(at):
+            held = order[at]
+            ahead = held + k
+            second = np.where(ahead < n, rank[np.minimum(ahead, n - 1)] + 1, 0)
+            key = start[at] * (n + 1) + second
+            by = np.argsort(key)
+            order = order.copy()
+            order[at] = held[by]
+            key = key[by]
+            new = new.copy()
+            new[at] = np.concatenate([[True], key[1:] != key[:-1]])
+            start = np.maximum.accumulate(np.where(new, np.arange(n), 0))
+            rank[order[at]] = start[at]
         k *= 2
         out.append((k, rank))
     return out
 
 
-def longest_previous_factor(text: np.ndarray, depth: int, later: bool = False) -> np.ndarray:
-    """For each suffix the longest match, as far as ``depth`` symbols, with one that begins earlier (or ``later``).
+def longest_factors(text: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each suffix the longest match, as far as ``depth`` symbols, with one that begins earlier, and with a later one.
 
     In suffix order the best earlier match of a suffix is its previous or its next neighbour that begins earlier.
     """
     ranks = suffix_ranks(text, depth)
     n = len(text)
     order = np.argsort(ranks[-1][1], kind="stable")
-    a, b, lcp = order[:-1].copy(), order[1:].copy(), np.zeros(n - 1, np.int64)
+    a, b, lcp = order[:-1].copy(), order[1:].copy(), np.zeros(max(0, n - 1), np.int64)
     for k, rank in reversed(ranks):
-        for _ in range(2 if (k, rank) is ranks[-1] else 1):
+        for _ in range(6 if k == 1 else 2 if (k, rank) is ranks[-1] else 1):
             ok = (a + k <= n) & (b + k <= n)
             same = np.zeros(len(a), bool)
             same[ok] = rank[a[ok]] == rank[b[ok]]
-            same &= lcp + k <= 2 * depth
             lcp += k * same
             a += k * same
             b += k * same
-    position = -order if later else order
-    best = np.zeros(n, np.int64)
-    for flip in (False, True):
-        p = position[::-1] if flip else position
-        link = np.concatenate([[0], lcp[::-1] if flip else lcp])  # match of a place in suffix order with the one before
-        to, low = np.arange(n) - 1, link.copy()
-        open_ = np.flatnonzero(to >= 0)
-        open_ = open_[p[to[open_]] > p[open_]]
-        while len(open_):  # jump over what begins later; whatever it has jumped over is jumped over with it
-            over = to[open_]
-            low[open_] = np.minimum(low[open_], low[over])
-            to[open_] = to[over]
-            open_ = open_[to[open_] >= 0]
+    lcp = np.minimum(lcp, depth)
+    out = []
+    for position in (order, -order):
+        best = np.zeros(n, np.int64)
+        for flip in (False, True):
+            p = position[::-1] if flip else position
+            low = np.concatenate([[0], lcp[::-1] if flip else lcp])[:n]  # match of a place in suffix order with the one before
+            to = np.arange(n) - 1
+            open_ = np.flatnonzero(to >= 0)
             open_ = open_[p[to[open_]] > p[open_]]
-        low[to < 0] = 0
-        got = np.empty(n, np.int64)
-        got[order[::-1] if flip else order] = low
-        best = np.maximum(best, got)
-    return np.minimum(best, depth)
+            while len(open_):  # jump over what begins later; whatever it has jumped over is jumped over with it
+                over = to[open_]
+                low[open_] = np.minimum(low[open_], low[over])
+                to[open_] = to[over]
+                open_ = open_[(to[open_] >= 0) & (low[open_] > 0)]
+                open_ = open_[p[to[open_]] > p[open_]]
+            low[to < 0] = 0
+            got = np.empty(n, np.int64)
+            got[order[::-1] if flip else order] = low
+            best = np.maximum(best, got)
+        out.append(best)
+    return out[0], out[1]
 
 
 def _runs(flags: np.ndarray) -> tuple[list[int], list[int]]:
@@ -188,9 +213,8 @@ def _match(length: int, every: bool):
         joined = np.frombuffer(b"\0".join(r["bytes"] for r in rows) + b"\0", np.uint8).astype(np.int16) + 1
         ends = np.cumsum([len(r["bytes"]) + 1 for r in rows])
         joined[ends - 1] = 0
-        match = longest_previous_factor(joined, length) >= length
-        if every:
-            match |= longest_previous_factor(joined, length, later=True) >= length
+        before, after = longest_factors(joined, length)
+        match = (before >= length) | ((after >= length) if every else False)
         out = [_runs(match[e - len(r["bytes"]) - 1 :][: r["n"]]) for r, e in zip(rows, ends.tolist(), strict=True)]
         return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in ("h", "c1", "c2")] + [pa.array([x[k] for x in out], pa.list_(pa.int32())) for k in (0, 1)], ["h", "c1", "c2", "starts", "ends"])
 
@@ -210,29 +234,91 @@ def _match(length: int, every: bool):
     return run
 
 
-def _windows(length: int):
+def _pieces(length: int):
+    """Every ``RUN`` windows of a context as one row: a hash of all their bytes."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
                 raw, n = row["bytes"], row["n"]
+                # runs are counted from the anchor, so that equal windows of two contexts fall into equal runs
+                low = row["o"] % RUN - RUN if row["o"] % RUN else 0
+                out = []
+                for k in range(low, n, RUN):
+                    first, last = max(k, 0), min(k + RUN, n)
+                    whole = raw[first : last - 1 + length]
+                    place = b"%d %d %d " % (row["o"] - k, first - k, last - first)
+                    out.append((first, last, hashlib.blake2b(place + whole, digest_size=16).digest(), raw[first : last - 1 + length]))
+                size = len(out)
+                w = np.frombuffer(b"".join(x[2] for x in out), np.int64).reshape(-1, 2)
+                fixed = [pa.array(np.full(size, row[k]), pa.int32() if k == "s" else pa.int64()) for k in ("h", "c1", "c2", "d", "th", "s")]
+                yield pa.RecordBatch.from_arrays([*fixed, pa.array([x[0] for x in out], pa.int32()), pa.array([x[1] for x in out], pa.int32()), _long(w[:, 0]), _long(w[:, 1]), pa.array([x[3] for x in out], pa.binary())], ["h", "c1", "c2", "d", "th", "s", "a", "b", "p1", "p2", "bytes"])
+
+    return run
+
+
+def _windows(length: int):
+    """The windows of the given pieces, one row each."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                raw, n = row["bytes"], row["b"] - row["a"]
                 w = np.frombuffer(b"".join(hashlib.blake2b(raw[k : k + length], digest_size=16).digest() for k in range(n)), np.int64).reshape(-1, 2)
                 fixed = [pa.array(np.full(n, row[k]), pa.int32() if k == "s" else pa.int64()) for k in ("h", "c1", "c2", "d", "th", "s")]
-                yield pa.RecordBatch.from_arrays([*fixed, pa.array(np.arange(n, dtype=np.int32)), _long(w[:, 0]), _long(w[:, 1])], ["h", "c1", "c2", "d", "th", "s", "k", "w1", "w2"])
+                yield pa.RecordBatch.from_arrays([*fixed, pa.array(np.arange(row["a"], row["b"], dtype=np.int32)), _long(w[:, 0]), _long(w[:, 1]), pa.array(np.full(n, row["times"]), pa.int64())], ["h", "c1", "c2", "d", "th", "s", "k", "w1", "w2", "times"])
 
     return run
 
 
+def _crowded(texts: DataFrame, length: int, every: bool) -> DataFrame:
+    """h, c1, c2, starts, ends for anchors of very many contexts, by hashes of pieces and then of windows.
+
+    Equal pieces become one, with a count: all windows of a piece that several contexts have are repeated. What is
+    left, one piece of each kind, is taken apart into windows.
+    """
+    key, at = ["h", "c1", "c2"], F.struct("d", "th", "s")
+    pieces = cut(texts.mapInArrow(_pieces(length), "h long, c1 long, c2 long, d long, th long, s int, a int, b int, p1 long, p2 long, bytes binary"))
+    kinds = cut(pieces.groupBy("h", "p1", "p2").agg(F.count("*").alias("times"), F.min(at).alias("first")))
+    one = pieces.join(kinds, ["h", "p1", "p2"]).where(at == F.col("first"))
+    windows = cut(one.mapInArrow(_windows(length), "h long, c1 long, c2 long, d long, th long, s int, k int, w1 long, w2 long, times long"))
+    again = cut(windows.groupBy("h", "w1", "w2").agg(F.sum("times").alias("all"), F.min(at).alias("first")).where("all > 1"))
+    hits = windows.join(again, ["h", "w1", "w2"]).where(F.lit(every) | (at != F.col("first"))).select(*key, F.col("k").alias("a"), (F.col("k") + 1).alias("b"))
+    copies = pieces.join(kinds.where("times > 1"), ["h", "p1", "p2"]).where(F.lit(every) | (at != F.col("first"))).select(*key, "a", "b")
+    found = hits.union(copies).groupBy(*key).agg(F.collect_set(F.struct("a", "b")).alias("x"))
+    return found.select(*key, F.col("x.a").alias("starts"), F.col("x.b").alias("ends"))
+
+
+def _alike(texts: DataFrame) -> DataFrame:
+    """Contexts that share half a window's reach beside the anchor, on either side, with another of their anchor.
+
+    Two contexts with a window in common do: of its bytes beside the anchor at least half are on one side.
+    """
+    out = texts
+    for side in ("left", "right"):
+        pair = cut(texts.where(F.col(side).isNotNull()).groupBy("h", side).agg(F.count("*").alias("n")).where("n > 1").select("h", side, F.lit(True).alias(f"has_{side}")))
+        out = out.join(small(pair, pair.count()), ["h", side], "left")
+    return cut(out.where("has_left OR has_right").drop("left", "right", "has_left", "has_right"))
+
+
 def _cut_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The bytes of the wanted contexts of each text."""
     for batch in batches:
         for raw, wanted in zip(batch.column("raw"), batch.column("wanted").to_pylist(), strict=True):
             text = memoryview(raw.as_buffer())
             for x in wanted:
-                x["bytes"] = bytes(text[x["s"] : x["s"] + x["size"]])
+                own = x["bytes"] = bytes(text[x["s"] : x["s"] + x["size"]])
+                at, end = x["o"] - x["side"], x["o"] + GRAM
+                x["left"] = _short_hash(own[at : x["o"]]) if at >= 0 else None
+                x["right"] = _short_hash(own[end : end + x["side"]]) if end + x["side"] <= len(own) else None
             yield pa.RecordBatch.from_pylist(wanted, schema=_WANTED)
 
 
-_WANTED = pa.schema([(k, pa.int64()) for k in ("h", "c1", "c2", "d", "th")] + [("s", pa.int32()), ("n", pa.int32()), ("crowd", pa.bool_()), ("bytes", pa.binary())])
+def _short_hash(part: bytes) -> int:
+    return int.from_bytes(hashlib.blake2b(part, digest_size=8).digest(), "little", signed=True)
+
+
+_WANTED = pa.schema([(k, pa.int64()) for k in ("h", "c1", "c2", "d", "th", "left", "right")] + [("s", pa.int32()), ("n", pa.int32()), ("o", pa.int32()), ("bytes", pa.binary())])
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
@@ -250,23 +336,20 @@ def repeats(docs: DataFrame, length: int = 200, first: str = "goes") -> DataFram
     shared = cut(found.groupBy("h").agg(F.count("*").alias("times")).where("times > 1").select("h"))
     found = cut(found.join(small(shared, shared.count()), "h"))
     key = ["h", "c1", "c2"]
-    kinds = cut(found.groupBy(*key).agg(F.count("*").alias("times"), F.min(F.struct("d", "th", "s")).alias("at"), F.first("n").alias("n")))
-    anchors = cut(kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("times").alias("least")).where((F.col("kinds") > 1) & ((F.col("least") < 2) | F.lit(not every))).select("h", (F.col("kinds") > CROWD).alias("crowd")))
+    kinds = cut(found.groupBy(*key).agg(F.count("*").alias("times"), F.min(F.struct("d", "th", "s")).alias("at"), F.first("n").alias("n"), F.first("o").alias("o")))
+    anchors = cut(kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("times").alias("least")).where((F.col("kinds") > 1) & ((F.col("least") < 2) | F.lit(not every))).select("h"))
     open_ = kinds.join(small(anchors, anchors.count()), "h")
-    open_ = cut(open_.select(*key, "at.d", "at.th", "at.s", "n", "crowd", (F.col("n") + (length - 1)).alias("size")))
-    wanted = open_.groupBy("d", "th").agg(F.collect_list(F.struct(*key, "d", "th", "s", "n", "crowd", "size")).alias("wanted"))
+    open_ = cut(open_.select(*key, "at.d", "at.th", "at.s", "n", "o", (F.col("n") + (length - 1)).alias("size"), F.lit(-(-(length - GRAM) // 2)).alias("side")))
+    wanted = open_.groupBy("d", "th").agg(F.collect_list(F.struct(*key, "d", "th", "s", "n", "o", "size", "side")).alias("wanted"))
     # repeated rows would give the bytes of a context several times: one row of them is enough
-    texts = keyed.select("d", "th", "raw").join(small(wanted, open_.count()), ["d", "th"]).mapInArrow(_cut_out, "h long, c1 long, c2 long, d long, th long, s int, n int, crowd boolean, bytes binary")
-    texts = cut(texts.dropDuplicates([*key]))
+    texts = keyed.select("d", "th", "raw").join(small(wanted, open_.count()), ["d", "th"]).mapInArrow(_cut_out, "h long, c1 long, c2 long, d long, th long, left long, right long, s int, n int, o int, bytes binary")
+    texts = _alike(cut(texts.dropDuplicates([*key])))
+    crowds = cut(texts.groupBy("h").agg(F.count("*").alias("kinds")).where(F.col("kinds") > CROWD).select("h"))
+    n_crowds = crowds.count()
     schema = "h long, c1 long, c2 long, starts array<int>, ends array<int>"
-    solved = texts.where("NOT crowd").repartition("h").sortWithinPartitions("h").mapInArrow(_match(length, every), schema)
-    crowd = texts.where("crowd")
-    if not crowd.isEmpty():
-        windows = cut(crowd.mapInArrow(_windows(length), "h long, c1 long, c2 long, d long, th long, s int, k int, w1 long, w2 long"))
-        again = cut(windows.groupBy("h", "w1", "w2").agg(F.count("*").alias("times"), F.min(F.struct("d", "th", "s")).alias("at")).where("times > 1"))
-        hits = windows.join(again, ["h", "w1", "w2"]).where(F.lit(every) | (F.struct("d", "th", "s") != F.col("at")))
-        hits = hits.groupBy(*key).agg(F.array_sort(F.collect_set("k")).alias("starts"))
-        solved = solved.union(hits.select(*key, "starts", F.transform("starts", lambda k: k + 1).alias("ends")))
+    solved = texts.join(small(crowds, n_crowds), "h", "left_anti").repartition("h").sortWithinPartitions("h").mapInArrow(_match(length, every), schema)
+    if n_crowds:
+        solved = solved.union(_crowded(texts.join(small(crowds, n_crowds), "h", "left_semi"), length, every))
     solved = cut(solved)
     parts = solved.select(*key, F.explode(F.arrays_zip("starts", "ends")).alias("x")).select(*key, F.col("x.starts").alias("a"), F.col("x.ends").alias("b"))
     inside = found.select(*key, "d", "th", "s").join(cut(parts), key)
