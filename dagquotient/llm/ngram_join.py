@@ -3,16 +3,17 @@
 Documents are rows, word n-grams columns of an incidence matrix; the product of the matrix with its transpose holds
 the overlaps. It is not formed as a whole:
 
-* equal sets collapse into one class (they are linked anyway);
-* a pair that is similar enough shares an n-gram among the first few of each set in any fixed order, as many as the
-  threshold leaves room for. A first pass in hash order leaves out classes that share none of theirs;
-* for the rest the order is by rarity (a heavy-hitter sketch over all of them, as only common n-grams matter), and every
-  n-gram that several classes have in front gives a list of classes. Lists of equal membership are worked on once;
-* a list is cut into blocks of bounded rows and entries. Within a block overlaps are accumulated column by column,
-  pairs below the bounds that their sizes imply are discarded, and what is linked is passed on as stars, so that a
-  group of near copies gives as many links as it has members and not all of its pairs;
-* lists of several blocks first have their most typical class in each of them. Only lists that still hold several
-  components are then worked on block against block.
+* equal sets are one class (they are linked anyway);
+* n-grams are ordered by rarity (a heavy-hitter sketch over all documents, as only common ones matter). Two sets of
+  which ``percent`` must be common share at least k n-grams among the first ones of each, for any k, if these are taken
+  k - 1 further; k grows with the set. An n-gram that several classes have in front gives a list of classes;
+* over short lists the product is accumulated pair by pair; pairs of unlike sizes or with fewer than k in common are
+  discarded, the rest is compared in full;
+* longer lists, one of each membership, are cut into blocks of bounded rows and entries. Within a block overlaps are
+  accumulated column by column, pairs below the bounds that their sizes imply are discarded, and what is linked is
+  passed on as stars, so that a group of near copies gives as many links as it has members and not all of its pairs;
+* lists of several blocks have their most typical class in each of them. Classes that are not connected with it then
+  meet all blocks of the list.
 
 The outcome is exact: components over all links. Sets are compared by 64-bit hashes of n-grams.
 
@@ -36,7 +37,10 @@ from dagquotient.llm.components import components
 #: What parts words (fixed by the contract).
 GAPS = r"[\x20\x09-\x0D]+"
 #: Rows and entries of a block, and n-grams that the sketch of common ones keeps: they are ordered last.
-BLOCK_ROWS, BLOCK_ENTRIES, COMMON = 256, 2_000_000, 200_000
+BLOCK_ROWS, BLOCK_ENTRIES, COMMON = 256, 2_000_000, 500_000
+#: Classes of a list whose pairs are accumulated one by one.
+SHORT = 16
+_NO_ID = -(2**63)
 
 
 def sets(text: Column, n: int) -> Column:
@@ -50,20 +54,25 @@ def sets(text: Column, n: int) -> Column:
     return F.sort_array(F.array_distinct(let(F.filter(F.split(lowered, GAPS), lambda x: x != ""), grams)))
 
 
-def _front(size, percent: int):
-    """How many of a set's elements must be looked at: one more than may be missing from the other set."""
-    return size - (size * percent + 99) // 100 + 1
+def _least(size):
+    """k: n-grams that two sets must share in front; ``size`` is that of the smaller one."""
+    return 1 + size // 100
 
 
-def _common(classes: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes (sorted) and counts of the most common n-grams: at most ``COMMON`` of them."""
+def _front(size: int, percent: int) -> int:
+    """How many of a set's n-grams are in front: k more than may be missing from the other set."""
+    return size - (size * percent + 99) // 100 + _least(size)
+
+
+def _common(rows: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes (sorted) and counts of the most common n-grams of ``s``: at most ``COMMON`` of them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept: list[np.ndarray] = []
 
         def out() -> pa.RecordBatch:
             values, counts = np.unique(np.concatenate(kept), return_counts=True)
-            often = counts >= 4
+            often = counts >= 2
             return pa.RecordBatch.from_arrays([pa.array(values[often]), pa.array(counts[often])], ["h", "df"])
 
         for batch in batches:
@@ -74,32 +83,35 @@ def _common(classes: DataFrame) -> tuple[np.ndarray, np.ndarray]:
         if kept:
             yield out()
 
-    found = classes.select("s").mapInArrow(run, "h long, df long").groupBy("h").agg(F.sum("df").alias("df")).orderBy(F.desc("df"), "h").limit(COMMON).toPandas()
+    found = rows.select("s").mapInArrow(run, "h long, df long").groupBy("h").agg(F.sum("df").alias("df")).orderBy(F.desc("df"), "h").limit(COMMON).toPandas()
     found = found.sort_values("h")
     return found["h"].to_numpy(np.int64), found["df"].to_numpy(np.int64)
 
 
-def _postings(classes: DataFrame, percent: int) -> DataFrame:
-    """h, cid, n, common: the rarest n-grams of every class, and which share of its n-grams is common."""
-    keys, counts = _common(classes)
+def _fronts(rows: DataFrame, percent: int) -> DataFrame:
+    """doc_id, th, cid, n, front, common: the n-grams in front of every set, and how common its n-grams are on the whole.
+
+    ``rows``: doc_id, th, cid, s. Sets are not kept: they are two to three times as large as the texts.
+    """
+    keys, counts = (rows.sparkSession.sparkContext.broadcast(x) for x in _common(rows))  # ``COMMON`` numbers each
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common, df_of = keys.value, counts.value
         for batch in batches:
-            cids, h, ids, sizes, share = batch.column(0).to_numpy(), [], [], [], []
-            for k, cid in enumerate(cids):
-                s = batch.column(1)[k].values.to_numpy()
-                at = np.searchsorted(keys, s)
-                at[at == len(keys)] = 0
-                df = np.where(keys[at] == s, counts[at], 0) if len(keys) else np.zeros(len(s), np.int64)
-                front = s[np.lexsort((s, df))[: _front(len(s), percent)]]
-                h.append(front)
-                ids.append(np.full(len(front), cid))
-                sizes.append(np.full(len(front), len(s)))
-                share.append(np.full(len(front), np.log1p(df).mean()))
-            if h:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (h, ids, sizes, share)], ["h", "cid", "n", "common"])
-
-    return classes.select("cid", "s").mapInArrow(run, "h long, cid long, n long, common double")
+            fronts, sizes, share = [], [], []
+            for cell in batch.column("s"):
+                s = cell.values.to_numpy()
+                at = np.searchsorted(common, s)
+                at[at == len(common)] = 0
+                df = np.where(common[at] == s, df_of[at], 0) if len(common) else np.zeros(len(s), np.int64)
+                fronts.append(s[np.lexsort((s, df))[: _front(len(s), percent)]] if len(s) else s)
+                sizes.append(len(s))
+                share.append(float(np.log1p(df).mean()) if len(s) else 0.0)
+            if fronts:
+                kept = [batch.column(c) for c in ("doc_id", "th", "cid")]
+                yield pa.RecordBatch.from_arrays([*kept, pa.array(sizes, pa.int64()), pa.array(fronts, pa.list_(pa.int64())), pa.array(share)], ["doc_id", "th", "cid", "n", "front", "common"])
+
+    return rows.mapInArrow(run, "doc_id long, th long, cid long, n long, front array<long>, common double")
 
 
 def overlaps(which: np.ndarray, values: np.ndarray, rows: int) -> np.ndarray:
@@ -160,32 +172,70 @@ def _links(percent: int):
     return run
 
 
+def _pairs(short: DataFrame, percent: int) -> DataFrame:
+    """a, b: pairs of classes of like sizes that share enough in front, from short lists."""
+    held = short.groupBy("h").agg(F.array_sort(F.collect_list(F.struct("cid", "n"))).alias("x"))
+
+    def later(x: Column, i: Column) -> Column:
+        like = F.filter(F.slice("x", i + 2, SHORT), lambda y: (100 * F.least(x["n"], y["n"]) >= percent * F.greatest(x["n"], y["n"])))
+        return F.transform(like, lambda y: F.struct(x["cid"].alias("a"), y["cid"].alias("b"), _sql_least(F.least(x["n"], y["n"])).alias("k")))
+
+    pairs = held.select(F.explode(F.flatten(F.transform("x", later))).alias("p")).select("p.a", "p.b", "p.k")
+    return pairs.groupBy("a", "b").agg(F.count("*").alias("common"), F.first("k").alias("k")).where("common >= k").select("a", "b")
+
+
+def _sql_least(size: Column) -> Column:
+    return F.floor(size / 100) + 1
+
+
+def _compared(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """The pairs that are linked, by their whole sets."""
+    sides = [classes.select(F.col("cid").alias(k), F.col("s").alias(f"s{k}")) for k in "ab"]
+    both = pairs.join(sides[0], "a").join(sides[1], "b")
+    both = both.select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("common"), (F.size("sa") + F.size("sb")).alias("total"))
+    return both.where(100 * F.col("common") >= percent * (F.col("total") - F.col("common"))).select("a", "b")
+
+
 def _work(blocks: DataFrame, keys: list[str], classes: DataFrame, percent: int) -> DataFrame:
     rows = blocks.select(*keys, "cid").join(classes.select("cid", "s"), "cid")
     return rows.groupBy(*keys).applyInArrow(_links(percent), "a long, b long")
 
 
-def _class_links(classes: DataFrame, percent: int) -> DataFrame:
-    """a, b: links between classes, enough of them to connect whatever is connected."""
-    postings = cut(_postings(classes, percent))
+def _class_links(rows: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
+    """a, b: links between classes, enough of them to connect whatever is connected; ``rows``: what ``_fronts`` gives."""
+    rows = rows.where("n > 0")
+    postings = rows.select("cid", "n", "common", F.explode("front").alias("h"))
+    shared = cut(postings.groupBy("h").agg(F.min("cid").alias("least"), F.max("cid").alias("most")).where("least <> most").select("h"))
+    postings = cut(postings.join(small(shared, shared.count()), "h").dropDuplicates(["h", "cid"]))
     mixed = F.xxhash64("cid")
-    lists = postings.groupBy("h").agg(F.count("*").alias("m"), F.sum("n").alias("entries"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y"), F.max(F.struct("common", "cid")).alias("typical")).where("m > 1")
-    lists = cut(lists.groupBy("m", "x", "y").agg(F.min("h").alias("h"), F.min("entries").alias("entries"), F.min("typical").alias("typical")))
+    lists = cut(postings.groupBy("h").agg(F.count("*").alias("m"), F.sum("n").alias("entries"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y"), F.max(F.struct("common", "cid")).alias("typical")))
+    brief, long_ = lists.where(F.col("m") <= SHORT).select("h"), lists.where(F.col("m") > SHORT)
+    pairs = cut(_pairs(postings.join(small(brief, brief.count()), "h", "left_semi"), percent))
+
+    long_ = long_.groupBy("m", "x", "y").agg(F.min("h").alias("h"), F.min("entries").alias("entries"), F.min("typical").alias("typical"))
     blocks = F.greatest(F.ceil(F.col("m") / BLOCK_ROWS), F.ceil(F.col("entries") / BLOCK_ENTRIES)).cast("long")
-    lists = lists.select("h", blocks.alias("blocks"), F.col("typical.cid").alias("typical"))
-    members = postings.join(small(lists, lists.count()), "h").select("h", "cid", "blocks", F.pmod(F.xxhash64("cid", "h"), "blocks").alias("block"))
-    centres = lists.where("blocks > 1").select("h", F.col("typical").alias("cid"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"))
-    found = cut(_work(members.select("h", "block", "cid").union(centres.select("h", "block", "cid")), ["h", "block"], classes, percent))
+    long_ = cut(long_.select("h", blocks.alias("blocks"), F.col("typical.cid").alias("typical")))
+    n_long = long_.count()
+    members = cut(postings.join(small(long_, n_long), "h").select("h", "cid", "blocks", F.pmod(F.xxhash64("cid", "h"), "blocks").alias("block")))
+
+    asked = cut(pairs.select(F.explode(F.array("a", "b")).alias("cid")).union(members.select("cid")).distinct())
+    # one text of each class that is asked for; its set is made anew
+    who = rows.select("cid", F.coalesce("doc_id", F.lit(_NO_ID)).alias("d"), "th").join(small(asked, asked.count()), "cid", "left_semi")
+    who = cut(who.groupBy("cid").agg(F.min(F.struct("d", "th")).alias("x")).select("cid", "x.d", "x.th"))
+    texts = docs.select(F.coalesce("doc_id", F.lit(_NO_ID)).alias("d"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
+    classes = cut(texts.join(small(who, who.count()), ["d", "th"]).select("cid", sets(F.col("text"), n).alias("s")))
+    centres = long_.where("blocks > 1").select("h", F.col("typical").alias("cid"), F.explode(F.expr("sequence(0, blocks - 1)")).alias("block"))
+    found = _compared(pairs, classes, percent).union(_work(members.select("h", "block", "cid").union(centres.select("h", "block", "cid")), ["h", "block"], classes, percent))
+    found = cut(found)
     wide = members.where("blocks > 1")
     if wide.isEmpty():
         return found
     root = components(found)
     wide = wide.join(root.withColumnRenamed("node", "cid"), "cid", "left").withColumn("root", F.coalesce("root", "cid"))
-    main = lists.join(root.withColumnRenamed("node", "typical"), "typical", "left").select("h", F.coalesce("root", "typical").alias("main"))
-    wide = cut(wide.join(small(main, lists.count()), "h").withColumn("apart", F.col("root") != F.col("main")))
+    main = cut(long_.join(root.withColumnRenamed("node", "typical"), "typical", "left").select("h", F.coalesce("root", "typical").alias("main")))
+    wide = cut(wide.join(small(main, n_long), "h").withColumn("apart", F.col("root") != F.col("main")))
     # what isn't with the typical class yet meets every block of its list, itself in blocks
-    open_ = wide.where("apart").groupBy("h").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("long").alias("groups"))
-    open_ = cut(open_)
+    open_ = cut(wide.where("apart").groupBy("h").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("long").alias("groups")))
     wide = wide.join(small(open_, open_.count()), "h").withColumn("group", F.pmod(F.xxhash64("h", "cid"), "groups"))
     own = wide.select("h", "cid", F.col("block").alias("i"), F.explode(F.expr("sequence(0, groups - 1)")).alias("j"))
     visits = wide.where("apart").select("h", "cid", F.explode(F.expr("sequence(0, blocks - 1)")).alias("i"), F.col("group").alias("j"))
@@ -198,38 +248,23 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     Documents are linked if 100 * intersection >= percent * union of their sets of word ``n``-grams; component_id is
     the smallest doc_id of all that links reach.
     """
-    text = F.coalesce("text", F.lit(""))
-    rows = docs.select("doc_id", F.xxhash64(text).alias("th"), let(sets(F.col("text"), n), lambda s: F.struct(F.size(s).cast("long").alias("n"), F.xxhash64(s).alias("cid"), F.slice(s, 1, _sql_front(F.size(s), percent)).alias("front"))).alias("x"))
-    rows = cut(rows.select("doc_id", "th", "x.*"))
-    fronts = rows.where("n > 0").select("cid", F.explode("front").alias("h"))
-    shared = cut(fronts.groupBy("h").agg(F.min("cid").alias("least"), F.max("cid").alias("most")).where("least <> most").select("h"))
-    open_ = fronts.join(small(shared, shared.count()), "h", "left_semi").select("cid").distinct()
-    open_ = cut(open_)  # a class may hold a third of all rows: as a table of its own its join can be split
-    texts = cut(rows.where("n > 0").select("cid", "th").join(open_, "cid", "left_semi").groupBy("cid").agg(F.min("th").alias("th")))
-    classes = docs.select(F.xxhash64(text).alias("th"), "text").join(small(texts, texts.count()), "th")
-    classes = cut(classes.select("cid", sets(F.col("text"), n).alias("s")).dropDuplicates(["cid"]))
-    root = components(_class_links(classes, percent)).select(F.col("node").alias("cid"), "root")
-    names = rows.where("n > 0").groupBy("cid").agg(F.min("doc_id").alias("least")).join(root, "cid", "left")
-    names = cut(names.select("cid", F.coalesce("root", "cid").alias("root"), "least"))
+    rows = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), sets(F.col("text"), n).alias("s"))
+    rows = cut(_fronts(rows.select("doc_id", "th", F.xxhash64("s").alias("cid"), "s"), percent))
+    root = components(_class_links(rows, docs, n, percent)).select(F.col("node").alias("cid"), "root")
+    names = rows.where("n > 0").groupBy("cid").agg(F.min("doc_id").alias("least"))
+    names = cut(cut(names).join(root, "cid", "left").select("cid", F.coalesce("root", "cid").alias("root"), "least"))
     least = cut(names.groupBy("root").agg(F.min("least").alias("component_id")))
-    named = names.join(small(least, least.count()), "root").select("cid", "component_id")
+    named = cut(names.join(small(least, least.count()), "root").select("cid", "component_id"))
     out = rows.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("cid")).alias("cid")).join(named, "cid", "left")
     return out.select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
-def _sql_front(size: Column, percent: int) -> Column:
-    return (size - F.floor((size * percent + 99) / 100) + 1).cast("int")
-
-
 def dedup(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of ``docs`` whose doc_id is the smallest of their component; repeated rows of it all but one go."""
-    keep = join(docs, n, percent).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
-    first = F.row_number().over(_per_id())
-    kept = docs.join(keep.where("doc_id IS NOT NULL"), "doc_id", "left_semi").withColumn("_nth", first).where("_nth = 1")
+    """The rows of ``docs`` whose doc_id is the smallest of their component; of repeated ids one row stays."""
+    first = cut(join(docs, n, percent).where("doc_id = component_id").select("doc_id"))
+    keep = first.distinct()
+    n_keep = keep.count()
+    kept = docs.join(small(keep, n_keep), "doc_id", "left_semi")
+    if first.count() > n_keep:  # ids that several rows have
+        kept = kept.dropDuplicates(["doc_id"])
     return kept.select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))
-
-
-def _per_id():
-    from pyspark.sql.window import Window
-
-    return Window.partitionBy("doc_id").orderBy(F.xxhash64("text"))
