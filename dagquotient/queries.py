@@ -89,7 +89,7 @@ def _tree(f) -> Query:
     return lambda spark, d: f(cut(fixtures.page_trees(spark, d)))
 
 
-add("pages_tree_nodes", _tree(lambda t: t.select("node_id", "parent", F.col("depth").cast("long").alias("depth"), "label")), f"{O.page_ctes()} SELECT node_id, parent, depth, label FROM t")
+add("pages_tree_nodes", _tree(lambda t: t.select("node_id", F.coalesce("parent", F.lit(-1)).alias("parent"), F.col("depth").cast("long").alias("depth"), "label")), f"{O.page_ctes()} SELECT node_id, coalesce(parent, -1) AS parent, depth, label FROM t")
 add("pages_tree_levels", lambda spark, d: tree.levels(fixtures.page_tags(spark, d))[0].select("node_id", F.col("depth").cast("long").alias("depth"), "id_on_level"), f"{O.page_ctes()} SELECT node_id, depth, row_number() OVER (PARTITION BY doc, depth ORDER BY node_id) - 1 AS id_on_level FROM t")
 _levels = "l AS (SELECT doc, node_id, parent, depth, row_number() OVER (PARTITION BY doc, depth ORDER BY node_id) - 1 AS k FROM t)"
 add("pages_tree_edges", lambda spark, d: tree.levels(fixtures.page_tags(spark, d))[1].select("doc_id", F.col("parent_depth").cast("long").alias("parent_depth"), "parent_id", "child_id"), f"{O.page_ctes()}, {_levels} SELECT c.doc AS doc_id, p.depth AS parent_depth, p.k AS parent_id, c.k AS child_id FROM l c JOIN l p ON p.node_id = c.parent")
@@ -206,7 +206,7 @@ add("twig_query_pages", _twig, f"{_pages} SELECT DISTINCT b.node_id FROM n a JOI
 add("dense_dag_edges", lambda spark, d: generate.dense_dag(spark, 200, 10).edges, "SELECT p AS parent, c AS child FROM range(200) x(p), range(200) y(c) WHERE c < p AND (p * 7919 + c * 104729) % 1000 < 100")
 _mix = lambda *v: "((" + __import__("functools").reduce(lambda x, y: f"((({x} + {y}) % 2147483648) * 1103515245 + 12345) % 2147483648", v, "0::BIGINT") + " * 1103515245 + 12345) % 2147483648) // 16"
 add("random_dag_edges", lambda spark, d: generate.random_dag(spark, 2000).edges, f"SELECT DISTINCT parent, {_mix('1', 'parent', 'k')} % parent AS child FROM range(1, 2000) x(parent), range(1, 5) y(k)")
-add("random_tree", lambda spark, d: generate.random_tree(spark, 3000).select("node_id", "parent", F.col("depth").cast("long").alias("depth")), "WITH RECURSIVE t(node_id, parent, depth) AS (SELECT 0::BIGINT, NULL::BIGINT, 0::BIGINT UNION ALL SELECT 3 * node_id + k, node_id, depth + 1 FROM t, range(1, 4) y(k) WHERE 3 * node_id + k < 3000) SELECT * FROM t")
+add("random_tree", lambda spark, d: generate.random_tree(spark, 3000).select("node_id", F.coalesce("parent", F.lit(-1)).cast("long").alias("parent"), F.col("depth").cast("long").alias("depth")), "WITH RECURSIVE t(node_id, parent, depth) AS (SELECT 0::BIGINT, -1::BIGINT, 0::BIGINT UNION ALL SELECT 3 * node_id + k, node_id, depth + 1 FROM t, range(1, 4) y(k) WHERE 3 * node_id + k < 3000) SELECT * FROM t")
 add("semi_roots", _graph("reference", lambda g: __import__("dagquotient.operators.graph", fromlist=["roots"]).roots(g).select("node_id")), f"{O.ctes('reference')} SELECT node_id FROM n WHERE node_id NOT IN (SELECT child FROM e)")
 add("anti_leaves", _graph("reference", lambda g: __import__("dagquotient.operators.graph", fromlist=["leaves"]).leaves(g).select("node_id")), f"{O.ctes('reference')} SELECT node_id FROM n WHERE node_id NOT IN (SELECT parent FROM e)")
 add("tumbling_events", lambda spark, d: load(spark, d, "events").groupBy(F.date_trunc("day", "ts").cast("date").alias("day"), "event_type").agg(F.count("*").alias("n")), "SELECT ts::DATE AS day, event_type, count(*) AS n FROM events GROUP BY ALL")
