@@ -12,18 +12,19 @@ Repeated rows get equal scores, extra columns are ignored; without any usable la
 from __future__ import annotations
 
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
+from dagquotient.llm.common import cut
 from dagquotient.llm.quality import bounded_sample
 
-#: Labelled rows that are learned from at most, and features kept.
-SAMPLE, FEATURES = 20_000, 3_000
+#: Labelled rows that are learned from at most, features kept, and the least chi-squared of one.
+SAMPLE, FEATURES, LEAST = 20_000, 3_000, 15.0
 #: Names of groups, by what can stand for what; they need not occur in the sample.
 IDENTITIES = (
     ("women", "men", "girls", "boys", "mothers", "fathers"),
@@ -74,36 +75,29 @@ class Model:
         return 1 / (1 + np.exp(-np.clip([self.logit(t) for t in texts], -30, 30)))
 
 
-def _incidence(bags: list[set[str]], index: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
-    pairs = [(i, index[f]) for i, bag in enumerate(bags) for f in bag if f in index]
-    at = np.array(pairs, np.int64).reshape(-1, 2)
-    return at[:, 0], at[:, 1]
+def _ranked(names: list[str], toxic: np.ndarray, clean: np.ndarray, n1: float, n0: float, most: int, least: float) -> list[str]:
+    """The ``most`` features of the largest chi-squared against the label, of ``least`` or more, that toxic texts have
+    at least twice as often as others (the lack of ordinary words is no sign), and all names of groups."""
+    seen = toxic + clean
+    expected = seen * n1 / (n1 + n0)
+    chi = (toxic - expected) ** 2 / np.maximum(expected, 1e-9)
+    good = (seen >= 5) & (chi >= least) & (toxic * n0 >= 2 * clean * n1)
+    order = sorted(np.flatnonzero(good), key=lambda i: (-chi[i], names[i]))[:most]
+    chosen = [names[i] for i in order]
+    known = set(chosen)
+    return chosen + [w for w in sorted(_others) if w not in known]
 
 
-def fit(texts: list[str], y: np.ndarray, most: int = FEATURES, ridge: float = 0.05, fairness: float = 4.0, steps: int = 400, rate: float = 0.1, least: float = 15.0) -> Model:
-    """Logistic loss + ridge + ``fairness`` times the mean squared score change of swapped sentences, by Adam.
+def _descend(rows: list[np.ndarray], y: np.ndarray, pairs: list[tuple[np.ndarray, np.ndarray]], k: int, ridge: float = 0.05, fairness: float = 4.0, steps: int = 400, rate: float = 0.1) -> tuple[np.ndarray, float]:
+    """Logistic loss + ridge + ``fairness`` times the mean squared score change of swapped sentences, by Adam."""
 
-    Features are the ``most`` of the largest chi-squared against the label, of ``least`` or more, that toxic texts
-    have at least twice as often as others; the lack of ordinary words is thus no sign, however short a text is.
-    """
-    bags = [features(t) for t in texts]
-    toxic, clean = Counter(), Counter()
-    for bag, label in zip(bags, y, strict=True):
-        (toxic if label else clean).update(bag)
-    n1, n0 = max(1.0, float(y.sum())), max(1.0, float(len(y) - y.sum()))
-    names = sorted(f for f in {*toxic, *clean} if toxic[f] + clean[f] >= 5)
-    a, b = np.array([toxic[f] for f in names], float), np.array([clean[f] for f in names], float)
-    expected = (a + b) * n1 / (n1 + n0)
-    chi = (a - expected) ** 2 / np.maximum(expected, 1e-9)
-    chosen = [names[i] for i in np.lexsort((np.arange(len(names)), -chi))[:most] if chi[i] >= least and a[i] * n0 >= 2 * b[i] * n1]
-    chosen += [w for w in sorted(_others) if w not in set(chosen)]
-    index = {f: i for i, f in enumerate(chosen)}
-    row, col = _incidence(bags, index)
-    pairs = list(dict.fromkeys(p for t in texts for p in swapped(t)))
-    pairs += [(f"a {w}", f"a {o}") for w in sorted(_others) for o in _others[w][:3]]  # the bare names, seen or not
-    left, right = (_incidence([features(p[k]) for p in pairs], index) for k in (0, 1))
-    m, n, k = len(pairs), len(y), len(chosen)
-    w, base = np.zeros(k), float(np.log((n1 + 1) / (n0 + 1)))
+    def flat(bags: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        return np.repeat(np.arange(len(bags)), [len(b) for b in bags]), np.concatenate([*bags, np.zeros(0, np.int64)]).astype(np.int64)
+
+    row, col = flat(rows)
+    left, right = flat([p[0] for p in pairs]), flat([p[1] for p in pairs])
+    m, n = len(pairs), len(y)
+    w, base = np.zeros(k), float(np.log((y.sum() + 1) / (n - y.sum() + 1)))
     mean, square, base_mean, base_square = np.zeros(k), np.zeros(k), 0.0, 0.0
     for step in range(1, steps + 1):
         p = 1 / (1 + np.exp(-np.clip(base + np.bincount(row, w[col], n), -30, 30)))
@@ -115,27 +109,53 @@ def fit(texts: list[str], y: np.ndarray, most: int = FEATURES, ridge: float = 0.
         base_mean, base_square = 0.9 * base_mean + 0.1 * slope, 0.999 * base_square + 0.001 * slope**2
         w -= rate * (mean / (1 - 0.9**step)) / (np.sqrt(square / (1 - 0.999**step)) + 1e-8)
         base -= rate * (base_mean / (1 - 0.9**step)) / (np.sqrt(base_square / (1 - 0.999**step)) + 1e-8)
-    return Model(index, w, base)
+    return w, base
+
+
+#: Pairs of bare names, so that groups count alike whether the sample names them or not.
+_BARE = [(w, o) for w in sorted(_others) for o in _others[w][:3]]
 
 
 def train(docs: DataFrame, labels: DataFrame, learn: Column, label: str = "toxic", most: int = SAMPLE) -> Model | None:
-    """Fitted on the driver, on at most ``most`` labelled documents for which ``learn`` holds."""
-    rows = bounded_sample(docs, labels, label, learn, most).select("text", "y").mapInArrow(_short, "text string, y double").toPandas()
-    if rows.empty:
+    """Fitted on at most ``most`` labelled documents for which ``learn`` holds.
+
+    Features are counted on the executors; to the driver go the chosen ones, and of each text the numbers of those
+    that it has.
+    """
+    sample = cut(bounded_sample(docs, labels, label, learn, most).select("text", F.col("y").cast("double").alias("y")))
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for text, y in zip(batch.column("text").to_pylist(), batch.column("y"), strict=True):
+                found = sorted(features(text))
+                yield pa.RecordBatch.from_arrays([pa.array(found, pa.string()), pa.array(np.full(len(found), y.as_py()))], ["f", "y"])
+
+    n, n1 = sample.agg(F.count("*"), F.sum("y")).first()
+    if not n:
         return None
-    rows = rows.sort_values(["text", "y"])
-    return fit(rows["text"].tolist(), rows["y"].to_numpy(float))
-
-
-def _short(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """A labelled text as what is learned from it: its distinct words, and the sentences that name a group."""
-    for batch in batches:
-        out = []
-        for text in batch.column("text").to_pylist():
-            text = (text or "").lower()
-            named = [s for s in re.split(r"[.!?\n]+", text) if not _others.keys().isdisjoint(_words(s))]
-            out.append(". ".join([" . ".join(sorted({w for w in _words(text)} - _others.keys())), *dict.fromkeys(named)]))
-        yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()), batch.column("y").cast(pa.float64())], ["text", "y"])
+    n1, n0 = max(1.0, n1), max(1.0, n - n1)
+    counts = sample.mapInArrow(each, "f string, y double").groupBy("f").agg(F.sum("y").alias("a"), F.sum(1 - F.col("y")).alias("b")).where("a + b >= 5")
+    expected = (F.col("a") + F.col("b")) * n1 / (n1 + n0)
+    chi = F.pow(F.col("a") - expected, 2) / expected
+    counts = counts.where(F.col("a") * n0 >= 2 * F.col("b") * n1).orderBy(chi.desc(), "f").limit(FEATURES).collect()
+    index = {f: i for i, f in enumerate(_ranked([r["f"] for r in counts], np.array([r["a"] for r in counts], float), np.array([r["b"] for r in counts], float), n1, n0, FEATURES, LEAST))}
+
+    def numbers(text: str | None) -> list[int]:
+        return sorted(index[f] for f in features(text) if f in index)
+
+    def coded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = [{"y": y, "own": numbers(t), "swaps": [{"a": numbers(a), "b": numbers(b)} for a, b in swapped(t or "")[:100]]} for t, y in zip(batch.column("text").to_pylist(), batch.column("y").to_pylist(), strict=True)]
+            if out:
+                yield pa.RecordBatch.from_pylist(out, schema=_CODED)
+
+    rows = sorted(((r["y"], tuple(r["own"]), tuple((tuple(x["a"]), tuple(x["b"])) for x in r["swaps"])) for r in sample.mapInArrow(coded, "y double, own array<int>, swaps array<struct<a: array<int>, b: array<int>>>").toLocalIterator()))
+    swaps = sorted({x for r in rows for x in r[2]} | {(tuple(numbers(a)), tuple(numbers(b))) for a, b in _BARE})
+    w, base = _descend([np.array(r[1], np.int64) for r in rows], np.array([r[0] for r in rows]), [(np.array(a, np.int64), np.array(b, np.int64)) for a, b in swaps], len(index))
+    return Model(index, w, base)
+
+
+_CODED = pa.schema([("y", pa.float64()), ("own", pa.list_(pa.int32())), ("swaps", pa.list_(pa.struct([("a", pa.list_(pa.int32())), ("b", pa.list_(pa.int32()))])))])
 
 
 def score(docs: DataFrame, model: Model | None) -> DataFrame:
