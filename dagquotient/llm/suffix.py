@@ -341,9 +341,12 @@ def repeats(docs: DataFrame, length: int = 200, first: str = "goes") -> DataFram
     open_ = kinds.join(small(anchors, anchors.count()), "h")
     open_ = cut(open_.select(*key, "at.d", "at.th", "at.s", "n", "o", (F.col("n") + (length - 1)).alias("size"), F.lit(-(-(length - GRAM) // 2)).alias("side")))
     wanted = open_.groupBy("d", "th").agg(F.collect_list(F.struct(*key, "d", "th", "s", "n", "o", "size", "side")).alias("wanted"))
-    # repeated rows would give the bytes of a context several times: one row of them is enough
-    texts = keyed.select("d", "th", "raw").join(small(wanted, open_.count()), ["d", "th"]).mapInArrow(_cut_out, "h long, c1 long, c2 long, d long, th long, left long, right long, s int, n int, o int, bytes binary")
-    texts = _alike(cut(texts.dropDuplicates([*key])))
+    n_open = open_.count()
+    texts = keyed.select("d", "th", "raw").join(small(wanted, n_open), ["d", "th"]).mapInArrow(_cut_out, "h long, c1 long, c2 long, d long, th long, left long, right long, s int, n int, o int, bytes binary")
+    texts = cut(texts)
+    if texts.count() > n_open:  # repeated rows give the bytes of a context several times: one row of them is enough
+        texts = texts.dropDuplicates([*key])
+    texts = _alike(texts)
     crowds = cut(texts.groupBy("h").agg(F.count("*").alias("kinds")).where(F.col("kinds") > CROWD).select("h"))
     n_crowds = crowds.count()
     schema = "h long, c1 long, c2 long, starts array<int>, ends array<int>"
