@@ -37,7 +37,7 @@ from dagquotient.llm.components import components
 #: What parts words (fixed by the contract).
 GAPS = r"[\x20\x09-\x0D]+"
 #: Rows and entries of a block, and n-grams that the sketch of common ones keeps: they are ordered last.
-BLOCK_ROWS, BLOCK_ENTRIES, COMMON = 256, 2_000_000, 500_000
+BLOCK_ROWS, BLOCK_ENTRIES, COMMON = 256, 2_000_000, 100_000
 #: Classes of a list whose pairs are accumulated one by one.
 SHORT = 16
 _NO_ID = -(2**63)
