@@ -2,7 +2,7 @@
 
 Per host, paths are followed segment by segment. Segments that vary (digits, or values too rare among their siblings)
 become the wildcard ``*``; what is left is a tree of templates. Sibling branches whose labelled shares don't differ
-significantly merge into the wildcard too. A template is rejected if its share of labelled bad urls, smoothed towards
+significantly merge into the wildcard too. Paths are followed to their end. A template is rejected if its share of labelled bad urls, smoothed towards
 one half, is over a bound; a template without labels stands near one half and is allowed. Labels are the verdicts of
 the rules unless others are given.
 
@@ -20,9 +20,6 @@ from pyspark.sql import functions as F
 
 from dagquotient.llm.common import cut, small
 
-#: Segments that a template follows; deeper ones end in ``**``.
-DEPTH = 5
-
 
 @dataclass(frozen=True)
 class Rule:
@@ -61,37 +58,39 @@ def decided(rules: list[Rule], host: Column, path: Column) -> Column:
 
 
 def _shape(path: Column) -> Column:
-    """Up to ``DEPTH`` segments, digits as ``*``; an array. A suffix like .html stays with its segment."""
+    """The segments, digits as ``*``; an array. A suffix like .html stays with its segment."""
     parts = F.filter(F.split(path, "/"), lambda x: x != "")
-    plain = F.transform(parts, lambda x: F.when(x.rlike("[0-9]"), F.regexp_replace(x, "^[^.]*", "*")).otherwise(x))
-    return F.when(F.size(plain) > DEPTH, F.concat(F.slice(plain, 1, DEPTH), F.array(F.lit("**")))).otherwise(plain)
+    return F.transform(parts, lambda x: F.when(x.rlike("[0-9]"), F.regexp_replace(x, "^[^.]*", "*")).otherwise(x))
 
 
-def templates(urls: DataFrame, least_share: float = 0.02, most_children: int = 64, z: float = 2.0) -> DataFrame:
+def templates(urls: DataFrame, least_share: float = 0.02, z: float = 2.0) -> DataFrame:
     """host, shape, template, seen, good, bad: from rows of host, path and label (1 bad, 0 good, else null).
 
-    A segment value stays if at least ``least_share`` of the urls under its parent have it; a parent with more than
-    ``most_children`` values keeps none. ``good`` and ``bad`` count the labelled urls of the whole template.
+    A segment value stays if at least ``least_share`` of the urls under its parent have it, however many others there
+    are. ``good`` and ``bad`` count the labelled urls of the whole template. A round of the loop takes one segment; a
+    shape that has no other beside it any more is taken to its end at once, so one very long path adds no rounds.
     """
-    nodes = cut(urls.groupBy("host", _shape(F.col("path")).alias("shape")).agg(F.count("*").alias("seen"), F.sum((F.col("label") == 1).cast("long")).alias("bad"), F.sum((F.col("label") == 0).cast("long")).alias("good")).na.fill(0, ["bad", "good"]))
-    nodes = nodes.withColumn("template", F.array().cast("array<string>"))
-    for depth in range(DEPTH + 1):
-        here = F.get("shape", F.lit(depth))
-        nodes = nodes.withColumn("segment", here)
-        branch = nodes.where(F.col("segment").isNotNull()).groupBy("host", "template", "segment").agg(*[F.sum(c).alias(c) for c in ("seen", "bad", "good")])
-        parent = branch.groupBy("host", "template").agg(*[F.sum(c).alias(f"all_{c}") for c in ("seen", "bad", "good")], F.count("*").alias("children"))
+    nodes = urls.groupBy("host", _shape(F.col("path")).alias("shape")).agg(F.count("*").alias("seen"), F.sum((F.col("label") == 1).cast("long")).alias("bad"), F.sum((F.col("label") == 0).cast("long")).alias("good")).na.fill(0, ["bad", "good"])
+    nodes = cut(nodes.withColumn("template", F.array().cast("array<string>")))
+    ended = F.size("template") == F.size("shape")
+    done, depth = nodes.where(ended), 0
+    while not (nodes := nodes.where(~ended)).isEmpty():
+        nodes = nodes.withColumn("segment", F.get("shape", F.lit(depth)))
+        branch = nodes.groupBy("host", "template", "segment").agg(*[F.sum(c).alias(c) for c in ("seen", "bad", "good")], F.count("*").alias("shapes"))
+        parent = branch.groupBy("host", "template").agg(*[F.sum(c).alias(f"all_{c}") for c in ("seen", "bad", "good", "shapes")])
         labelled = F.col("bad") + F.col("good")
         rest = F.col("all_bad") + F.col("all_good") - labelled
         share, other = F.col("bad") / labelled, (F.col("all_bad") - F.col("bad")) / rest
         pooled = F.col("all_bad") / (labelled + rest)
         error = F.sqrt(pooled * (1 - pooled) * (1 / labelled + 1 / rest))
         alike = F.when((labelled >= 5) & (rest >= 5), F.when(error > 0, F.abs(share - other) < z * error).otherwise(F.lit(True))).otherwise(F.lit(False))
-        keep = (F.col("seen") >= least_share * F.col("all_seen")) & (F.col("children") <= most_children) & ~alike
-        kept = branch.join(parent, ["host", "template"]).where(keep).select("host", "template", "segment", F.lit(True).alias("kept"))
+        keep = (F.col("seen") >= least_share * F.col("all_seen")) & ~alike
+        kept = branch.join(parent, ["host", "template"]).where(keep).select("host", "template", "segment", (F.col("all_shapes") == 1).alias("lone"))
         nodes = nodes.join(kept, ["host", "template", "segment"], "left")
-        added = F.when(F.col("segment").isNull(), F.col("template")).otherwise(F.concat("template", F.array(F.when(F.col("kept"), F.col("segment")).otherwise("*"))))
-        nodes = nodes.withColumn("template", added).drop("kept", "segment")
-        nodes = cut(nodes)
+        rest_of_it = F.when(F.col("lone"), F.slice("shape", depth + 1, F.size("shape") - depth)).otherwise(F.array(F.when(F.col("lone").isNotNull(), F.col("segment")).otherwise("*")))
+        nodes = cut(nodes.withColumn("template", F.concat("template", rest_of_it)).drop("lone", "segment"))
+        done, depth = done.unionByName(nodes.where(ended)), depth + 1
+    nodes = done
     whole = nodes.groupBy("host", "template").agg(F.sum("bad").alias("bad"), F.sum("good").alias("good"), F.sum("seen").alias("seen"))
     return nodes.select("host", "shape", "template").join(whole, ["host", "template"])
 
