@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 #: Rows that are encoded together.
 STEP = 200
 KINDS = {"int64": "long", "string": "string", "binary": "binary", "list<item: int32>": "array<int>"}
-#: Distinct pre-tokens that a worker remembers before it starts anew.
+#: Distinct pre-tokens that a worker remembers before it starts anew with its next lot, however many that has.
 CACHE = 700_000
 
 
@@ -95,8 +95,6 @@ class Codec:
 
     def _learn(self, new: list[str]) -> None:
         """Remember the ids of ``new`` pre-tokens: an entry of the vocabulary is its own token, the rest get merged."""
-        if len(self.known) > CACHE:
-            self.known.clear()
         hard = []
         for token in new:
             if (whole := self.ranks.get(token.encode())) is None:
@@ -112,10 +110,10 @@ class Codec:
     def encode_many(self, texts: list[str]) -> list[bytes]:
         """Of each text, the ids as little-endian unsigned 32-bit integers."""
         tokens = [self.split(text) for text in texts]
+        if len(self.known) > CACHE:
+            self.known.clear()
         if new := set().union(*tokens).difference(self.known):
             self._learn(list(new))
-            if len(self.known) == len(new):  # it began anew
-                self._learn(list(set().union(*tokens).difference(self.known)))
         return [b"".join(map(self.known.__getitem__, x)) for x in tokens]
 
     def encode(self, text: str) -> np.ndarray:

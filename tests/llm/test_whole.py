@@ -1,6 +1,8 @@
 """Operators on inputs beyond the sizes at which they once stopped doing the whole job."""
 
-from dagquotient.llm import urls
+import numpy as np
+
+from dagquotient.llm import bpe, urls
 
 
 def _judged(spark, rows, bad):
@@ -26,3 +28,14 @@ def test_url_paths_are_followed_to_their_end(spark):
     assert {got[u] for u in spam} == {("block", "/a/b/c/d/e/f/spam/*.html")}
     assert {got[u] for u in news} == {("allow", "/a/b/c/d/e/f/news/*.html")}
     assert got[deep] == ("allow", "/a/b/c/d/e/f") and got[giant] == ("allow", "/a/b/c/d/e/*" + "/x" * 500)
+
+
+def test_bpe_goes_on_beyond_its_cache(monkeypatch):
+    import public_tokenizers as P
+    import tiktoken
+
+    ranks = bpe.read_ranks(P.path("byte_bpe_multi_50k.tiktoken"))
+    ref, own = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={}), bpe.Codec(ranks, P.PATTERN)
+    monkeypatch.setattr(bpe, "CACHE", 5)
+    for lot in (["one two three", "four five six seven"], ["one"], ["two eight nine ten", "one two", ""], ["a b c d e f g h"], ["a b x y", "one"]):
+        assert [np.frombuffer(x, "<u4").tolist() for x in own.encode_many(lot)] == [ref.encode_ordinary(t) for t in lot]
