@@ -32,6 +32,8 @@ from dagquotient.llm.common import cut, small
 #: Bytes of the strings whose hashes make anchors, bytes of a block of contexts, contexts of an anchor that a
 #: block may hold, and windows of a piece of a context.
 GRAM, BLOCK, CROWD, RUN = 32, 1 << 20, 3000, 8
+#: Bytes from which a text is searched in pieces, and bytes that the windows of a piece begin in.
+GIANT, PIECE = 1 << 27, 1 << 26
 _NO_ID = -(2**63)
 _MIX = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
 _PLACE = 28  # bits of a position; the rest of a key is hash
@@ -75,13 +77,16 @@ def contexts(raw: np.ndarray, ends: np.ndarray, length: int) -> tuple[np.ndarray
     return h[place[first]], first, after - first, place[first] - first
 
 
-def _parts(texts: list[bytes]) -> Iterator[list[tuple[int, int, bytes]]]:
-    """(row, offset, bytes) in lots of about a megabyte; a giant text comes in lots of its own."""
+def _parts(texts: list[bytes], length: int) -> Iterator[list[tuple[int, int, bytes]]]:
+    """(row, offset, bytes) in lots of about a megabyte; a giant text comes in lots of its own.
+
+    Pieces of a giant text overlap by less than a window, so that each of its windows is in one of them.
+    """
     lot, size = [], 0
     for row, text in enumerate(texts):
-        if len(text) >= 1 << 27:
-            for at in range(0, len(text), 1 << 26):
-                yield [(row, at, text[at : at + (1 << 26) + 4096])]
+        if len(text) >= GIANT:
+            for at in range(0, len(text), PIECE):
+                yield [(row, at, text[at : at + PIECE + length - 1])]
             continue
         lot.append((row, 0, text))
         size += len(text)
@@ -100,15 +105,11 @@ def _find(length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             d, th = (batch.column(k).to_numpy() for k in (0, 1))
-            for lot in _parts(batch.column(2).to_pylist()):
+            for lot in _parts(batch.column(2).to_pylist(), length):
                 whole = b"".join(x[2] for x in lot)
                 raw = np.frombuffer(whole, np.uint8)
                 ends = np.cumsum([len(x[2]) for x in lot])
                 anchor, first, n, offset = contexts(raw, ends, length)
-                if len(lot) == 1 and len(lot[0][2]) > 1 << 26:  # windows that begin in the overlap belong to the next lot
-                    mine = first < 1 << 26
-                    n = np.minimum(n, (1 << 26) - first)
-                    anchor, first, n, offset = (x[mine] for x in (anchor, first, n, offset))
                 digest = b"".join(hashlib.blake2b(b"%d %d " % (k, o) + whole[s : s + k - 1 + length], digest_size=16).digest() for s, k, o in zip(first.tolist(), n.tolist(), offset.tolist(), strict=True))
                 c = np.frombuffer(digest, np.int64).reshape(-1, 2)
                 which = np.searchsorted(ends, first, side="right")

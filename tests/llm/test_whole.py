@@ -1,8 +1,9 @@
 """Operators on inputs beyond the sizes at which they once stopped doing the whole job."""
 
 import numpy as np
+import pyarrow as pa
 
-from dagquotient.llm import bpe, urls
+from dagquotient.llm import bpe, suffix, urls
 
 
 def _judged(spark, rows, bad):
@@ -39,3 +40,19 @@ def test_bpe_goes_on_beyond_its_cache(monkeypatch):
     monkeypatch.setattr(bpe, "CACHE", 5)
     for lot in (["one two three", "four five six seven"], ["one"], ["two eight nine ten", "one two", ""], ["a b c d e f g h"], ["a b x y", "one"]):
         assert [np.frombuffer(x, "<u4").tolist() for x in own.encode_many(lot)] == [ref.encode_ordinary(t) for t in lot]
+
+
+def test_suffix_windows_of_giant_texts_are_all_found(monkeypatch):
+    monkeypatch.setattr(suffix, "GIANT", 4000)
+    monkeypatch.setattr(suffix, "PIECE", 2000)
+    monkeypatch.setattr(suffix, "BLOCK", 1)  # every text is alone in its lot
+    r = np.random.default_rng(8)
+    texts = [r.integers(97, 123, n).astype(np.uint8).tobytes() for n in (300, 1999, 2001, 3999, 4000, 4199, 6100, 9000)]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(texts))), pa.array([0] * len(texts)), pa.array(texts, pa.binary())], ["d", "th", "raw"])
+    found = {}
+    for length in (64, 200):
+        found.clear()
+        for out in suffix._find(length)(iter([batch])):
+            for x in out.to_pylist():
+                found.setdefault(x["d"], []).extend(range(x["s"], x["s"] + x["n"]))
+        assert {d: sorted(s) for d, s in found.items()} == {d: list(range(len(t) - length + 1)) for d, t in enumerate(texts)}
