@@ -248,23 +248,34 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     Documents are linked if 100 * intersection >= percent * union of their sets of word ``n``-grams; component_id is
     the smallest doc_id of all that links reach.
     """
+    out = _joined(docs, n, percent)
+    return out.select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+
+
+def _joined(docs: DataFrame, n: int, percent: int) -> DataFrame:
+    """doc_id, th, n_shingles, root, component_id; ``root`` tells components apart and is null, as component_id is, of empty sets."""
     rows = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), sets(F.col("text"), n).alias("s"))
     rows = cut(_fronts(rows.select("doc_id", "th", F.xxhash64("s").alias("cid"), "s"), percent))
     root = components(_class_links(rows, docs, n, percent)).select(F.col("node").alias("cid"), "root")
     names = rows.where("n > 0").groupBy("cid").agg(F.min("doc_id").alias("least"))
     names = cut(cut(names).join(root, "cid", "left").select("cid", F.coalesce("root", "cid").alias("root"), "least"))
     least = cut(names.groupBy("root").agg(F.min("least").alias("component_id")))
-    named = cut(names.join(small(least, least.count()), "root").select("cid", "component_id"))
-    out = rows.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("cid")).alias("cid")).join(named, "cid", "left")
-    return out.select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+    named = cut(names.join(small(least, least.count()), "root").select("cid", "root", "component_id"))
+    return rows.select("doc_id", "th", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("cid")).alias("cid")).join(named, "cid", "left").drop("cid")
 
 
 def dedup(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of ``docs`` whose doc_id is the smallest of their component; of repeated ids one row stays."""
-    first = cut(join(docs, n, percent).where("doc_id = component_id").select("doc_id"))
-    keep = first.distinct()
+    """One row of ``docs`` of each component, that of the smallest doc_id; rows alike in id and text count as one.
+
+    Where several texts of a component have that id, the one of the least hash stays. An id stays more than once if its
+    texts are no near copies of each other.
+    """
+    first = cut(_joined(docs, n, percent).where("n_shingles = 0 AND doc_id IS NOT NULL OR doc_id = component_id").select("doc_id", "th", "root"))
+    linked = first.where("root IS NOT NULL").groupBy("root", "doc_id").agg(F.min("th").alias("th"))
+    keep = cut(linked.select("doc_id", "th").union(first.where("root IS NULL").select("doc_id", "th").distinct()))
     n_keep = keep.count()
-    kept = docs.join(small(keep, n_keep), "doc_id", "left_semi")
+    kept = docs.withColumns({"_d": F.col("doc_id"), "_t": F.xxhash64(F.coalesce("text", F.lit("")))})
+    kept = kept.join(small(keep.toDF("_d", "_t"), n_keep), ["_d", "_t"], "left_semi")
     if first.count() > n_keep:  # ids that several rows have
-        kept = kept.dropDuplicates(["doc_id"])
+        kept = kept.dropDuplicates(["_d", "_t"])
     return kept.select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))

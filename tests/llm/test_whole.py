@@ -3,7 +3,7 @@
 import numpy as np
 import pyarrow as pa
 
-from dagquotient.llm import bpe, suffix, urls
+from dagquotient.llm import bpe, ngram_join, suffix, urls
 
 
 def _judged(spark, rows, bad):
@@ -56,3 +56,12 @@ def test_suffix_windows_of_giant_texts_are_all_found(monkeypatch):
             for x in out.to_pylist():
                 found.setdefault(x["d"], []).extend(range(x["s"], x["s"] + x["n"]))
         assert {d: sorted(s) for d, s in found.items()} == {d: list(range(len(t) - length + 1)) for d, t in enumerate(texts)}
+
+
+def test_near_copies_are_told_by_row_where_ids_repeat(spark):
+    one, two, three = (" ".join(f"{w}{k}" for k in range(40)) for w in ("red", "blue", "green"))
+    rows = [(5, one), (5, two), (5, two), (3, three), (5, three + " end"), (6, one + " end"), (7, two), (8, ""), (8, "  "), (9, one + " a"), (5, one + " b")]
+    got = [(r["doc_id"], r["text"]) for r in ngram_join.dedup(spark.createDataFrame(rows, "doc_id long, text string"), 5, 80).collect()]
+    ones = [x for x in got if x[1].startswith("red")]
+    assert len(ones) == 1 and ones[0] in [(5, one), (5, one + " b")]
+    assert sorted(x for x in got if x not in ones) == sorted([(5, two), (3, three), (8, ""), (8, "  ")])
