@@ -88,8 +88,11 @@ def _ranked(names: list[str], toxic: np.ndarray, clean: np.ndarray, n1: float, n
     return chosen + [w for w in sorted(_others) if w not in known]
 
 
-def _descend(rows: list[np.ndarray], y: np.ndarray, pairs: list[tuple[np.ndarray, np.ndarray]], k: int, ridge: float = 0.05, fairness: float = 4.0, steps: int = 400, rate: float = 0.1) -> tuple[np.ndarray, float]:
-    """Logistic loss + ridge + ``fairness`` times the mean squared score change of swapped sentences, by Adam."""
+def _descend(rows: list[np.ndarray], y: np.ndarray, pairs: list[tuple[np.ndarray, np.ndarray]], times: np.ndarray, k: int, ridge: float = 0.05, fairness: float = 4.0, steps: int = 400, rate: float = 0.1) -> tuple[np.ndarray, float]:
+    """Logistic loss + ridge + ``fairness`` times the mean squared score change of swapped sentences, by Adam.
+
+    Each of the ``pairs`` stands for ``times`` swapped sentences.
+    """
 
     def flat(bags: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
         return np.repeat(np.arange(len(bags)), [len(b) for b in bags]), np.concatenate([*bags, np.zeros(0, np.int64)]).astype(np.int64)
@@ -97,13 +100,14 @@ def _descend(rows: list[np.ndarray], y: np.ndarray, pairs: list[tuple[np.ndarray
     row, col = flat(rows)
     left, right = flat([p[0] for p in pairs]), flat([p[1] for p in pairs])
     m, n = len(pairs), len(y)
+    swaps = times.sum()
     w, base = np.zeros(k), float(np.log((y.sum() + 1) / (n - y.sum() + 1)))
     mean, square, base_mean, base_square = np.zeros(k), np.zeros(k), 0.0, 0.0
     for step in range(1, steps + 1):
         p = 1 / (1 + np.exp(-np.clip(base + np.bincount(row, w[col], n), -30, 30)))
-        change = np.bincount(left[0], w[left[1]], m) - np.bincount(right[0], w[right[1]], m)
+        change = times * (np.bincount(left[0], w[left[1]], m) - np.bincount(right[0], w[right[1]], m))
         grad = np.bincount(col, (p - y)[row], k) / n + ridge * w / n
-        grad += 2 * fairness / m * (np.bincount(left[1], change[left[0]], k) - np.bincount(right[1], change[right[0]], k))
+        grad += 2 * fairness / swaps * (np.bincount(left[1], change[left[0]], k) - np.bincount(right[1], change[right[0]], k))
         slope = float((p - y).mean())
         mean, square = 0.9 * mean + 0.1 * grad, 0.999 * square + 0.001 * grad**2
         base_mean, base_square = 0.9 * base_mean + 0.1 * slope, 0.999 * base_square + 0.001 * slope**2
@@ -120,7 +124,8 @@ def train(docs: DataFrame, labels: DataFrame, learn: Column, label: str = "toxic
     """Fitted on at most ``most`` labelled documents for which ``learn`` holds.
 
     Features are counted on the executors; to the driver go the chosen ones, and of each text the numbers of those
-    that it has.
+    that it has. All sentences of a text that name a group are swapped; to the driver go only the numbers in which a
+    sentence and its counterpart differ, and how many unlike pairs differ in these.
     """
     sample = cut(bounded_sample(docs, labels, label, learn, most).select("text", F.col("y").cast("double").alias("y")))
 
@@ -145,13 +150,20 @@ def train(docs: DataFrame, labels: DataFrame, learn: Column, label: str = "toxic
 
     def coded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = [{"y": y, "own": numbers(t), "swaps": [{"a": numbers(a), "b": numbers(b)} for a, b in swapped(t or "")[:100]]} for t, y in zip(batch.column("text").to_pylist(), batch.column("y").to_pylist(), strict=True)]
+            out = []
+            for t, y in zip(batch.column("text").to_pylist(), batch.column("y").to_pylist(), strict=True):
+                swaps = dict.fromkeys((tuple(numbers(a)), tuple(numbers(b))) for a, b in swapped(t or ""))
+                out.append({"y": y, "own": numbers(t), "swaps": [{"a": a, "b": b} for a, b in swaps]})
             if out:
                 yield pa.RecordBatch.from_pylist(out, schema=_CODED)
 
-    rows = sorted(((r["y"], tuple(r["own"]), tuple((tuple(x["a"]), tuple(x["b"])) for x in r["swaps"])) for r in sample.mapInArrow(coded, "y double, own array<int>, swaps array<struct<a: array<int>, b: array<int>>>").toLocalIterator()))
-    swaps = sorted({x for r in rows for x in r[2]} | {(tuple(numbers(a)), tuple(numbers(b))) for a, b in _BARE})
-    w, base = _descend([np.array(r[1], np.int64) for r in rows], np.array([r[0] for r in rows]), [(np.array(a, np.int64), np.array(b, np.int64)) for a, b in swaps], len(index))
+    found = cut(sample.mapInArrow(coded, "y double, own array<int>, swaps array<struct<a: array<int>, b: array<int>>>"))
+    rows = sorted((r["y"], tuple(r["own"])) for r in found.select("y", "own").toLocalIterator())
+    bare = docs.sparkSession.createDataFrame([(numbers(a), numbers(b)) for a, b in _BARE], "a array<int>, b array<int>")
+    unlike = found.select(F.explode("swaps").alias("x")).select("x.a", "x.b").union(bare).distinct()
+    unlike = unlike.groupBy(F.array_except("a", "b").alias("a"), F.array_except("b", "a").alias("b")).agg(F.count("*").alias("n"))
+    swaps = sorted((tuple(r["a"]), tuple(r["b"]), r["n"]) for r in unlike.toLocalIterator())
+    w, base = _descend([np.array(r[1], np.int64) for r in rows], np.array([r[0] for r in rows]), [(np.array(a, np.int64), np.array(b, np.int64)) for a, b, _ in swaps], np.array([n for *_, n in swaps]), len(index))
     return Model(index, w, base)
 
 

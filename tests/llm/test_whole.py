@@ -3,7 +3,9 @@
 import numpy as np
 import pyarrow as pa
 
-from dagquotient.llm import bpe, ngram_join, suffix, urls
+from pyspark.sql import functions as F
+
+from dagquotient.llm import bpe, ngram_join, suffix, toxicity, urls
 
 
 def _judged(spark, rows, bad):
@@ -65,3 +67,23 @@ def test_near_copies_are_told_by_row_where_ids_repeat(spark):
     ones = [x for x in got if x[1].startswith("red")]
     assert len(ones) == 1 and ones[0] in [(5, one), (5, one + " b")]
     assert sorted(x for x in got if x not in ones) == sorted([(5, two), (3, three), (8, ""), (8, "  ")])
+
+
+def test_toxicity_swaps_every_sentence_of_a_text(spark, monkeypatch):
+    words = "river stone cloud green paper walk seven light table garden".split()
+    long_ = ". ".join(f"{words[k % 10]} {words[k // 10]} women" for k in range(80))
+    rows = [(k, "plain text" if k % 4 else "you horrible scumbag", int(k % 4 == 0)) for k in range(400)] + [(k, long_, 1) for k in range(400, 420)]
+    docs = spark.createDataFrame([x[:2] for x in rows], "doc_id long, text string")
+    seen = []
+    descend = toxicity._descend
+    monkeypatch.setattr(toxicity, "_descend", lambda *a: seen.append(a) or descend(*a))
+    model = toxicity.train(docs, spark.createDataFrame([(x[0], x[2]) for x in rows], "doc_id long, toxic int"), F.lit(True))
+
+    def numbers(t):
+        return frozenset(model.index[f] for f in toxicity.features(t) if f in model.index)
+
+    want = {(numbers(a), numbers(b)) for a, b in [*toxicity._BARE, *toxicity.swapped(long_)]}
+    few = {(numbers(a), numbers(b)) for a, b in [*toxicity._BARE, *toxicity.swapped(long_)[:100]]}
+    pairs, times = seen[0][2], seen[0][3]
+    assert len(want) > len(few) and times.sum() == len(want)
+    assert {(frozenset(a.tolist()), frozenset(b.tolist())) for a, b in pairs} == {(a - b, b - a) for a, b in want}
