@@ -66,22 +66,27 @@ def _split(cells: DataFrame, at: int, limit: int) -> DataFrame:
 
 def assign(docs: DataFrame, limit: int) -> DataFrame:
     """doc_id, h, bytes, shard, shard_bytes: the shard of every row, named by depth, prefix and overflow page."""
-    rows = placed(docs.select("doc_id", "text")).select("doc_id", "bytes", "h")
+    return _assigned(docs.select("doc_id", "text"), limit)
+
+
+def _assigned(docs: DataFrame, limit: int, *more: str) -> DataFrame:
+    """What ``assign`` gives, and the columns ``more`` of ``docs``."""
+    rows = placed(docs).select("doc_id", "bytes", "h", *more)
     buckets = cut(directory(rows, limit)).withColumnRenamed("bytes", "bucket_bytes")
     known = buckets.groupBy("depth").count().collect()  # a row for each depth: BITS at most
     if not known:
-        return rows.select("doc_id", "h", "bytes", F.lit("").alias("shard"), "bytes").limit(0).toDF("doc_id", "h", "bytes", "shard", "shard_bytes")
+        return rows.select("doc_id", "h", "bytes", F.lit("").alias("shard"), "bytes", *more).limit(0).toDF("doc_id", "h", "bytes", "shard", "shard_bytes", *more)
     at_depth = F.explode(F.array(*[F.struct(F.lit(r["depth"]).alias("depth"), F.shiftright("h", BITS - r["depth"]).alias("prefix")) for r in known]))
-    rows = rows.select("*", at_depth.alias("x")).select("doc_id", "bytes", "h", "x.depth", "x.prefix")
+    rows = rows.select("*", at_depth.alias("x")).select("doc_id", "bytes", "h", "x.depth", "x.prefix", *more)
     found = rows.join(small(buckets, sum(r["count"] for r in known)), ["depth", "prefix"])
     name = F.concat_ws("-", F.col("depth").cast("string"), F.lower(F.hex("prefix")), F.col("page").cast("string"))
-    plain = found.where((F.col("bucket_bytes") <= limit) | (F.col("n") == 1)).select("doc_id", "h", "bytes", "depth", "prefix", F.lit(0).cast("long").alias("page"), F.col("bucket_bytes").alias("shard_bytes"))
+    plain = found.where((F.col("bucket_bytes") <= limit) | (F.col("n") == 1)).select("doc_id", "h", "bytes", "depth", "prefix", F.lit(0).cast("long").alias("page"), F.col("bucket_bytes").alias("shard_bytes"), *more)
     if any(r["depth"] == BITS for r in known):
-        plain = plain.unionByName(_paged(found.where((F.col("bucket_bytes") > limit) & (F.col("n") > 1)), limit))
-    return plain.select("doc_id", "h", "bytes", name.alias("shard"), "shard_bytes")
+        plain = plain.unionByName(_paged(found.where((F.col("bucket_bytes") > limit) & (F.col("n") > 1)), limit, *more))
+    return plain.select("doc_id", "h", "bytes", name.alias("shard"), "shard_bytes", *more)
 
 
-def _paged(rows: DataFrame, limit: int) -> DataFrame:
+def _paged(rows: DataFrame, limit: int, *more: str) -> DataFrame:
     """Overflow pages; rows are numbered within slices, so that no task gets a whole bucket."""
     rows = cut(rows.withColumn("nth", F.monotonically_increasing_id()))
     half = F.lit(limit / 2)
@@ -92,10 +97,10 @@ def _paged(rows: DataFrame, limit: int) -> DataFrame:
     own = F.when(F.col("big"), F.row_number().over(order)).otherwise(F.floor(before / half))
     rows = rows.withColumn("part", own)
     page = F.xxhash64("slice", "big", "part").bitwiseAND(F.lit(2**62 - 1))
-    return rows.withColumn("page", page).withColumn("shard_bytes", F.sum("bytes").over(Window.partitionBy("depth", "prefix", "page"))).select("doc_id", "h", "bytes", "depth", "prefix", "page", "shard_bytes")
+    return rows.withColumn("page", page).withColumn("shard_bytes", F.sum("bytes").over(Window.partitionBy("depth", "prefix", "page"))).select("doc_id", "h", "bytes", "depth", "prefix", "page", "shard_bytes", *more)
 
 
 def write(docs: DataFrame, limit: int, path: str) -> None:
-    """The rows of ``docs`` as Parquet, a folder for each shard."""
-    shards = assign(docs, limit).groupBy("h").agg(F.min("shard").alias("shard"))  # rows of one hash share a bucket
-    placed(docs).join(shards, "h").drop("h", "bytes").repartition("shard").write.partitionBy("shard").parquet(path)
+    """The rows of ``docs`` as Parquet, a folder for each shard, overflow pages too."""
+    found = _assigned(docs.select("doc_id", "text", F.struct(*docs.columns).alias("_row")), limit, "_row")
+    found.select("_row.*", "shard").repartition("shard").write.partitionBy("shard").parquet(path)

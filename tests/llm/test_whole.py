@@ -5,7 +5,7 @@ import pyarrow as pa
 
 from pyspark.sql import functions as F
 
-from dagquotient.llm import bpe, ngram_join, suffix, toxicity, urls
+from dagquotient.llm import bpe, ngram_join, shards, suffix, toxicity, urls
 
 
 def _judged(spark, rows, bad):
@@ -87,3 +87,12 @@ def test_toxicity_swaps_every_sentence_of_a_text(spark, monkeypatch):
     pairs, times = seen[0][2], seen[0][3]
     assert len(want) > len(few) and times.sum() == len(want)
     assert {(frozenset(a.tolist()), frozenset(b.tolist())) for a, b in pairs} == {(a - b, b - a) for a, b in want}
+
+
+def test_written_shards_keep_overflow_pages_apart(spark, tmp_path):
+    rows = [(k, "x" * 50, "s") for k in range(30)] + [(7, "same " * 40, "s")] * 50 + [(8, "y" * 3000, "s")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, h string")
+    shards.write(docs, 1000, str(tmp_path / "out"))
+    out = spark.read.parquet(str(tmp_path / "out"))
+    assert sorted(tuple(r) for r in out.select("doc_id", "text", "h").collect()) == sorted(rows)
+    assert all(r["b"] <= 1000 or r["n"] == 1 for r in out.groupBy("shard").agg(F.sum(F.octet_length("text")).alias("b"), F.count("*").alias("n")).collect())
