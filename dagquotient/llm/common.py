@@ -4,12 +4,18 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
+from weakref import WeakKeyDictionary
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: A broadcast side may hold this many rows at most; beyond it the join is left to shuffles.
 BROADCAST_ROWS = 1_000_000
+#: Ends the life of shuffle files with the statement that made them; the session's own value is put back.
+_FREED = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_cuts: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -19,19 +25,44 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where none is configured (tests)."""
+    """The folder that driver and executors share. Only a local session that names none gets a temporary one."""
     at = spark.conf.get("spark.checkpoint.dir", None)
     if not at:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         at = f"{tempfile.gettempdir()}/checkpoints"
         spark.conf.set("spark.checkpoint.dir", at)
     return at.rstrip("/")
 
 
+@contextmanager
+def freed(spark: SparkSession) -> Iterator[None]:
+    """Statements in here leave no shuffle files behind."""
+    before = spark.conf.get(_FREED)
+    spark.conf.set(_FREED, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(_FREED, before)
+
+
 def cut(df: DataFrame) -> DataFrame:
     """``df`` written as a table to the shared folder and read again: its lineage ends there."""
     at = f"{shared_dir(df.sparkSession)}/cut-{uuid.uuid4().hex}"
-    df.write.parquet(at)
-    return df.sparkSession.read.schema(df.schema).parquet(at)
+    with freed(df.sparkSession):
+        df.write.parquet(at)
+    out = df.sparkSession.read.schema(df.schema).parquet(at)
+    _cuts[out] = at
+    return out
+
+
+def drop(*cuts: DataFrame) -> None:
+    """Deletes the tables of ``cut`` that no result is read from any more."""
+    for df in cuts:
+        if at := _cuts.pop(df, None):
+            spark = df.sparkSession
+            path = spark._jvm.org.apache.hadoop.fs.Path(at)
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def small(df: DataFrame, rows: int, most: int = BROADCAST_ROWS) -> DataFrame:
@@ -47,3 +78,8 @@ def let(value: Column, body) -> Column:
 def width(spark: SparkSession) -> int:
     """The number of shuffle partitions of this session."""
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def packed(docs: DataFrame, *more: Column) -> DataFrame:
+    """``row``, all columns of ``docs`` in one, and columns ``more``, whose names then meet no name of ``docs``."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), *more)

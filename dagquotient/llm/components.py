@@ -1,34 +1,41 @@
-"""Connected components of a distributed edge list, by alternating star contractions."""
+"""Connected components of a distributed edge list, by alternating star contractions.
+
+Loops and repeated edges don't matter; without edges the result is empty.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import cut, small
+from dagquotient.llm.common import cut, drop, small
 
 
 def _both(edges: DataFrame) -> DataFrame:
     return edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
 
 
-def _with_least(edges: DataFrame) -> DataFrame:
-    """u, v and the least of u and its neighbours; a hub is one row on the joined side, its edges can be split."""
-    least = cut(edges.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")))
-    return edges.join(small(least, least.count()), "u")
+def _least(edges: DataFrame) -> DataFrame:
+    """u, m: the least of u and its neighbours. A hub is one row of it, so its edges can be split."""
+    return cut(edges.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")))
 
 
 def components(edges: DataFrame) -> DataFrame:
     """node, root: for every node of ``edges`` (a, b: longs) the least node that it is connected with."""
     edges = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    while True:
+    n = edges.count()
+    while n:
         # to every larger neighbour, the least of the neighbourhood
-        large = _with_least(_both(edges)).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        least = _least(_both(edges))
+        large = cut(_both(edges).join(small(least, least.count()), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
         # among what is smaller, everything to the least
-        pairs = _with_least(cut(large.where("u <> v")))
-        new = pairs.select(F.col("v").alias("u"), F.col("m").alias("v")).union(pairs.select("u", F.col("m").alias("v")))
-        new = cut(new.where("u <> v").distinct())
-        if new.exceptAll(edges).isEmpty() and edges.exceptAll(new).isEmpty():
+        near = _least(large)
+        pairs = large.join(small(near, near.count()), "u")
+        new = cut(pairs.select(F.col("v").alias("u"), F.col("m").alias("v")).union(pairs.select("u", F.col("m").alias("v"))).where("u <> v").distinct())
+        n_new = new.count()
+        same = n_new == n and new.join(edges, ["u", "v"], "left_anti").isEmpty()
+        drop(least, large, near, edges)
+        edges, n = new, n_new
+        if same:
             break
-        edges = new
-    return edges.select(F.col("u").alias("node"), F.col("v").alias("root")).union(edges.select(F.col("v").alias("node"), F.col("v").alias("root"))).distinct()
+    return edges.select(F.col("u").alias("node"), F.col("v").alias("root")).union(edges.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())

@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from dagquotient.llm.common import cut, let, small
+from dagquotient.llm.common import cut, let, packed, small
 
 #: What parts words (fixed by the contract): ASCII other than letters and digits.
 GAPS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -95,5 +95,5 @@ def report(docs: DataFrame, benchmark: DataFrame, window: int = 10) -> DataFrame
 def clean(docs: DataFrame, benchmark: DataFrame, window: int = 10) -> DataFrame:
     """The rows of ``docs`` that no window of the benchmark occurs in."""
     bad = hits(docs, benchmark, window).select("d", "th").distinct()
-    keyed = docs.withColumns({"_d": F.coalesce("doc_id", F.lit(_NO_ID)), "_th": F.xxhash64(F.coalesce("text", F.lit("")))})
-    return keyed.join(bad.select(F.col("d").alias("_d"), F.col("th").alias("_th")), ["_d", "_th"], "left_anti").select(*[F.col(c) for c in docs.columns])
+    keyed = packed(docs, F.coalesce("doc_id", F.lit(_NO_ID)).alias("d"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"))
+    return keyed.join(bad, ["d", "th"], "left_anti").select("row.*")

@@ -2,10 +2,11 @@
 
 Trees are complete and of one depth, so an ensemble is three arrays (feature, threshold, leaf value) and a batch of
 documents walks all of them by array indexing. The labelled sample that the trees are fitted on is bounded
-(``SAMPLE`` rows, the smallest by a hash of their id); statistics are taken of whole texts.
+(``SAMPLE`` ids, the smallest by a hash); statistics are taken of whole texts.
 
 A null text counts as empty and is scored as such. Rows with a null label are not learned from. Repeated rows get
-equal scores, extra columns are ignored; without any usable label every document gets the score 0.5.
+equal scores, extra columns stay, but one named ``score`` is replaced; without any usable label every document gets the
+score 0.5.
 """
 
 from __future__ import annotations
@@ -19,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from dagquotient.llm.common import width
+
 #: Labelled rows that are learned from at most.
 SAMPLE = 20_000
 _KINDS = np.zeros((256, 9))
@@ -103,10 +106,15 @@ def fit(x: np.ndarray, y: np.ndarray, trees: int = 80, depth: int = 4, rate: flo
 
 
 def bounded_sample(docs: DataFrame, labels: DataFrame, label: str, learn: Column, most: int) -> DataFrame:
-    """doc_id, text and label of ``most`` labelled rows at most, those of the smallest hashes of doc_id."""
+    """doc_id, text and y (the label) of ``most`` labelled ids at most, those of the smallest hashes of doc_id.
+
+    Of rows that share an id one text is taken, that of the least hash. Rows are dealt evenly to tasks by id.
+    """
     chosen = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & F.coalesce(learn, F.lit(False))).groupBy("doc_id").agg(F.max(label).alias("y"))
     chosen = chosen.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)  # a top-k: no more than ``most`` rows move
-    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").limit(2 * most)
+    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").repartition(width(docs.sparkSession), "doc_id")
+    one = rows.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("text").alias("h"), "text", "y")).alias("x"))
+    return one.select("doc_id", "x.text", "x.y")
 
 
 def _stat_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagquotient.llm import bpe, decontaminate, lines, ngram_join, quality, shards, spotsigs, suffix, toxicity, urls
+from dagquotient.llm import bpe, decontaminate, lines, ngram_join, oracles, quality, shards, spotsigs, suffix, toxicity, urls
 from dagquotient.llm.common import table
 
 
@@ -76,8 +76,8 @@ def op10_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
 RULES = ("allow com/", "block example.com/en/", "allow www.example.com/en/", "block net/es/", "block net/fr/")
 #: The byte limit of a shard.
 SHARD_BYTES = 16 * 2**20
-#: Sites that a line must be on to count as boilerplate.
-MIN_SITES = 12
+#: Sites that a line must be on to count as boilerplate: lines of few sites are mostly short ones that meet by chance.
+MIN_SITES = 8
 
 LINES_SQL = f"""
 WITH d AS (
@@ -134,4 +134,12 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_decontaminate": LEAKS_SQL, "op7_lines": LINES_SQL, "op9_shards": SHARDS_SQL}
+    return {
+        "op3_suffix": oracles.repeats(),
+        "op4_urls": oracles.url_verdicts([urls.rule(x) for x in RULES]),
+        "op5_decontaminate": LEAKS_SQL,
+        "op6_ngram_join": oracles.jaccard(3, 90),
+        "op7_lines": LINES_SQL,
+        "op9_shards": SHARDS_SQL,
+        "op10_fingerprints": oracles.fingerprints(),
+    }

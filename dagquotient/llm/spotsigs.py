@@ -28,25 +28,25 @@ CHAIN, REACH = 2, 6
 
 
 def signatures(text: Column) -> Column:
-    """The sorted distinct 32-bit hashes of a text's signatures."""
+    """The sorted distinct hashes of a text's signatures, the first 32 bits of MD5 as eight hexadecimal digits."""
     text = F.coalesce(text, F.lit(""))
 
     def spots(w: Column) -> Column:
         def at(x: Column, i: Column) -> Column:
             chain = F.slice(F.filter(F.slice(w, i + 2, REACH), lambda y: ~y.isin(ANCHORS)), 1, CHAIN)
-            return F.when(x.isin(ANCHORS), let(chain, lambda c: F.when(F.size(c) == CHAIN, F.xxhash64(x, c))))
+            return F.when(x.isin(ANCHORS), let(chain, lambda c: F.when(F.size(c) == CHAIN, F.concat_ws(" ", F.lit("3"), x, c))))
 
         found = F.filter(F.transform(w, at), lambda h: h.isNotNull())
-        pairs = F.transform(F.slice(w, 1, F.greatest(F.size(w) - 1, F.lit(0))), lambda x, i: F.xxhash64(F.lit("pair"), x, F.get(w, i + 1)))
-        return let(found, lambda f: F.when(F.size(f) > 0, f).when(F.size(w) > 1, pairs).otherwise(F.array(F.xxhash64(F.lit("text"), text))))
+        pairs = F.transform(F.slice(w, 1, F.greatest(F.size(w) - 1, F.lit(0))), lambda x, i: F.concat_ws(" ", F.lit("2"), x, F.get(w, i + 1)))
+        return let(found, lambda f: F.when(F.size(f) > 0, f).when(F.size(w) > 1, pairs).otherwise(F.array(F.concat(F.lit("1 "), text))))
 
     found = let(F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda x: x != ""), spots)
-    return F.sort_array(F.array_distinct(F.transform(found, lambda h: h.bitwiseAND(F.lit(0xFFFFFFFF)))))
+    return F.sort_array(F.array_distinct(F.transform(found, lambda x: F.substring(F.md5(x), 1, 8))))
 
 
 def as_string(sigs: Column) -> Column:
     """The fingerprint: eight hexadecimal digits a signature, in order."""
-    return F.array_join(F.transform(sigs, lambda h: F.lpad(F.lower(F.hex(h)), 8, "0")), ",")
+    return F.array_join(sigs, ",")
 
 
 def likeness(a: Column, b: Column) -> Column:

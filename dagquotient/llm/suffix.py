@@ -27,13 +27,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import cut, small
+from dagquotient.llm.common import cut, drop, small
 
 #: Bytes of the strings whose hashes make anchors, bytes of a block of contexts, contexts of an anchor that a
 #: block may hold, and windows of a piece of a context.
 GRAM, BLOCK, CROWD, RUN = 32, 1 << 20, 3000, 8
 #: Bytes from which a text is searched in pieces, and bytes that the windows of a piece begin in.
 GIANT, PIECE = 1 << 27, 1 << 26
+#: Contexts that are handed out with the texts as a broadcast; they have about a hundred bytes each.
+WANTED_ROWS = 200_000
 _NO_ID = -(2**63)
 _MIX = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
 _PLACE = 28  # bits of a position; the rest of a key is hash
@@ -333,9 +335,10 @@ def repeats(docs: DataFrame, length: int = 200, first: str = "goes") -> DataFram
         raise ValueError(f"length must be {2 * GRAM} or more")
     every = first == "goes"
     keyed = _keyed(docs)
-    found = cut(keyed.select("d", "th", "raw").where(F.octet_length("raw") >= length).mapInArrow(_find(length), "h long, c1 long, c2 long, d long, th long, s int, n int, o int"))
-    shared = cut(found.groupBy("h").agg(F.count("*").alias("times")).where("times > 1").select("h"))
-    found = cut(found.join(small(shared, shared.count()), "h"))
+    every_one = cut(keyed.select("d", "th", "raw").where(F.octet_length("raw") >= length).mapInArrow(_find(length), "h long, c1 long, c2 long, d long, th long, s int, n int, o int"))
+    shared = cut(every_one.groupBy("h").agg(F.count("*").alias("times")).where("times > 1").select("h"))
+    found = cut(every_one.join(small(shared, shared.count()), "h"))
+    drop(every_one, shared)
     key = ["h", "c1", "c2"]
     kinds = cut(found.groupBy(*key).agg(F.count("*").alias("times"), F.min(F.struct("d", "th", "s")).alias("at"), F.first("n").alias("n"), F.first("o").alias("o")))
     anchors = cut(kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("times").alias("least")).where((F.col("kinds") > 1) & ((F.col("least") < 2) | F.lit(not every))).select("h"))
@@ -343,11 +346,12 @@ def repeats(docs: DataFrame, length: int = 200, first: str = "goes") -> DataFram
     open_ = cut(open_.select(*key, "at.d", "at.th", "at.s", "n", "o", (F.col("n") + (length - 1)).alias("size"), F.lit(-(-(length - GRAM) // 2)).alias("side")))
     wanted = open_.groupBy("d", "th").agg(F.collect_list(F.struct(*key, "d", "th", "s", "n", "o", "size", "side")).alias("wanted"))
     n_open = open_.count()
-    texts = keyed.select("d", "th", "raw").join(small(wanted, n_open), ["d", "th"]).mapInArrow(_cut_out, "h long, c1 long, c2 long, d long, th long, left long, right long, s int, n int, o int, bytes binary")
+    texts = keyed.select("d", "th", "raw").join(small(wanted, n_open, WANTED_ROWS), ["d", "th"]).mapInArrow(_cut_out, "h long, c1 long, c2 long, d long, th long, left long, right long, s int, n int, o int, bytes binary")
     texts = cut(texts)
     if texts.count() > n_open:  # repeated rows give the bytes of a context several times: one row of them is enough
         texts = texts.dropDuplicates([*key])
-    texts = _alike(texts)
+    whole_texts, texts = texts, _alike(texts)
+    drop(whole_texts, anchors, open_)
     crowds = cut(texts.groupBy("h").agg(F.count("*").alias("kinds")).where(F.col("kinds") > CROWD).select("h"))
     n_crowds = crowds.count()
     schema = "h long, c1 long, c2 long, starts array<int>, ends array<int>"
@@ -355,6 +359,7 @@ def repeats(docs: DataFrame, length: int = 200, first: str = "goes") -> DataFram
     if n_crowds:
         solved = solved.union(_crowded(texts.join(small(crowds, n_crowds), "h", "left_semi"), length, every))
     solved = cut(solved)
+    drop(texts, crowds)
     parts = solved.select(*key, F.explode(F.arrays_zip("starts", "ends")).alias("x")).select(*key, F.col("x.starts").alias("a"), F.col("x.ends").alias("b"))
     inside = found.select(*key, "d", "th", "s").join(cut(parts), key)
     if not every:

@@ -120,8 +120,8 @@ def _descend(rows: list[np.ndarray], y: np.ndarray, pairs: list[tuple[np.ndarray
 _BARE = [(w, o) for w in sorted(_others) for o in _others[w][:3]]
 
 
-def train(docs: DataFrame, labels: DataFrame, learn: Column, label: str = "toxic", most: int = SAMPLE) -> Model | None:
-    """Fitted on at most ``most`` labelled documents for which ``learn`` holds.
+def train(docs: DataFrame, labels: DataFrame, learn: Column, label: str = "toxic", most: int = SAMPLE, fairness: float = 4.0) -> Model | None:
+    """Fitted on at most ``most`` labelled documents for which ``learn`` holds; ``fairness`` weighs the swapped sentences.
 
     Features are counted on the executors; to the driver go the chosen ones, and of each text the numbers of those
     that it has. All sentences of a text that name a group are swapped; to the driver go only the numbers in which a
@@ -163,7 +163,7 @@ def train(docs: DataFrame, labels: DataFrame, learn: Column, label: str = "toxic
     unlike = found.select(F.explode("swaps").alias("x")).select("x.a", "x.b").union(bare).distinct()
     unlike = unlike.groupBy(F.array_except("a", "b").alias("a"), F.array_except("b", "a").alias("b")).agg(F.count("*").alias("n"))
     swaps = sorted((tuple(r["a"]), tuple(r["b"]), r["n"]) for r in unlike.toLocalIterator())
-    w, base = _descend([np.array(r[1], np.int64) for r in rows], np.array([r[0] for r in rows]), [(np.array(a, np.int64), np.array(b, np.int64)) for a, b, _ in swaps], np.array([n for *_, n in swaps]), len(index))
+    w, base = _descend([np.array(r[1], np.int64) for r in rows], np.array([r[0] for r in rows]), [(np.array(a, np.int64), np.array(b, np.int64)) for a, b, _ in swaps], np.array([n for *_, n in swaps]), len(index), fairness=fairness)
     return Model(index, w, base)
 
 

@@ -76,7 +76,7 @@ def test_toxicity_swaps_every_sentence_of_a_text(spark, monkeypatch):
     docs = spark.createDataFrame([x[:2] for x in rows], "doc_id long, text string")
     seen = []
     descend = toxicity._descend
-    monkeypatch.setattr(toxicity, "_descend", lambda *a: seen.append(a) or descend(*a))
+    monkeypatch.setattr(toxicity, "_descend", lambda *a, **k: seen.append(a) or descend(*a, **k))
     model = toxicity.train(docs, spark.createDataFrame([(x[0], x[2]) for x in rows], "doc_id long, toxic int"), F.lit(True))
 
     def numbers(t):
