@@ -5,37 +5,38 @@ Loops and repeated edges don't matter; without edges the result is empty.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import cut, drop, small
+from dagquotient.llm.common import cut, drop, freed
 
 
-def _both(edges: DataFrame) -> DataFrame:
-    return edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
+def _least(edges: DataFrame) -> DataFrame:
+    """u, m: the least of u and its neighbours. A hub is one row of it, so a join can split its edges."""
+    return edges.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
 
 
-def _least(edges: DataFrame) -> DataFrame:
-    """u, m: the least of u and its neighbours. A hub is one row of it, so its edges can be split."""
-    return cut(edges.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")))
+def _sums(edges: DataFrame) -> Row:
+    """What tells two edge lists apart: their length and two sums over hashes of their rows."""
+    h = F.xxhash64("u", "v")
+    with freed(edges.sparkSession):
+        return edges.agg(F.count("*"), F.bit_xor(h), F.sum(F.shiftright(F.xxhash64("v", "u"), 24))).first()
 
 
 def components(edges: DataFrame) -> DataFrame:
     """node, root: for every node of ``edges`` (a, b: longs) the least node that it is connected with."""
     edges = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    n = edges.count()
-    while n:
+    before = _sums(edges)
+    while before[0]:
         # to every larger neighbour, the least of the neighbourhood
-        least = _least(_both(edges))
-        large = cut(_both(edges).join(small(least, least.count()), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
+        both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        large = cut(both.join(_least(both), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
         # among what is smaller, everything to the least
-        near = _least(large)
-        pairs = large.join(small(near, near.count()), "u")
+        pairs = large.join(_least(large), "u")
         new = cut(pairs.select(F.col("v").alias("u"), F.col("m").alias("v")).union(pairs.select("u", F.col("m").alias("v"))).where("u <> v").distinct())
-        n_new = new.count()
-        same = n_new == n and new.join(edges, ["u", "v"], "left_anti").isEmpty()
-        drop(least, large, near, edges)
-        edges, n = new, n_new
-        if same:
+        drop(large, edges)
+        edges, after = new, _sums(new)
+        if after == before:
             break
+        before = after
     return edges.select(F.col("u").alias("node"), F.col("v").alias("root")).union(edges.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())

@@ -7,51 +7,136 @@ the overlaps. It is not formed as a whole:
 * n-grams are ordered by rarity (a heavy-hitter sketch over all documents, as only common ones matter). Two sets of
   which ``percent`` must be common share at least k n-grams among the first ones of each, for any k, if these are taken
   k - 1 further; k grows with the set. An n-gram that several classes have in front gives a list of classes;
-* over short lists the product is accumulated pair by pair; pairs of unlike sizes or with fewer than k in common are
-  discarded, the rest is compared in full;
-* longer lists, one of each membership, are cut into blocks of bounded rows and entries. Within a block overlaps are
-  accumulated column by column, pairs below the bounds that their sizes imply are discarded, and what is linked is
-  passed on as stars, so that a group of near copies gives as many links as it has members and not all of its pairs;
-* lists of several blocks have their most typical class in each of them. Classes that are not connected with it then
-  meet all blocks of the list.
+* classes that share one of two keys, each of the least n-grams by two orders, meet in blocks of bounded rows and
+  entries, where their whole sets are multiplied. That finds most links; from then on only classes that are not
+  connected yet are looked at, which changes no component;
+* over short lists the product of the fronts is accumulated pair by pair, over longer ones in blocks, column by column.
+  What is common in front and the sizes bound the overlap of a pair; pairs below what their sizes ask for are
+  discarded. Blocks pass on what connects the others as stars: as many rows as classes, not as pairs;
+* classes that such pairs connect make groups. Those of a group meet in blocks, where whole sets are multiplied. In
+  lists and groups of several blocks, all but the largest component meet every block.
 
 The outcome is exact: components over all links. Sets are compared by 64-bit hashes of n-grams.
 
 Nulls and texts without words have empty sets and are linked with nothing. Repeated rows share a class, rows with a
-null id belong to components but name none. Extra columns are ignored.
+null id belong to components but name none. Extra columns are ignored, an empty table gives an empty table.
 """
 
 from __future__ import annotations
 
-import string
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import cut, let, small
+from dagquotient.llm.common import cut, drop, freed, packed, small
 from dagquotient.llm.components import components
 
-#: What parts words (fixed by the contract).
-GAPS = r"[\x20\x09-\x0D]+"
-#: Rows and entries of a block, and n-grams that the sketch of common ones keeps: they are ordered last.
+#: Rows of a block, entries that are sorted at once, and n-grams that the sketch of common ones keeps: they come last.
 BLOCK_ROWS, BLOCK_ENTRIES, COMMON = 256, 2_000_000, 100_000
 #: Classes of a list whose pairs are accumulated one by one.
 SHORT = 16
+#: Bytes that are hashed together.
+CHUNK = 2_000_000
 _NO_ID = -(2**63)
+#: What parts words (fixed by the contract), random numbers of bytes, alike for a letter's two cases, and their base.
+_GAP = np.isin(np.arange(256), [0x20, *range(0x09, 0x0E)])
+_MIX = np.random.default_rng(20240301).integers(0, 2**64, 256, dtype=np.uint64)
+_MIX[0x41:0x5B] = _MIX[0x61:0x7B]
+_BASE = 0x9E3779B97F4A7C13
+_grown = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+#: Odd factors: that of mixing, and those that order hashes anew.
+_ODD = np.uint64(0x9E3779B97F4A7C15)
+_ORDERS = [np.int64(x) for x in (1, 0x5851F42D4C957F2D, 0x2545F4914F6CDD1D, 0x369DEA0F31A53F85)]
 
 
-def sets(text: Column, n: int) -> Column:
-    """The sorted distinct hashes of a text's n-grams; one of all words if there are fewer than ``n``."""
-    lowered = F.translate(F.coalesce(text, F.lit("")), string.ascii_uppercase, string.ascii_lowercase)
+def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first ``n`` powers of the base of byte hashes, and of its inverse, modulo 2**64."""
+    if len(_grown[0]) < n:
+        _grown[:] = [np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(n, x, np.uint64)])) for x in (_BASE, pow(_BASE, -1, 2**64))]
+    return _grown[0], _grown[1]
 
-    def grams(w: Column) -> Column:
-        many = F.transform(F.slice(w, 1, F.greatest(F.size(w) - (n - 1), F.lit(0))), lambda x, i: F.xxhash64(x, *[F.get(w, i + k) for k in range(1, n)]))
-        return F.when(F.size(w) >= n, many).when(F.size(w) > 0, F.array(F.xxhash64(F.lit("short"), w))).otherwise(F.array().cast("array<long>"))
 
-    return F.sort_array(F.array_distinct(let(F.filter(F.split(lowered, GAPS), lambda x: x != ""), grams)))
+def word_hashes(raw: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of texts that follow each other in ``raw``: a hash of each word, and how many words each text has.
+
+    Words are parted by ``[\\x20\\x09-\\x0D]+`` and compared with A to Z lower-cased, as the contract says: two tables
+    over bytes. A word's hash is a polynomial over its bytes, taken from running sums over a few megabytes.
+    """
+    inside = ~_GAP[raw]
+    first = inside.copy()
+    first[1:] &= ~inside[:-1]
+    bounds = ends[(ends > 0) & (ends < len(raw))]
+    first[bounds] = inside[bounds]
+    last = inside.copy()
+    last[:-1] &= ~inside[1:] | first[1:]
+    start, end = np.flatnonzero(first), np.flatnonzero(last) + 1
+    counts = np.diff(np.searchsorted(start, ends), prepend=0)
+    out = np.empty(len(start), np.uint64)
+    at = 0
+    while at < len(start):
+        to = max(at + 1, int(np.searchsorted(end, start[at] + CHUNK, side="right")))
+        low, high = int(start[at]), int(end[to - 1])
+        power, inverse = _powers(high - low + 1)
+        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_MIX[raw[low:high]] * power[: high - low])])
+        s, e = start[at:to] - low, end[at:to] - low
+        out[at:to] = (sums[e] - sums[s]) * inverse[s] + (e - s).astype(np.uint64)
+        at = to
+    out ^= out >> np.uint64(32)
+    return out * np.uint64(0xD6E8FEB86659FD93), counts
+
+
+def _distinct(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The sorted distinct values and their counts."""
+    values = np.sort(values)
+    at = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]])) if len(values) else np.zeros(0, np.int64)
+    return values[at], np.diff(np.append(at, len(values)))
+
+
+def _mixed(h: np.ndarray, n: int) -> np.ndarray:
+    """The hashes of all runs of ``n`` of the given word hashes."""
+    out = h[: len(h) - n + 1] * _ODD
+    for k in range(1, n):
+        out ^= out >> np.uint64(31)
+        out = (out + h[k : len(h) - n + 1 + k]) * _ODD
+    return out ^ (out >> np.uint64(29))
+
+
+def sets(texts: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The sorted distinct hashes of each text's n-grams, one after the other, and where each text's begin and end.
+
+    A text of fewer than ``n`` words has one of all its words, one without words none; null counts as empty.
+    """
+    texts = pc.fill_null(texts.cast(pa.large_binary()), b"")
+    _, offsets, data = texts.buffers()
+    ends = np.frombuffer(offsets, np.int64)[texts.offset : texts.offset + len(texts) + 1]
+    raw = np.frombuffer(data, np.uint8)[ends[0] : ends[-1]] if len(texts) and ends[-1] > ends[0] else np.zeros(0, np.uint8)
+    h, sizes = word_hashes(raw, ends[1:] - ends[0]) if len(raw) else (np.zeros(0, np.uint64), np.zeros(len(texts), np.int64))
+    grams = _mixed(h, n).view(np.int64) if len(h) >= n else np.zeros(0, np.int64)
+    out, start = [], 0
+    for size in sizes.tolist():
+        if size >= n:
+            out.append(_distinct(grams[start : start + size - n + 1])[0])
+        elif size:
+            out.append((_mixed(h[start : start + size], size) + np.uint64(size)).view(np.int64))
+        else:
+            out.append(grams[:0])
+        start += size
+    return np.concatenate([*out, grams[:0]]), np.concatenate([[0], np.cumsum([len(x) for x in out], dtype=np.int64)])
+
+
+def _batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches whose texts have about ``CHUNK`` bytes; a longer text is a batch of its own."""
+    for batch in batches:
+        size = np.cumsum(pc.fill_null(pc.binary_length(batch.column("text")), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+        start = 0
+        while start < batch.num_rows:
+            stop = max(start + 1, int(np.searchsorted(size, (size[start - 1] if start else 0) + CHUNK, side="right")))
+            yield batch.slice(start, stop - start)
+            start = stop
 
 
 def _least(size):
@@ -64,54 +149,75 @@ def _front(size: int, percent: int) -> int:
     return size - (size * percent + 99) // 100 + _least(size)
 
 
-def _common(rows: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes (sorted) and counts of the most common n-grams of ``s``: at most ``COMMON`` of them."""
+def _common(docs: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes (sorted) and counts of the most common n-grams: at most ``COMMON`` of them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept: list[np.ndarray] = []
 
         def out() -> pa.RecordBatch:
-            values, counts = np.unique(np.concatenate(kept), return_counts=True)
+            values, counts = _distinct(np.concatenate(kept))
             often = counts >= 2
             return pa.RecordBatch.from_arrays([pa.array(values[often]), pa.array(counts[often])], ["h", "df"])
 
-        for batch in batches:
-            kept.append(batch.column(0).flatten().to_numpy())
+        for batch in _batches(batches):
+            kept.append(sets(batch.column("text"), n)[0])
             if sum(map(len, kept)) > BLOCK_ENTRIES:
                 yield out()
                 kept.clear()
         if kept:
             yield out()
 
-    found = rows.select("s").mapInArrow(run, "h long, df long").groupBy("h").agg(F.sum("df").alias("df")).orderBy(F.desc("df"), "h").limit(COMMON).toPandas()
+    with freed(docs.sparkSession):
+        found = docs.select("text").mapInArrow(run, "h long, df long").groupBy("h").agg(F.sum("df").alias("df")).orderBy(F.desc("df"), "h").limit(COMMON).toPandas()
     found = found.sort_values("h")
     return found["h"].to_numpy(np.int64), found["df"].to_numpy(np.int64)
 
 
-def _fronts(rows: DataFrame, percent: int) -> DataFrame:
-    """doc_id, th, cid, n, front, common: the n-grams in front of every set, and how common its n-grams are on the whole.
+def _fronts(docs: DataFrame, n: int, percent: int) -> DataFrame:
+    """d, th, cid, n, low, high, front: a hash of each set, its size, two keys that like sets tend to share, its front.
 
-    ``rows``: doc_id, th, cid, s. Sets are not kept: they are two to three times as large as the texts.
+    Each key is made of the least hashes by two orders. Sets are not kept: they are two to three times as large as the
+    texts.
     """
-    keys, counts = (rows.sparkSession.sparkContext.broadcast(x) for x in _common(rows))  # ``COMMON`` numbers each
+    keys, counts = (docs.sparkSession.sparkContext.broadcast(x) for x in _common(docs, n))  # ``COMMON`` numbers each
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common, df_of = keys.value, counts.value
-        for batch in batches:
-            fronts, sizes, share = [], [], []
-            for cell in batch.column("s"):
-                s = cell.values.to_numpy()
-                at = np.searchsorted(common, s)
-                at[at == len(common)] = 0
-                df = np.where(common[at] == s, df_of[at], 0) if len(common) else np.zeros(len(s), np.int64)
-                fronts.append(s[np.lexsort((s, df))[: _front(len(s), percent)]] if len(s) else s)
-                sizes.append(len(s))
-                share.append(float(np.log1p(df).mean()) if len(s) else 0.0)
-            if fronts:
-                kept = [batch.column(c) for c in ("doc_id", "th", "cid")]
-                yield pa.RecordBatch.from_arrays([*kept, pa.array(sizes, pa.int64()), pa.array(fronts, pa.list_(pa.int64())), pa.array(share)], ["doc_id", "th", "cid", "n", "front", "common"])
-
-    return rows.mapInArrow(run, "doc_id long, th long, cid long, n long, front array<long>, common double")
+        for batch in _batches(batches):
+            values, at = sets(batch.column("text"), n)
+            sizes = np.diff(at)
+            some = np.flatnonzero(sizes)
+            low, high, cid = (np.zeros(len(sizes), np.int64) for _ in range(3))
+            fronts = [values[:0]] * len(sizes)
+            if len(some):
+                begin = at[some]
+                least = [np.minimum.reduceat(values * odd, begin) for odd in _ORDERS]
+                low[some], high[some] = (a * _ORDERS[2] ^ b for a, b in (least[:2], least[2:]))
+                place = np.searchsorted(common, values)
+                place[place == len(common)] = 0
+                df = np.where(common[place] == values, df_of[place], 0) if len(common) else np.zeros(len(values), np.int64)
+                for k in some.tolist():
+                    s = values[at[k] : at[k + 1]]
+                    cid[k] = xxhash.xxh64_intdigest(s.tobytes()) - 2**63
+                    fronts[k] = s[np.argsort(df[at[k] : at[k + 1]], kind="stable")[: _front(len(s), percent)]]
+            front = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(x) for x in fronts])]), pa.int32()), pa.array(np.concatenate([*fronts, values[:0]])))
+            yield pa.RecordBatch.from_arrays([batch.column("d"), batch.column("th"), *(pa.array(x, pa.int64()) for x in (cid, sizes, low, high)), front], ["d", "th", "cid", "n", "low", "high", "front"])
+
+    import xxhash
+
+    return docs.select(*_row_keys(), "text").mapInArrow(run, "d long, th long, cid long, n long, low long, high long, front array<long>")
+
+
+def _sets_of(texts: DataFrame, n: int) -> DataFrame:
+    """cid, s: the sets of the texts of rows of cid and text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in _batches(batches):
+            values, at = sets(batch.column("text"), n)
+            yield pa.RecordBatch.from_arrays([batch.column("cid"), pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(values))], ["cid", "s"])
+
+    return texts.select("cid", "text").mapInArrow(run, "cid long, s array<long>")
 
 
 def overlaps(which: np.ndarray, values: np.ndarray, rows: int) -> np.ndarray:
@@ -145,7 +251,7 @@ def stars(linked: np.ndarray) -> np.ndarray:
     """For each row the least row that it is connected with, in a boolean matrix."""
     root = np.arange(len(linked))
     seen = np.zeros(len(linked), bool)
-    for start in range(len(linked)):
+    for start in np.flatnonzero(linked.any(axis=0)).tolist():
         if not seen[start]:
             front = np.array([start])
             seen[start] = True
@@ -156,90 +262,188 @@ def stars(linked: np.ndarray) -> np.ndarray:
     return root
 
 
+def _needed(size, other, percent: int):
+    """The overlap that two sets of these sizes must have."""
+    return -(-percent * (size + other) // (100 + percent))
+
+
+def _behind(size, percent: int):
+    """How many n-grams of a set aren't in its front."""
+    return (size * percent + 99) // 100 - size // 100 - 1
+
+
+def _block(table: pa.Table, column: str) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """cid, n and root of the classes of a block, and the overlaps of what is in ``column``."""
+    cids, first = np.unique(table.column("cid").to_numpy(), return_index=True)
+    held = table.take(pa.array(first)).combine_chunks()
+    values = held.column(column).combine_chunks()
+    product = overlaps(np.repeat(np.arange(len(cids)), pc.list_value_length(values).to_numpy(zero_copy_only=False)), values.flatten().to_numpy(), len(cids))
+    return cids, held.column("n").to_numpy(), held.column("root").to_numpy(), product.astype(np.int64)
+
+
+def _starred(cids: np.ndarray, which: np.ndarray) -> pa.Table:
+    root = stars(which)
+    far = root != np.arange(len(cids))
+    return pa.table({"a": cids[far], "b": cids[root[far]]}, schema=pa.schema([("a", pa.int64()), ("b", pa.int64())]))
+
+
+def _alike(percent: int):
+    """a, b: what connects the classes of a block that may be linked and aren't connected, by what is in front.
+
+    Of a front only 32 bits of each n-gram are looked at, which can only make overlaps larger.
+    """
+
+    def run(table: pa.Table) -> pa.Table:
+        cids, n, root, product = _block(table, "front")
+        x, y, behind = n[:, None], n[None, :], _behind(n, percent)
+        may = (root[:, None] != root[None, :]) & (100 * np.minimum(x, y) >= percent * np.maximum(x, y))
+        return _starred(cids, may & (product + np.maximum(behind[:, None], behind[None, :]) >= _needed(x, y, percent)))
+
+    return run
+
+
 def _links(percent: int):
+    """a, b: what connects the classes of a block that are linked, by whole sets."""
+
     def run(table: pa.Table) -> pa.Table:
-        cids, first = np.unique(table.column("cid").to_numpy(), return_index=True)
-        s = table.column("s").take(pa.array(first)).combine_chunks()
-        sizes = np.array([len(x) for x in s], np.int64)
-        product = overlaps(np.repeat(np.arange(len(cids)), sizes), s.flatten().to_numpy(), len(cids)).astype(np.int64)
-        union = sizes[:, None] + sizes[None, :] - product
-        # sizes alone bound the overlap: beyond it a pair is out whatever it shares
-        fits = 100 * np.minimum.outer(sizes, sizes) >= percent * np.maximum.outer(sizes, sizes)
-        root = stars(fits & (100 * product >= percent * union))
-        far = root != np.arange(len(cids))
-        return pa.table({"a": cids[far], "b": cids[root[far]]}, schema=pa.schema([("a", pa.int64()), ("b", pa.int64())]))
+        cids, n, _, product = _block(table, "s")
+        return _starred(cids, 100 * product >= percent * (n[:, None] + n[None, :] - product))
 
     return run
 
 
+def _sql_needed(x: Column, y: Column, percent: int) -> Column:
+    return F.ceil(percent * (x + y) / (100 + percent))
+
+
+def _sql_behind(size: Column, percent: int) -> Column:
+    return F.ceil(size * percent / 100) - F.floor(size / 100) - 1
+
+
+def _fit(x: Column, y: Column, percent: int) -> Column:
+    return 100 * F.least(x, y) >= percent * F.greatest(x, y)
+
+
 def _pairs(short: DataFrame, percent: int) -> DataFrame:
-    """a, b: pairs of classes of like sizes that share enough in front, from short lists."""
-    held = short.groupBy("h").agg(F.array_sort(F.collect_list(F.struct("cid", "n"))).alias("x"))
+    """a, b: pairs of classes that are not connected and may be linked, from short lists of h, cid, n, root."""
+    held = short.groupBy("h").agg(F.array_sort(F.collect_list(F.struct("cid", "n", "root"))).alias("x"))
 
     def later(x: Column, i: Column) -> Column:
-        like = F.filter(F.slice("x", i + 2, SHORT), lambda y: (100 * F.least(x["n"], y["n"]) >= percent * F.greatest(x["n"], y["n"])))
-        return F.transform(like, lambda y: F.struct(x["cid"].alias("a"), y["cid"].alias("b"), _sql_least(F.least(x["n"], y["n"])).alias("k")))
+        like = F.filter(F.slice("x", i + 2, SHORT), lambda y: (x["root"] != y["root"]) & _fit(x["n"], y["n"], percent))
+        return F.transform(like, lambda y: F.struct(x["cid"].alias("a"), y["cid"].alias("b"), x["n"].alias("na"), y["n"].alias("nb")))
 
-    pairs = held.select(F.explode(F.flatten(F.transform("x", later))).alias("p")).select("p.a", "p.b", "p.k")
-    return pairs.groupBy("a", "b").agg(F.count("*").alias("common"), F.first("k").alias("k")).where("common >= k").select("a", "b")
+    pairs = held.select(F.explode(F.flatten(F.transform("x", later))).alias("p")).select("p.*").groupBy("a", "b").agg(F.count("*").alias("common"), F.first("na").alias("na"), F.first("nb").alias("nb"))
+    most = F.greatest(_sql_behind(F.col("na"), percent), _sql_behind(F.col("nb"), percent)) + F.col("common")
+    return pairs.where(most >= _sql_needed(F.col("na"), F.col("nb"), percent)).select("a", "b")
 
 
-def _sql_least(size: Column) -> Column:
-    return F.floor(size / 100) + 1
+def _blocks(members: DataFrame, entries: Column) -> DataFrame:
+    """g, i, j, cid, n, root from g, cid, n, root: blocks of bounded rows and entries in which all pairs of a group meet
+    that are not connected yet.
 
+    All but the classes of a group's largest component meet every block of the group, themselves in parts. A group in
+    which all are apart from each other has as many rows as blocks a class; one that is connected has none.
+    """
+    per_root = members.groupBy("g", "root").agg(F.count("*").alias("c"), F.sum(entries).alias("e"))
+    main = per_root.groupBy("g").agg(F.max(F.struct("c", "e", "root")).alias("x"), F.sum("c").alias("m"), F.sum("e").alias("all"))
+    parts = lambda rows, size: F.greatest(F.ceil(rows / BLOCK_ROWS), F.ceil(size / BLOCK_ENTRIES)).cast("long")
+    main = cut(main.where("m > x.c").select("g", F.col("x.root").alias("main"), parts(F.col("m"), F.col("all")).alias("blocks"), parts(F.col("m") - F.col("x.c"), F.col("all") - F.col("x.e")).alias("parts")))
+    both = members.join(small(main, main.count()), "g")
+    own = both.select("g", F.pmod(F.xxhash64("cid", "g"), "blocks").alias("i"), F.explode(F.expr("sequence(0L, parts - 1)")).alias("j"), "cid", "n", "root")
+    visits = both.where("root <> main").select("g", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("i"), F.pmod(F.xxhash64("g", "cid"), "parts").alias("j"), "cid", "n", "root")
+    return own.union(visits).distinct()
+
+
+def _met(blocks: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
+    """a, b: what connects linked classes of the blocks, by the whole sets of one text of each class."""
+    blocks = cut(blocks)
+    asked = cut(blocks.select("cid").distinct())
+    n_asked = asked.count()
+    who = classes.join(small(asked, n_asked), "cid", "left_semi").select("cid", "d", "th")
+    sets_of = cut(_sets_of(docs.select(*_row_keys(), "text").join(small(who, n_asked), ["d", "th"]), n))
+    if sets_of.count() > n_asked:  # rows alike in id and text
+        sets_of = sets_of.dropDuplicates(["cid"])
+    out = cut(blocks.join(sets_of, "cid").groupBy("g", "i", "j").applyInArrow(_links(percent), "a long, b long"))
+    drop(blocks, asked, sets_of)
+    return out
+
+
+def _row_keys() -> list[Column]:
+    return [F.coalesce("doc_id", F.lit(_NO_ID)).alias("d"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th")]
 
-def _compared(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
-    """The pairs that are linked, by their whole sets."""
-    sides = [classes.select(F.col("cid").alias(k), F.col("s").alias(f"s{k}")) for k in "ab"]
-    both = pairs.join(sides[0], "a").join(sides[1], "b")
-    both = both.select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("common"), (F.size("sa") + F.size("sb")).alias("total"))
-    return both.where(100 * F.col("common") >= percent * (F.col("total") - F.col("common"))).select("a", "b")
 
+def _by_keys(classes: DataFrame) -> DataFrame:
+    """g, i, j, cid, n, root: blocks of the classes that share a key, with the first of all of them in each."""
+    out = None
+    for key in ("low", "high"):
+        groups = classes.groupBy(F.col(key).alias("g")).agg(F.min(F.struct("cid", "n")).alias("first"), F.count("*").alias("m"), F.sum("n").alias("e")).where("m > 1")
+        groups = cut(groups.select("g", F.col("first.cid").alias("cid"), F.col("first.n").alias("n"), F.greatest(F.ceil(F.col("m") / BLOCK_ROWS), F.ceil(F.col("e") / BLOCK_ENTRIES)).cast("long").alias("blocks")))
+        each = classes.join(small(groups.select(F.col("g").alias(key), "blocks"), groups.count()), key).select(F.col(key).alias("g"), F.pmod(F.xxhash64("cid"), "blocks").alias("i"), "cid", "n")
+        first = groups.where("blocks > 1").select("g", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("i"), "cid", "n")
+        rows = each.union(first).distinct().withColumns({"j": F.lit(0 if key == "low" else 1).cast("long"), "root": F.col("cid")})
+        out = rows if out is None else out.unionByName(rows)
+    return out.select("g", "i", "j", "cid", "n", "root")
 
-def _work(blocks: DataFrame, keys: list[str], classes: DataFrame, percent: int) -> DataFrame:
-    rows = blocks.select(*keys, "cid").join(classes.select("cid", "s"), "cid")
-    return rows.groupBy(*keys).applyInArrow(_links(percent), "a long, b long")
 
+def _rooted(df: DataFrame, roots: DataFrame, n_roots: int, of: str, name: str) -> DataFrame:
+    """``df`` with the root of the class in ``of``, the class itself where it has no links."""
+    roots = roots.select(F.col("node").alias(of), F.col("root").alias("_root"))
+    return df.join(small(roots, n_roots), of, "left").withColumn(name, F.coalesce("_root", of)).drop("_root")
 
-def _class_links(rows: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
-    """a, b: links between classes, enough of them to connect whatever is connected; ``rows``: what ``_fronts`` gives."""
-    rows = rows.where("n > 0")
-    postings = rows.select("cid", "n", "common", F.explode("front").alias("h"))
+
+def _candidates(rows: DataFrame, classes: DataFrame, roots: DataFrame, n_roots: int, percent: int) -> DataFrame:
+    """a, b: what connects classes that ``roots`` does not connect and that may be linked, as far as fronts tell."""
+    postings = rows.where("n > 0").select("cid", "n", F.explode("front").alias("h"))
     shared = cut(postings.groupBy("h").agg(F.min("cid").alias("least"), F.max("cid").alias("most")).where("least <> most").select("h"))
-    postings = cut(postings.join(small(shared, shared.count()), "h").dropDuplicates(["h", "cid"]))
+    held = cut(postings.join(small(shared, shared.count()), "h").dropDuplicates(["h", "cid"]))
+    drop(shared)
+    postings = cut(_rooted(held, roots, n_roots, "cid", "root"))
+    drop(held)
     mixed = F.xxhash64("cid")
-    lists = cut(postings.groupBy("h").agg(F.count("*").alias("m"), F.sum("n").alias("entries"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y"), F.max(F.struct("common", "cid")).alias("typical")))
-    brief, long_ = lists.where(F.col("m") <= SHORT).select("h"), lists.where(F.col("m") > SHORT)
+    lists = cut(postings.groupBy("h").agg(F.count("*").alias("m"), F.min("root").alias("r0"), F.max("root").alias("r1"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y")).where("r0 <> r1"))
+    brief = lists.where(F.col("m") <= SHORT).select("h")
     pairs = cut(_pairs(postings.join(small(brief, brief.count()), "h", "left_semi"), percent))
-
-    long_ = long_.groupBy("m", "x", "y").agg(F.min("h").alias("h"), F.min("entries").alias("entries"), F.min("typical").alias("typical"))
-    blocks = F.greatest(F.ceil(F.col("m") / BLOCK_ROWS), F.ceil(F.col("entries") / BLOCK_ENTRIES)).cast("long")
-    long_ = cut(long_.select("h", blocks.alias("blocks"), F.col("typical.cid").alias("typical")))
+    # longer lists, one of each membership
+    long_ = cut(lists.where(F.col("m") > SHORT).groupBy("m", "x", "y").agg(F.min("h").alias("h")).select("h"))
+    drop(lists)
     n_long = long_.count()
-    members = cut(postings.join(small(long_, n_long), "h").select("h", "cid", "blocks", F.pmod(F.xxhash64("cid", "h"), "blocks").alias("block")))
-
-    asked = cut(pairs.select(F.explode(F.array("a", "b")).alias("cid")).union(members.select("cid")).distinct())
-    # one text of each class that is asked for; its set is made anew
-    who = rows.select("cid", F.coalesce("doc_id", F.lit(_NO_ID)).alias("d"), "th").join(small(asked, asked.count()), "cid", "left_semi")
-    who = cut(who.groupBy("cid").agg(F.min(F.struct("d", "th")).alias("x")).select("cid", "x.d", "x.th"))
-    texts = docs.select(F.coalesce("doc_id", F.lit(_NO_ID)).alias("d"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
-    classes = cut(texts.join(small(who, who.count()), ["d", "th"]).select("cid", sets(F.col("text"), n).alias("s")))
-    centres = long_.where("blocks > 1").select("h", F.col("typical").alias("cid"), F.explode(F.expr("sequence(0, blocks - 1)")).alias("block"))
-    found = _compared(pairs, classes, percent).union(_work(members.select("h", "block", "cid").union(centres.select("h", "block", "cid")), ["h", "block"], classes, percent))
-    found = cut(found)
-    wide = members.where("blocks > 1")
-    if wide.isEmpty():
-        return found
-    root = components(found)
-    wide = wide.join(root.withColumnRenamed("node", "cid"), "cid", "left").withColumn("root", F.coalesce("root", "cid"))
-    main = cut(long_.join(root.withColumnRenamed("node", "typical"), "typical", "left").select("h", F.coalesce("root", "typical").alias("main")))
-    wide = cut(wide.join(small(main, n_long), "h").withColumn("apart", F.col("root") != F.col("main")))
-    # what isn't with the typical class yet meets every block of its list, itself in blocks
-    open_ = cut(wide.where("apart").groupBy("h").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("long").alias("groups")))
-    wide = wide.join(small(open_, open_.count()), "h").withColumn("group", F.pmod(F.xxhash64("h", "cid"), "groups"))
-    own = wide.select("h", "cid", F.col("block").alias("i"), F.explode(F.expr("sequence(0, groups - 1)")).alias("j"))
-    visits = wide.where("apart").select("h", "cid", F.explode(F.expr("sequence(0, blocks - 1)")).alias("i"), F.col("group").alias("j"))
-    return found.union(cut(_work(own.union(visits), ["h", "i", "j"], classes, percent)))
+    if not n_long:
+        drop(postings, long_)
+        return pairs
+    members = cut(postings.join(small(long_, n_long), "h").select(F.col("h").alias("g"), "cid", "n", "root"))
+    drop(postings, long_)
+    fronts = rows.join(classes.select("cid", "d", "th"), ["cid", "d", "th"]).select("cid", F.transform("front", lambda x: x.bitwiseAND(F.lit(2**31 - 1)).cast("int")).alias("front")).dropDuplicates(["cid"])
+    fronts = cut(fronts.join(members.select("cid").distinct(), "cid", "left_semi"))
+    met = _blocks(members, _sql_front(F.col("n"), percent)).join(fronts, "cid")
+    found = cut(met.groupBy("g", "i", "j").applyInArrow(_alike(percent), "a long, b long"))
+    out = cut(pairs.union(found).distinct())
+    drop(pairs, found, members, fronts)
+    return out
+
+
+def _sql_front(size: Column, percent: int) -> Column:
+    return size - _sql_behind(size, percent)
+
+
+def _class_roots(rows: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
+    """cid, root of every class that has n-grams: what is connected has one root; ``rows``: what ``_fronts`` gives."""
+    classes = cut(rows.where("n > 0").groupBy("cid").agg(F.min(F.struct("d", "th")).alias("x"), *[F.first(c).alias(c) for c in ("n", "low", "high")]).select("cid", "x.d", "x.th", "n", "low", "high"))
+    links = _met(_by_keys(classes), classes, docs, n, percent)
+    roots = cut(components(links))
+    n_roots = roots.count()
+    open_ = _candidates(rows, classes, roots, n_roots, percent)
+    # classes that may be linked with others, by the groups that these make
+    ends = _rooted(_rooted(open_, roots, n_roots, "a", "ra"), roots, n_roots, "b", "rb").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
+    groups = cut(components(ends))
+    members = _rooted(open_.select(F.explode(F.array("a", "b")).alias("cid")).distinct().join(classes.select("cid", "n"), "cid"), roots, n_roots, "cid", "root")
+    members = cut(_rooted(members, groups, groups.count(), "root", "g").select("g", "cid", "n", "root"))
+    more = _met(_blocks(members, F.col("n")), classes, docs, n, percent)
+    # roots of roots: links that were found last connect what the first ones did
+    ends = _rooted(_rooted(more, roots, n_roots, "a", "ra"), roots, n_roots, "b", "rb").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
+    last = cut(components(ends))
+    out = cut(_rooted(classes.select("cid"), roots, n_roots, "cid", "first").join(last.select(F.col("node").alias("first"), F.col("root").alias("_last")), "first", "left").select("cid", F.coalesce("_last", "first").alias("root")))
+    drop(classes, links, roots, open_, groups, members, more, last)
+    return out
 
 
 def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
@@ -254,14 +458,16 @@ def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
 
 def _joined(docs: DataFrame, n: int, percent: int) -> DataFrame:
     """doc_id, th, n_shingles, root, component_id; ``root`` tells components apart and is null, as component_id is, of empty sets."""
-    rows = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), sets(F.col("text"), n).alias("s"))
-    rows = cut(_fronts(rows.select("doc_id", "th", F.xxhash64("s").alias("cid"), "s"), percent))
-    root = components(_class_links(rows, docs, n, percent)).select(F.col("node").alias("cid"), "root")
-    names = rows.where("n > 0").groupBy("cid").agg(F.min("doc_id").alias("least"))
-    names = cut(cut(names).join(root, "cid", "left").select("cid", F.coalesce("root", "cid").alias("root"), "least"))
-    least = cut(names.groupBy("root").agg(F.min("least").alias("component_id")))
-    named = cut(names.join(small(least, least.count()), "root").select("cid", "root", "component_id"))
-    return rows.select("doc_id", "th", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("cid")).alias("cid")).join(named, "cid", "left").drop("cid")
+    docs = docs.select("doc_id", "text")
+    rows = cut(_fronts(docs, n, percent))
+    root = _class_roots(rows, docs, n, percent).select(F.col("cid").alias("node"), "root")
+    n_root = root.count()
+    slim = cut(rows.select("d", "th", "cid", "n"))
+    drop(rows)
+    names = _rooted(slim.where("n > 0"), root, n_root, "cid", "root").groupBy("root").agg(F.min(F.when(F.col("d") != _NO_ID, F.col("d"))).alias("component_id"))
+    names = cut(names)
+    out = _rooted(slim, root, n_root, "cid", "root").withColumn("root", F.when(F.col("n") > 0, F.col("root"))).join(small(names, names.count()), "root", "left")
+    return out.select(F.when(F.col("d") != _NO_ID, F.col("d")).alias("doc_id"), "th", F.col("n").alias("n_shingles"), "root", "component_id")
 
 
 def dedup(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
@@ -274,8 +480,8 @@ def dedup(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     linked = first.where("root IS NOT NULL").groupBy("root", "doc_id").agg(F.min("th").alias("th"))
     keep = cut(linked.select("doc_id", "th").union(first.where("root IS NULL").select("doc_id", "th").distinct()))
     n_keep = keep.count()
-    kept = docs.withColumns({"_d": F.col("doc_id"), "_t": F.xxhash64(F.coalesce("text", F.lit("")))})
-    kept = kept.join(small(keep.toDF("_d", "_t"), n_keep), ["_d", "_t"], "left_semi")
+    kept = packed(docs, F.col("doc_id").alias("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"))
+    kept = kept.join(small(keep, n_keep), ["doc_id", "th"], "left_semi")
     if first.count() > n_keep:  # ids that several rows have
-        kept = kept.dropDuplicates(["_d", "_t"])
-    return kept.select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))
+        kept = kept.dropDuplicates(["doc_id", "th"])
+    return kept.select("row.*").unionByName(docs.where("doc_id IS NULL"))
