@@ -155,7 +155,8 @@ def collision_stats(g: LabeledDag, partition: DataFrame, ranked: DataFrame, init
     """rank, keys, colliding_keys, colliding_nodes: secondary hashes of families, ``bits`` long, that meet wrongly."""
     lead = INITIAL[initial]
     values = decision_values(g, partition, ranked.select("node_id", "rank", "label")).join(ranked.select("node_id", "hash"), "node_id")
-    values = values.withColumn("key", F.pmod(F.xxhash64("family"), F.lit(2**bits)) if bits < 63 else F.xxhash64("family")).withColumn("size", F.size("family"))
+    key = F.conv(F.substring(F.md5(F.array_join(F.transform("family", lambda x: x.cast("string")), ",")), 1, 15), 16, 10).cast("long")
+    values = values.withColumn("key", F.pmod(key, F.lit(2**bits)) if bits < 60 else key).withColumn("size", F.size("family"))
     per_key = values.groupBy(*sorted({*lead, "rank"}), "label", "size", "key").agg(F.countDistinct("family").alias("families"), F.count("*").alias("nodes")) if "label" not in lead else values.groupBy(*lead, "size", "key").agg(F.countDistinct("family").alias("families"), F.count("*").alias("nodes"))
     wrong = F.col("families") > 1
     return per_key.groupBy("rank").agg(F.count("*").alias("keys"), F.sum(wrong.cast("long")).alias("colliding_keys"), F.sum(F.when(wrong, F.col("nodes")).otherwise(0)).alias("colliding_nodes"))

@@ -13,7 +13,7 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -23,7 +23,7 @@ from dagquotient.operators.graph import LabeledDag
 
 #: Elements without content (fixed by HTML).
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-#: Node ids of a document start at its id times this.
+#: Node ids of a document start at its id times this, unless another stride is given; no document may have more nodes.
 STRIDE = 1_000_000
 #: Stands in traces for what is above a root; no label may be it.
 PAD = "#"
@@ -68,7 +68,12 @@ def tags(pages: DataFrame, doc: str = "page_id", html: str = "html") -> DataFram
     return pages.select(F.col(doc).cast("long").alias("doc_id"), html).mapInArrow(run, "doc_id long, pos int, is_start boolean, label string")
 
 
-def levels(stream: DataFrame) -> tuple[DataFrame, DataFrame]:
+def _node_id(doc: Column, nth: Column, stride: int) -> Column:
+    """Ids of two documents never meet: a document that is larger than the stride is an error."""
+    return F.when(nth < stride, doc * stride + nth).otherwise(F.raise_error(F.concat(F.lit(f"more than {stride} elements in document "), doc.cast("string"))))
+
+
+def levels(stream: DataFrame, stride: int = STRIDE) -> tuple[DataFrame, DataFrame]:
     """(doc_id, depth, id_on_level, node_id, label, parent) of start tags and (doc_id, parent_depth, parent_id, child_id).
 
     A start tag is a member of its level and asks the level above for its last member so far, in one window.
@@ -76,7 +81,7 @@ def levels(stream: DataFrame) -> tuple[DataFrame, DataFrame]:
     order = Window.partitionBy("doc_id").orderBy("pos")
     step = F.when(F.col("is_start"), 1).otherwise(-1)
     starts = stream.withColumns({"depth": (F.sum(step).over(order) - 1).cast("int"), "nth": F.sum(F.col("is_start").cast("long")).over(order) - 1}).where("is_start")
-    starts = starts.withColumn("node_id", F.col("doc_id") * STRIDE + F.col("nth"))
+    starts = starts.withColumn("node_id", _node_id(F.col("doc_id"), F.col("nth"), stride))
     asked = starts.select("*", F.explode(F.array(F.struct(F.lit(True).alias("member"), F.col("depth").alias("level")), F.struct(F.lit(False).alias("member"), (F.col("depth") - 1).alias("level")))).alias("x")).select("*", "x.*").where("level >= 0")
     at = Window.partitionBy("doc_id", "level").orderBy("pos")
     counted = asked.withColumns({"count": F.sum(F.col("member").cast("long")).over(at) - 1, "last": F.last(F.when(F.col("member"), F.col("node_id")), ignorenulls=True).over(at)})
@@ -86,9 +91,9 @@ def levels(stream: DataFrame) -> tuple[DataFrame, DataFrame]:
     return nodes, edges
 
 
-def tree_of(stream: DataFrame) -> DataFrame:
+def tree_of(stream: DataFrame, stride: int = STRIDE) -> DataFrame:
     """node_id, parent, depth, label, doc_id."""
-    return levels(stream)[0].select("node_id", "parent", "depth", "label", "doc_id")
+    return levels(stream, stride)[0].select("node_id", "parent", "depth", "label", "doc_id")
 
 
 def graph_of(tree: DataFrame) -> LabeledDag:
@@ -194,7 +199,7 @@ def _doubled(tree: DataFrame, k: int) -> DataFrame:
     return out.select("node_id", F.slice("trace", -(k + 1), k + 1).alias("trace"))
 
 
-def ak_stack(stream: DataFrame, k: int) -> DataFrame:
+def ak_stack(stream: DataFrame, k: int, stride: int = STRIDE) -> DataFrame:
     """node_id, trace from a balanced stream: the top of the stack of open labels at each start tag."""
 
     def run(table: pa.Table) -> pa.Table:
@@ -207,7 +212,9 @@ def ak_stack(stream: DataFrame, k: int) -> DataFrame:
                 out.append(stack[-(k + 1) :])
             else:
                 stack.pop()
-        return pa.table({"node_id": pa.array([doc * STRIDE + i for i in range(len(out))], pa.int64()), "trace": pa.array(out, pa.list_(pa.string()))})
+        if len(out) > stride:
+            raise ValueError(f"more than {stride} elements in document {doc}")
+        return pa.table({"node_id": pa.array([doc * stride + i for i in range(len(out))], pa.int64()), "trace": pa.array(out, pa.list_(pa.string()))})
 
     if not stream.where(F.col("label") == PAD).isEmpty():
         raise ValueError(f"the label {PAD!r} is reserved for traces")

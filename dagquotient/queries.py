@@ -20,7 +20,7 @@ _queries: dict[str, Query] = {}
 _oracles: dict[str, str] = {}
 
 #: Upper bounds of the longest path at the sizes that SQL is run on.
-ROUNDS = {"containment": 5, "reference": 5, "random": 30, "two_tier": 30, "event_chain": 100, "conversation": 12, "dense1": 24, "dense10": 40, "dense50": 80, "dense100": 105, "pages": 60}
+ROUNDS = {"containment": 5, "reference": 5, "random": 30, "two_tier": 30, "event_chain": 100, "conversation": 12, "event_session": 60, "document_sources": 3, "dense0": 1, "dense1": 24, "dense10": 40, "dense50": 80, "dense100": 105, "pages": 60}
 
 
 def add(name: str, f: Query, sql: str | None = None) -> None:
@@ -42,7 +42,7 @@ def _index(p: Callable) -> Callable:
 
 
 # --- forward partitions --------------------------------------------------------------------------------------------
-for _name in ("containment", "reference", "random", "two_tier", "event_chain", "conversation", "dense1", "dense10", "dense50", "dense100", "pages"):
+for _name in ("containment", "reference", "random", "two_tier", "event_chain", "conversation", "dense0", "dense1", "dense10", "dense50", "dense100", "event_session", "document_sources", "pages"):
     add(f"forward_{_name}", _graph(_name, lambda g: _ids(partition.forward_partition(g))), O.forward(O.ctes(_name), ROUNDS[_name]))
 for _name in ("containment", "reference", "random"):
     _sql = O.forward(O.ctes(_name), ROUNDS[_name])
@@ -67,6 +67,10 @@ for _name in ("containment", "reference", "random", "event_chain", "conversation
 add("rank_relaxation_reference", _graph("reference", lambda g: ranks.by_relaxation(g).select("node_id", "rank")), O.rank(O.ctes("reference")))
 add("rank_blocks_random", _graph("random", lambda g: ranks.by_blocks(g).select("node_id", "rank")), O.rank(O.ctes("random")))
 add("rank_recursive_sql_containment", _graph("containment", lambda g: ranks.by_recursive_sql(g).select("node_id", "rank")), O.rank(O.ctes("containment")))
+for _name in ("random", "dense10"):
+    add(f"rank_supersteps_{_name}", _graph(_name, lambda g: ranks.by_peeling(g, fuse_rows=0).select("node_id", "rank")), O.rank(O.ctes(_name)))
+for _start in ("rank_label", "rank_label_hash"):  # the first experiment: both starts on the random graph
+    add(f"forward_random_{_start}", _graph("random", lambda g, s=_start: _ids(partition.forward_partition(g, "sweep", s))), _random)
 add("rank_supersteps_containment", _graph("containment", lambda g: ranks.by_peeling(g, fuse_rows=0).select("node_id", "rank")), O.rank(O.ctes("containment")))
 
 
@@ -162,9 +166,19 @@ def _stats(g) -> DataFrame:
     return index.index_stats(_index(partition.forward_partition)(g))
 
 
-add("cost_collisions", _graph("random", _collisions))
-add("cost_index_stats", _graph("reference", _stats))
-add("cost_predicted_io", lambda spark, d: cost.predicted(spark, *fixtures.graph(spark, d, "random").size()))
+_head, _tail = _random[: _random.rindex("SELECT id")], _random[_random.rindex("SELECT id") :]
+_collision_sql = f"""{_head}, q AS ({_tail}), {_rank_of[len(O.ctes('random')) + 1 :].strip().removeprefix(',')},
+f AS (SELECT n.node_id, n.label, r.rank, coalesce(string_agg(DISTINCT c.block_id::VARCHAR, ',' ORDER BY c.block_id::VARCHAR), '') AS any_order, list_sort(list(DISTINCT c.block_id) FILTER (WHERE c.block_id IS NOT NULL)) AS family
+      FROM n JOIN r USING (node_id) LEFT JOIN e ON e.parent = n.node_id LEFT JOIN q c ON c.node_id = e.child GROUP BY ALL),
+k AS (SELECT rank, label, coalesce(len(family), 0) AS size, ('0x' || substr(md5(coalesce(array_to_string(family, ','), '')), 1, 15))::BIGINT % 64 AS key, count(DISTINCT any_order) AS families, count(*) AS nodes FROM f GROUP BY ALL)
+SELECT rank, count(*) AS keys, count(*) FILTER (WHERE families > 1) AS colliding_keys, coalesce(sum(nodes) FILTER (WHERE families > 1), 0)::BIGINT AS colliding_nodes FROM k GROUP BY rank"""
+add("cost_collisions", _graph("random", _collisions), _collision_sql)
+_ref = O.forward(O.ctes("reference"), ROUNDS["reference"])
+_ref_at = _ref.rindex("SELECT id AS node_id")
+add("cost_index_stats", _graph("reference", _stats), f"{_ref[:_ref_at]}, q AS ({_ref[_ref_at:]}), z AS (SELECT block_id, count(*) AS c FROM q GROUP BY 1), x AS (SELECT DISTINCT a.block_id AS p, b.block_id AS c FROM e JOIN q a ON a.node_id = e.parent JOIN q b ON b.node_id = e.child) SELECT sum(c)::BIGINT AS nodes, count(*) AS blocks, (SELECT count(*) FROM x) AS edges, max(c) AS largest, count(*) FILTER (WHERE c = 1) AS singletons FROM z")
+_sorted = lambda x: f"CASE WHEN {x} <= 1048576 OR {x} <= 4096 THEN ceil({x} / 4096) ELSE ceil({x} / 4096 * greatest(1.0, ln({x} / 4096) / ln(256.0))) END"
+_io = {"general": _sorted("(v + w)"), "queue": _sorted("w"), "families": _sorted("w"), "group": "ceil((v + 2 * w) / 4096)", "one_index": _sorted("v"), "ak": _sorted("(2 * v)")}
+add("cost_predicted_io", lambda spark, d: cost.predicted(spark, *fixtures.graph(spark, d, "random").size()), f"{O.ctes('random')}, s AS (SELECT (SELECT count(*) FROM n) AS v, (SELECT count(*) FROM e) AS w) " + " UNION ALL ".join(f"SELECT '{k}' AS kind, ({x})::BIGINT AS transfers FROM s" for k, x in _io.items()))
 _exact_pairs = "(SELECT sum(c * (c - 1) // 2) FROM (SELECT count(*) AS c FROM s GROUP BY sig))"
 add("error_of_k2", _graph("reference", lambda g: partition.partition_error(cut(partition.k_partition(g, 2)), cut(partition.forward_partition(g)))), f"{O.ctes('reference')}, {O.signatures('s', 5)}, {O.signatures('k', 2, keep=True)}, j AS (SELECT s.sig AS a, k.sig AS b FROM s JOIN k ON s.id = k.id), p AS (SELECT (SELECT sum(c * (c - 1) // 2) FROM (SELECT count(*) AS c FROM j GROUP BY b)) AS x, (SELECT sum(c * (c - 1) // 2) FROM (SELECT count(*) AS c FROM j GROUP BY a)) AS y, (SELECT sum(c * (c - 1) // 2) FROM (SELECT count(*) AS c FROM j GROUP BY a, b)) AS z) SELECT (x - z)::BIGINT AS merged, (y - z)::BIGINT AS split FROM p")
 
@@ -214,6 +228,12 @@ add("rollup_labels", lambda spark, d: fixtures.graph(spark, d, "reference").node
 add("top_blocks_reference", _graph("reference", lambda g: _index(partition.forward_partition)(g).blocks.select("block_id", "label", "n_members", F.row_number().over(Window.partitionBy("label").orderBy(F.desc("n_members"), "block_id")).cast("long").alias("place")).where("place <= 3")), O.quotient_nodes(O.forward(O.ctes("reference"), 5)).replace("GROUP BY block_id", "GROUP BY block_id QUALIFY row_number() OVER (PARTITION BY min(label) ORDER BY count(*) DESC, block_id) <= 3").replace("count(*) AS n_members FROM", "count(*) AS n_members, row_number() OVER (PARTITION BY min(label) ORDER BY count(*) DESC, block_id) AS place FROM"))
 
 
+from dagquotient import surface  # noqa: E402
+
+for _name, (_query, _sql) in surface.QUERIES.items():
+    add(_name, _query, _sql)
+
+
 def queries() -> dict[str, Query]:
     return dict(_queries)
 

@@ -51,6 +51,16 @@ CONVERSATION = (
     "SELECT conv_id * 1000 + turn AS node_id, role AS label FROM {conversations}",
     "SELECT conv_id * 1000 + turn AS parent, conv_id * 1000 + nxt AS child FROM (SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS nxt FROM {conversations}) x WHERE nxt IS NOT NULL",
 )
+EVENT_SESSION = (
+    EVENT_CHAIN[0],
+    "SELECT event_id AS parent, child FROM (SELECT event_id, ts, lead(event_id) OVER w AS child, lead(ts) OVER w AS nxt FROM {events} WINDOW w AS (PARTITION BY user_id ORDER BY ts)) x WHERE nxt <= ts + INTERVAL '6' HOUR",
+)
+#: Documents, the pairs of source and language that they are from, and languages.
+_SOURCES = "(SELECT DISTINCT source, lang FROM {documents})"
+DOCUMENT_SOURCES = (
+    "SELECT doc_id + 1000000000 AS node_id, 'doc' AS label FROM {documents} UNION ALL SELECT CAST(1000 + dense_rank() OVER (ORDER BY source, lang) AS BIGINT), concat('in:', lang) FROM " + _SOURCES + " x UNION ALL SELECT DISTINCT CAST(ascii(lang) * 256 + ascii(substr(lang, 2, 1)) - 30000 AS BIGINT), concat('w:', lang) FROM {documents}",
+    "SELECT doc_id + 1000000000 AS parent, k AS child FROM {documents} d JOIN (SELECT source, lang, CAST(1000 + dense_rank() OVER (ORDER BY source, lang) AS BIGINT) AS k FROM " + _SOURCES + " y) x ON d.source = x.source AND d.lang = x.lang UNION SELECT CAST(1000 + dense_rank() OVER (ORDER BY source, lang) AS BIGINT), CAST(ascii(lang) * 256 + ascii(substr(lang, 2, 1)) - 30000 AS BIGINT) FROM " + _SOURCES + " z",
+)
 
 
 def dense(percent: int) -> tuple[str, str]:
@@ -60,7 +70,7 @@ def dense(percent: int) -> tuple[str, str]:
     )
 
 
-GRAPHS = {"containment": CONTAINMENT, "reference": REFERENCE, "random": RANDOM, "two_tier": TWO_TIER, "event_chain": EVENT_CHAIN, "conversation": CONVERSATION, "dense1": dense(1), "dense10": dense(10), "dense50": dense(50), "dense100": dense(100)}
+GRAPHS = {"containment": CONTAINMENT, "reference": REFERENCE, "random": RANDOM, "two_tier": TWO_TIER, "event_chain": EVENT_CHAIN, "conversation": CONVERSATION, "event_session": EVENT_SESSION, "document_sources": DOCUMENT_SOURCES, "dense0": dense(0), "dense1": dense(1), "dense10": dense(10), "dense50": dense(50), "dense100": dense(100)}
 
 
 def graph(spark: SparkSession, sf_dir: str, name: str) -> LabeledDag:

@@ -37,5 +37,8 @@ def dense_dag(spark: SparkSession, n: int, percent: int) -> LabeledDag:
 def random_tree(spark: SparkSession, n: int, fanout: int = 3, labels: int = 4, seed: int = 0) -> DataFrame:
     """A tree table in which node i hangs below node (i - 1) / fanout."""
     label = F.concat(F.lit("t"), (_mixed(F.lit(seed), F.col("id")) % labels).cast("string"))
-    depth = F.ceil(F.log(float(fanout), F.col("id") * (fanout - 1) + 1) - 1e-9).cast("int") if fanout > 1 else F.col("id").cast("int")
-    return spark.range(n).select(F.col("id").alias("node_id"), F.when(F.col("id") > 0, F.floor((F.col("id") - 1) / fanout)).alias("parent"), F.when(F.col("id") > 0, F.greatest(F.lit(1), depth)).otherwise(0).alias("depth"), label.alias("label"), F.lit(0).cast("long").alias("doc_id"))
+    first = [1]  # the first id of each level but the root's: as many as the tree is deep
+    while fanout > 1 and first[-1] < n:
+        first.append(first[-1] * fanout + 1)
+    depth = F.size(F.filter(F.array(*[F.lit(x).cast("long") for x in first]), lambda x: x <= F.col("id"))) if fanout > 1 else F.col("id").cast("int")
+    return spark.range(n).select(F.col("id").alias("node_id"), F.when(F.col("id") > 0, F.expr(f"(id - 1) div {fanout}")).alias("parent"), depth.alias("depth"), label.alias("label"), F.lit(0).cast("long").alias("doc_id"))
