@@ -140,8 +140,8 @@ def one_index(tree: DataFrame, method: str = "sweep") -> DataFrame:
 def fb_index(tree: DataFrame, mode: str = "stable") -> DataFrame:
     """node_id, block_id of the index that looks both ways.
 
-    stable: forward blocks, then a level sweep that starts from them as labels; no block can be split further from
-    either side. meet: the common refinement of the two one-way partitions, which may be coarser. fixpoint: both ways
+    stable: forward blocks, then nodes of equal paths of these from the root, by doubling; no block can be split further
+    from either side. meet: the common refinement of the two one-way partitions, which may be coarser. fixpoint: both ways
     in turn until nothing changes.
     """
     g = graph_of(tree).cut()
@@ -150,7 +150,7 @@ def fb_index(tree: DataFrame, mode: str = "stable") -> DataFrame:
         return P.meet(forward, one_index(tree))
     if mode == "stable":
         seeded = tree.drop("label").join(forward.select("node_id", F.col("block_id").cast("string").alias("label")), "node_id")
-        return one_index(seeded)
+        return one_index(cut(seeded), "path")
     return fb_fixpoint(g, forward)
 
 
