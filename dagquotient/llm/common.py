@@ -8,7 +8,7 @@ from collections.abc import Iterator
 from contextlib import contextmanager
 from weakref import WeakKeyDictionary
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 #: A broadcast side may hold this many rows at most; beyond it the join is left to shuffles.
@@ -16,6 +16,7 @@ BROADCAST_ROWS = 1_000_000
 #: Ends the life of shuffle files with the statement that made them; the session's own value is put back.
 _FREED = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _cuts: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
+_told: WeakKeyDictionary[DataFrame, dict[str, int]] = WeakKeyDictionary()
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -46,16 +47,25 @@ def freed(spark: SparkSession) -> Iterator[None]:
         spark.conf.set(_FREED, before)
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """``df`` written as a table to the shared folder and read again: its lineage ends there."""
+def cut(df: DataFrame, **sums: Column) -> DataFrame:
+    """``df`` written as a table to the shared folder and read again: its lineage ends there.
+
+    The tasks that write it count its rows, and take the aggregates ``sums``; ``told`` gives them without a job.
+    """
     at = f"{shared_dir(df.sparkSession)}/cut-{uuid.uuid4().hex}"
+    seen = Observation()
     with freed(df.sparkSession):
-        df.write.parquet(at)
+        df.observe(seen, F.count(F.lit(1)).alias("rows"), *[c.alias(name) for name, c in sums.items()]).write.parquet(at)
     out = df.sparkSession.read.schema(df.schema).parquet(at)
-    _cuts[out] = at
+    _cuts[out], _told[out] = at, seen.get
     return out
 
 
+def told(df: DataFrame, name: str = "rows") -> int | None:
+    """The number of rows of a table that ``cut`` wrote, or another of the aggregates that it was asked for."""
+    return _told[df][name]
+
+
 def drop(*cuts: DataFrame) -> None:
     """Deletes the tables of ``cut`` that no result is read from any more."""
     for df in cuts:

@@ -32,7 +32,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import cut, drop, freed, packed, small
+from dagquotient.llm.common import cut, drop, freed, packed, small, told
 from dagquotient.llm.components import components
 
 #: Rows of a block, entries that are sorted at once, and n-grams that the sketch of common ones keeps: they come last.
@@ -348,7 +348,7 @@ def _blocks(members: DataFrame, entries: Column) -> DataFrame:
     main = per_root.groupBy("g").agg(F.max(F.struct("c", "e", "root")).alias("x"), F.sum("c").alias("m"), F.sum("e").alias("all"))
     parts = lambda rows, size: F.greatest(F.ceil(rows / BLOCK_ROWS), F.ceil(size / BLOCK_ENTRIES)).cast("long")
     main = cut(main.where("m > x.c").select("g", F.col("x.root").alias("main"), parts(F.col("m"), F.col("all")).alias("blocks"), parts(F.col("m") - F.col("x.c"), F.col("all") - F.col("x.e")).alias("parts")))
-    both = members.join(small(main, main.count()), "g")
+    both = members.join(small(main, told(main)), "g")
     own = both.select("g", F.pmod(F.xxhash64("cid", "g"), "blocks").alias("i"), F.explode(F.expr("sequence(0L, parts - 1)")).alias("j"), "cid", "n", "root")
     visits = both.where("root <> main").select("g", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("i"), F.pmod(F.xxhash64("g", "cid"), "parts").alias("j"), "cid", "n", "root")
     return own.union(visits).distinct()
@@ -358,10 +358,10 @@ def _met(blocks: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent
     """a, b: what connects linked classes of the blocks, by the whole sets of one text of each class."""
     blocks = cut(blocks)
     asked = cut(blocks.select("cid").distinct())
-    n_asked = asked.count()
+    n_asked = told(asked)
     who = classes.join(small(asked, n_asked), "cid", "left_semi").select("cid", "d", "th")
     sets_of = cut(_sets_of(docs.select(*_row_keys(), "text").join(small(who, n_asked), ["d", "th"]), n))
-    if sets_of.count() > n_asked:  # rows alike in id and text
+    if told(sets_of) > n_asked:  # rows alike in id and text
         sets_of = sets_of.dropDuplicates(["cid"])
     out = cut(blocks.join(sets_of, "cid").groupBy("g", "i", "j").applyInArrow(_links(percent), "a long, b long"))
     drop(blocks, asked, sets_of)
@@ -378,7 +378,7 @@ def _by_keys(classes: DataFrame) -> DataFrame:
     for key in ("low", "high"):
         groups = classes.groupBy(F.col(key).alias("g")).agg(F.min(F.struct("cid", "n")).alias("first"), F.count("*").alias("m"), F.sum("n").alias("e")).where("m > 1")
         groups = cut(groups.select("g", F.col("first.cid").alias("cid"), F.col("first.n").alias("n"), F.greatest(F.ceil(F.col("m") / BLOCK_ROWS), F.ceil(F.col("e") / BLOCK_ENTRIES)).cast("long").alias("blocks")))
-        each = classes.join(small(groups.select(F.col("g").alias(key), "blocks"), groups.count()), key).select(F.col(key).alias("g"), F.pmod(F.xxhash64("cid"), "blocks").alias("i"), "cid", "n")
+        each = classes.join(small(groups.select(F.col("g").alias(key), "blocks"), told(groups)), key).select(F.col(key).alias("g"), F.pmod(F.xxhash64("cid"), "blocks").alias("i"), "cid", "n")
         first = groups.where("blocks > 1").select("g", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("i"), "cid", "n")
         rows = each.union(first).distinct().withColumns({"j": F.lit(0 if key == "low" else 1).cast("long"), "root": F.col("cid")})
         out = rows if out is None else out.unionByName(rows)
@@ -395,18 +395,18 @@ def _candidates(rows: DataFrame, classes: DataFrame, roots: DataFrame, n_roots:
     """a, b: what connects classes that ``roots`` does not connect and that may be linked, as far as fronts tell."""
     postings = rows.where("n > 0").select("cid", "n", F.explode("front").alias("h"))
     shared = cut(postings.groupBy("h").agg(F.min("cid").alias("least"), F.max("cid").alias("most")).where("least <> most").select("h"))
-    held = cut(postings.join(small(shared, shared.count()), "h").dropDuplicates(["h", "cid"]))
+    held = cut(postings.join(small(shared, told(shared)), "h").dropDuplicates(["h", "cid"]))
     drop(shared)
     postings = cut(_rooted(held, roots, n_roots, "cid", "root"))
     drop(held)
     mixed = F.xxhash64("cid")
-    lists = cut(postings.groupBy("h").agg(F.count("*").alias("m"), F.min("root").alias("r0"), F.max("root").alias("r1"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y")).where("r0 <> r1"))
+    lists = cut(postings.groupBy("h").agg(F.count("*").alias("m"), F.min("root").alias("r0"), F.max("root").alias("r1"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y")).where("r0 <> r1"), brief=F.count_if(F.col("m") <= SHORT))
     brief = lists.where(F.col("m") <= SHORT).select("h")
-    pairs = cut(_pairs(postings.join(small(brief, brief.count()), "h", "left_semi"), percent))
+    pairs = cut(_pairs(postings.join(small(brief, told(lists, "brief")), "h", "left_semi"), percent))
     # longer lists, one of each membership
     long_ = cut(lists.where(F.col("m") > SHORT).groupBy("m", "x", "y").agg(F.min("h").alias("h")).select("h"))
     drop(lists)
-    n_long = long_.count()
+    n_long = told(long_)
     if not n_long:
         drop(postings, long_)
         return pairs
@@ -430,13 +430,13 @@ def _class_roots(rows: DataFrame, docs: DataFrame, n: int, percent: int) -> Data
     classes = cut(rows.where("n > 0").groupBy("cid").agg(F.min(F.struct("d", "th")).alias("x"), *[F.first(c).alias(c) for c in ("n", "low", "high")]).select("cid", "x.d", "x.th", "n", "low", "high"))
     links = _met(_by_keys(classes), classes, docs, n, percent)
     roots = cut(components(links))
-    n_roots = roots.count()
+    n_roots = told(roots)
     open_ = _candidates(rows, classes, roots, n_roots, percent)
     # classes that may be linked with others, by the groups that these make
     ends = _rooted(_rooted(open_, roots, n_roots, "a", "ra"), roots, n_roots, "b", "rb").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
     groups = cut(components(ends))
     members = _rooted(open_.select(F.explode(F.array("a", "b")).alias("cid")).distinct().join(classes.select("cid", "n"), "cid"), roots, n_roots, "cid", "root")
-    members = cut(_rooted(members, groups, groups.count(), "root", "g").select("g", "cid", "n", "root"))
+    members = cut(_rooted(members, groups, told(groups), "root", "g").select("g", "cid", "n", "root"))
     more = _met(_blocks(members, F.col("n")), classes, docs, n, percent)
     # roots of roots: links that were found last connect what the first ones did
     ends = _rooted(_rooted(more, roots, n_roots, "a", "ra"), roots, n_roots, "b", "rb").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
@@ -460,13 +460,14 @@ def _joined(docs: DataFrame, n: int, percent: int) -> DataFrame:
     """doc_id, th, n_shingles, root, component_id; ``root`` tells components apart and is null, as component_id is, of empty sets."""
     docs = docs.select("doc_id", "text")
     rows = cut(_fronts(docs, n, percent))
-    root = _class_roots(rows, docs, n, percent).select(F.col("cid").alias("node"), "root")
-    n_root = root.count()
+    found = _class_roots(rows, docs, n, percent)
+    n_root = told(found)
+    root = found.select(F.col("cid").alias("node"), "root")
     slim = cut(rows.select("d", "th", "cid", "n"))
     drop(rows)
     names = _rooted(slim.where("n > 0"), root, n_root, "cid", "root").groupBy("root").agg(F.min(F.when(F.col("d") != _NO_ID, F.col("d"))).alias("component_id"))
     names = cut(names)
-    out = _rooted(slim, root, n_root, "cid", "root").withColumn("root", F.when(F.col("n") > 0, F.col("root"))).join(small(names, names.count()), "root", "left")
+    out = _rooted(slim, root, n_root, "cid", "root").withColumn("root", F.when(F.col("n") > 0, F.col("root"))).join(small(names, told(names)), "root", "left")
     return out.select(F.when(F.col("d") != _NO_ID, F.col("d")).alias("doc_id"), "th", F.col("n").alias("n_shingles"), "root", "component_id")
 
 
@@ -479,9 +480,9 @@ def dedup(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     first = cut(_joined(docs, n, percent).where("n_shingles = 0 AND doc_id IS NOT NULL OR doc_id = component_id").select("doc_id", "th", "root"))
     linked = first.where("root IS NOT NULL").groupBy("root", "doc_id").agg(F.min("th").alias("th"))
     keep = cut(linked.select("doc_id", "th").union(first.where("root IS NULL").select("doc_id", "th").distinct()))
-    n_keep = keep.count()
+    n_keep = told(keep)
     kept = packed(docs, F.col("doc_id").alias("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"))
     kept = kept.join(small(keep, n_keep), ["doc_id", "th"], "left_semi")
-    if first.count() > n_keep:  # ids that several rows have
+    if told(first) > n_keep:  # ids that several rows have
         kept = kept.dropDuplicates(["doc_id", "th"])
     return kept.select("row.*").unionByName(docs.where("doc_id IS NULL"))
