@@ -35,11 +35,11 @@ def hash_of(label: Column, hashes: Column, bits: int = 64) -> Column:
     return h if bits >= 64 else F.pmod(h, F.lit(2**bits))
 
 
-def local_hash(label: str, hashes: set[int], bits: int = 64) -> int:
-    """``hash_of`` outside Spark."""
+def local_hash(label: str | None, hashes: set[int], bits: int = 64) -> int:
+    """``hash_of`` outside Spark, which passes null labels over."""
     import xxhash
 
-    h = xxhash.xxh64_intdigest(label.encode(), 42)
+    h = 42 if label is None else xxhash.xxh64_intdigest(label.encode(), 42)
     for x in sorted(hashes):
         h = xxhash.xxh64_intdigest(struct.pack("<q", x), h)
     h = h - 2**64 if h >= 2**63 else h

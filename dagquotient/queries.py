@@ -10,7 +10,7 @@ from pyspark.sql.window import Window
 
 from dagquotient import oracles as O
 from dagquotient.functions.lineage import cut
-from dagquotient.operators import index, partition, ranks, refine, renumber, tree
+from dagquotient.operators import index, maintain, partition, ranks, refine, renumber, tree
 from dagquotient.plans import cost
 from dagquotient.sources import fixtures, generate
 from dagquotient.sources.tables import load, sql_over
@@ -216,6 +216,33 @@ def _twig(spark: SparkSession, d: str) -> DataFrame:
 
 add("twig_query_pages", _twig, f"{_pages} SELECT DISTINCT b.node_id FROM n a JOIN e ON e.parent = a.node_id JOIN n b ON b.node_id = e.child JOIN e f ON f.parent = b.node_id JOIN n c ON c.node_id = f.child JOIN e h ON h.parent = c.node_id JOIN n x ON x.node_id = h.child WHERE a.label = 'article' AND b.label = 'p' AND c.label = 'b' AND x.label = 'p'")
 
+# --- maintenance ---------------------------------------------------------------------------------------------------
+
+
+def _append_orders(spark: SparkSession, d: str) -> DataFrame:
+    """The reference graph without every fifth order and its lineitems, to which these are then added."""
+    g = fixtures.graph(spark, d, "reference").cut()
+    key = F.when(F.floor(F.col("node_id") / 10**14) == 7, F.floor(F.col("node_id") % 10**14 / 1000)).when(F.floor(F.col("node_id") / 10**14) == 6, F.col("node_id") % 10**14)
+    late = cut(g.nodes.where(F.coalesce(key % 5 == 0, F.lit(False))))
+    ids = late.select(F.col("node_id").alias("parent"))
+    old = maintain.LabeledDag(g.nodes.join(late, "node_id", "left_anti"), g.edges.join(ids, "parent", "left_anti")).cut()
+    found = maintain.append_nodes(old, cut(partition.forward_partition(old)), late, g.edges.join(ids, "parent", "left_semi"))
+    return maintain.renamed(found)
+
+
+def _changes(g) -> tuple[DataFrame, DataFrame]:
+    """Edges to insert, from nodes to children of their children, and edges to delete."""
+    below = g.edges.select(F.col("parent").alias("via"), F.col("child").alias("to"))
+    inserted = g.edges.where("parent % 499 = 7").join(below, F.col("child") == F.col("via")).select("parent", F.col("to").alias("child")).distinct()
+    return cut(inserted), cut(g.edges.where("(parent + child) % 1009 = 0"))
+
+
+_nodes_sql, _edges_sql = O.ctes("reference").removeprefix("WITH RECURSIVE ").rsplit(", e AS (", 1)
+_changed_sql = f"WITH RECURSIVE {_nodes_sql}, e0 AS ({_edges_sql}, e AS (SELECT parent, child FROM e0 WHERE (parent + child) % 1009 <> 0 UNION SELECT a.parent, b.child FROM e0 a JOIN e0 b ON b.parent = a.child WHERE a.parent % 499 = 7)"
+add("append_nodes_orders", _append_orders, O.forward(O.ctes("reference"), ROUNDS["reference"]))
+add("edge_changes", _graph("reference", lambda g: maintain.edge_changes(g, cut(partition.forward_partition(g)), *_changes(g))), O.forward(_changed_sql, ROUNDS["reference"]))
+add("edge_changes_recomputed", _graph("reference", lambda g: maintain.recompute(g, *_changes(g)).select("node_id", "block_id")), O.forward(_changed_sql, ROUNDS["reference"]))
+
 # --- generators and operators around them --------------------------------------------------------------------------
 add("dense_dag_edges", lambda spark, d: generate.dense_dag(spark, 200, 10).edges, "SELECT p AS parent, c AS child FROM range(200) x(p), range(200) y(c) WHERE c < p AND (p * 7919 + c * 104729) % 1000 < 100")
 _mix = lambda *v: "((" + __import__("functools").reduce(lambda x, y: f"((({x} + {y}) % 2147483648) * 1103515245 + 12345) % 2147483648", v, "0::BIGINT") + " * 1103515245 + 12345) % 2147483648) // 16"
