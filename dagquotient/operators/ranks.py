@@ -5,8 +5,10 @@ costs as much as one with many, so once nodes, edges and waiting messages that a
 does all remaining ranks (layer fusion). ``by_relaxation`` repeats a maximum until nothing changes; ``by_blocks``
 sweeps ranges of topological ids, each in one task, and repeats for what still waits for another block.
 
-A hash is made of the label and the sorted distinct hashes of the children, by the function that Spark calls
-``xxhash64``; nodes that are bisimilar have equal hashes.
+A hash is made of the label and the distinct hashes of the children, by the function that Spark calls ``xxhash64``;
+nodes that are bisimilar have equal hashes. ``commutative`` hashes take the children's as a count, a sum and an
+exclusive or, which are aggregated before the shuffle, so that no array is formed for a hub; ``sorted`` ones take them
+one by one in ascending order.
 """
 
 from __future__ import annotations
@@ -14,6 +16,7 @@ from __future__ import annotations
 import struct
 from collections import defaultdict
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -35,56 +38,147 @@ def hash_of(label: Column, hashes: Column, bits: int = 64) -> Column:
     return h if bits >= 64 else F.pmod(h, F.lit(2**bits))
 
 
-def local_hash(label: str | None, hashes: set[int], bits: int = 64) -> int:
-    """``hash_of`` outside Spark, which passes null labels over."""
+#: The low half of a hash, of which sums stay within 64 bits.
+_LOW = 2**32 - 1
+#: Fixed values of the 64-bit hash function.
+_P1, _P2, _P3, _P4, _P5 = 0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5
+
+
+def parts_of(hashes: Column) -> list[Column]:
+    """Aggregates that tell a set of child hashes, of which each may come once: count, exclusive or, sum."""
+    mixed = F.xxhash64(hashes)
+    return [F.count(hashes).alias("size"), F.bit_xor(mixed).alias("x"), F.sum(mixed.bitwiseAND(F.lit(_LOW))).alias("y")]
+
+
+def hash_of_parts(label: Column, bits: int = 64) -> Column:
+    """The commutative hash of a label and the columns that ``parts_of`` gives (null: no children)."""
+    h = F.xxhash64(label, *[F.coalesce(F.col(c), F.lit(0).cast("long")) for c in ("size", "x", "y")])
+    return h if bits >= 64 else F.pmod(h, F.lit(2**bits))
+
+
+def local_hash(label: str | None, hashes: set[int], bits: int = 64, combine: str = "sorted") -> int:
+    """A node's hash outside Spark, which passes null labels over."""
     import xxhash
 
+    values = sorted(hashes)
+    if combine == "commutative":
+        mixed = [xxhash.xxh64_intdigest(struct.pack("<q", x), 42) for x in values]
+        xor = 0
+        for m in mixed:
+            xor ^= m
+        values = [len(mixed), xor - 2**64 if xor >= 2**63 else xor, sum(m & _LOW for m in mixed)]
     h = 42 if label is None else xxhash.xxh64_intdigest(label.encode(), 42)
-    for x in sorted(hashes):
+    for x in values:
         h = xxhash.xxh64_intdigest(struct.pack("<q", x), h)
     h = h - 2**64 if h >= 2**63 else h
     return h if bits >= 64 else h % 2**bits
 
 
-def _finish(table: pa.Table, bits: int) -> pa.Table:
-    """All ranks of a part of a graph that is closed upwards; rows of kind node, edge or message."""
-    kind, a, b, label, rank = (table.column(c).to_pylist() for c in ("kind", "a", "b", "label", "rank"))
-    names: dict[int, str] = {}
-    waiting: dict[int, int] = defaultdict(int)
-    top: dict[int, int] = {}
-    hashes: dict[int, set[int]] = defaultdict(set)
-    above: dict[int, list[int]] = defaultdict(list)
-    for k, x, y, name, r in zip(kind, a, b, label, rank, strict=True):
-        if k == "node":
-            names[x] = name
-        elif k == "edge":
-            above[y].append(x)
-            waiting[x] += 1
-        else:
-            hashes[x].add(y)
-            top[x] = max(top.get(x, -1), r)
-    front = [x for x in names if not waiting[x]]
-    out = []
-    while front:
-        after = []
-        for x in front:
-            r, h = top.get(x, -1) + 1, local_hash(names[x], hashes.pop(x, set()), bits)
-            out.append((x, r, names[x], h))
-            for p in above[x]:
-                hashes[p].add(h)
-                if r > top.get(p, -1):
-                    top[p] = r
-                waiting[p] -= 1
-                if not waiting[p]:
-                    after.append(p)
-        front = after
-    columns = list(zip(*out, strict=True)) or [[], [], [], []]
-    return pa.table({"node_id": pa.array(columns[0], pa.int64()), "rank": pa.array(columns[1], pa.int32()), "label": pa.array(columns[2], pa.string()), "hash": pa.array(columns[3], pa.int64())})
+def _fold(values: np.ndarray, seeds: np.ndarray) -> np.ndarray:
+    """The hash of one 64-bit number each, from one seed each; unsigned, all at once."""
+
+    def turned(v: np.ndarray, by: int) -> np.ndarray:
+        return (v << np.uint64(by)) | (v >> np.uint64(64 - by))
+
+    h = seeds + np.uint64((_P5 + 8) % 2**64)
+    h = h ^ (turned(values * np.uint64(_P2), 31) * np.uint64(_P1))
+    h = turned(h, 27) * np.uint64(_P1) + np.uint64(_P4)
+    h = (h ^ (h >> np.uint64(33))) * np.uint64(_P2)
+    h = (h ^ (h >> np.uint64(29))) * np.uint64(_P3)
+    return h ^ (h >> np.uint64(32))
+
+
+def _hashes(seeds: np.ndarray, owner: np.ndarray, child: np.ndarray, bits: int, combine: str) -> np.ndarray:
+    """Hashes of nodes from the hashes of their labels and (owner, child hash) rows, repeated ones taken once."""
+    order = np.lexsort((child, owner))
+    owner, child = owner[order], child[order]
+    first = np.ones(len(owner), bool)
+    first[1:] = (owner[1:] != owner[:-1]) | (child[1:] != child[:-1])
+    owner, child = owner[first], child[first].astype(np.uint64)
+    size = np.bincount(owner, minlength=len(seeds))
+    begin = np.cumsum(size) - size
+    h = seeds
+    if combine == "commutative":
+        mixed, some = _fold(child, np.full(len(child), 42, np.uint64)), size > 0
+        x, y = np.zeros(len(seeds), np.uint64), np.zeros(len(seeds), np.uint64)
+        if len(mixed):
+            x[some] = np.bitwise_xor.reduceat(mixed, begin[some])
+            y[some] = np.add.reduceat(mixed & np.uint64(_LOW), begin[some])
+        for part in (size.astype(np.uint64), x, y):
+            h = _fold(part, h)
+    else:
+        h = h.copy()
+        for k in range(int(size.max(initial=0))):
+            at = np.flatnonzero(size > k)
+            h[at] = _fold(child[begin[at] + k], h[at])
+    h = h.astype(np.int64)
+    return h if bits >= 64 else h % 2**bits
+
+
+def _finish(table: pa.Table, bits: int, combine: str) -> pa.Table:
+    """All ranks of a part of a graph that is closed upwards; rows of kind node, edge or message.
+
+    A rank at a time, with arrays: messages count as children that are known already.
+    """
+    import pyarrow.compute as pc
+    import xxhash
+
+    def rows(kind: str, *names: str) -> list[np.ndarray]:
+        some = table.filter(pc.equal(table.column("kind"), kind))
+        return [some.column(c).to_numpy(zero_copy_only=False) for c in names]
+
+    named = table.filter(pc.equal(table.column("kind"), "node")).select(["a", "label"]).sort_by("a")
+    ids, labels = named.column("a").to_numpy().astype(np.int64), named.column("label").combine_chunks().dictionary_encode()
+    n = len(ids)
+    seed_of = np.array([xxhash.xxh64_intdigest(x.encode(), 42) for x in labels.dictionary.to_pylist()] + [42], np.uint64)
+    code = labels.indices.fill_null(len(seed_of) - 1).to_numpy(zero_copy_only=False).astype(np.int64)
+    (parent, child), (to, told, told_rank) = rows("edge", "a", "b"), rows("message", "a", "b", "rank")
+
+    def place(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        values = values.astype(np.int64)
+        at = np.searchsorted(ids, values)
+        return at, (ids[np.minimum(at, n - 1)] == values) if n else np.zeros(len(values), bool)
+
+    (parent, here), (child, there), (to, mine) = place(parent), place(child), place(to)
+    wait = np.bincount(parent[here], minlength=n)
+    both = here & there
+    parent, child = parent[both], child[both]
+    hashes = np.concatenate([np.zeros(n, np.int64), told[mine].astype(np.int64)])
+    rank = np.concatenate([np.full(n, -1, np.int64), told_rank[mine].astype(np.int64)])
+
+    def sparse(keys: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        order = np.argsort(keys, kind="stable")
+        return np.concatenate([[0], np.cumsum(np.bincount(keys, minlength=n))]), values[order]
+
+    down = sparse(np.concatenate([parent, to[mine]]), np.concatenate([child, n + np.arange(int(mine.sum()))]))
+    up = sparse(child, parent)
+
+    def entries(of: tuple[np.ndarray, np.ndarray], nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(position in ``nodes``, value) of what the sparse rows ``nodes`` hold."""
+        begin, many = of[0][nodes], of[0][nodes + 1] - of[0][nodes]
+        owner = np.repeat(np.arange(len(nodes)), many)
+        return owner, of[1][np.arange(len(owner)) + np.repeat(begin - (np.cumsum(many) - many), many)]
+
+    front, done = np.flatnonzero(wait == 0), []
+    while len(front):
+        owner, below = entries(down, front)
+        top = np.full(len(front), -1, np.int64)
+        np.maximum.at(top, owner, rank[below])
+        rank[front] = top + 1
+        hashes[front] = _hashes(seed_of[code[front]], owner, hashes[below], bits, combine)
+        done.append(front)
+        above, sent = np.unique(entries(up, front)[1], return_counts=True)
+        wait[above] -= sent
+        front = above[wait[above] == 0]
+    at = np.concatenate(done) if done else np.zeros(0, np.int64)
+    return pa.table({"node_id": ids[at], "rank": pa.array(rank[at].astype(np.int32)), "label": named.column("label").take(pa.array(at)).combine_chunks(), "hash": hashes[at]})
 
 
-def by_peeling(g: LabeledDag, bits: int = 64, fuse_rows: int = FUSE_ROWS) -> DataFrame:
-    """node_id, rank, label, hash. Raises ``CyclicGraph`` if there are nodes that can't be ranked."""
-    done, left = _peel(g, bits, fuse_rows)
+def by_peeling(g: LabeledDag, bits: int = 64, fuse_rows: int = FUSE_ROWS, combine: str = "commutative") -> DataFrame:
+    """node_id, rank, label, hash (``combine``: commutative or sorted). Raises ``CyclicGraph`` if a node can't be ranked."""
+    if combine not in ("commutative", "sorted"):
+        raise ValueError(f"unknown hash {combine}")
+    done, left = _peel(g, bits, fuse_rows, combine)
     if left is not None:
         some = [r["node_id"] for r in left.select("node_id").limit(5).collect()]
         raise CyclicGraph(f"on or above a cycle: {some}")
@@ -93,11 +187,11 @@ def by_peeling(g: LabeledDag, bits: int = 64, fuse_rows: int = FUSE_ROWS) -> Dat
 
 def cyclic_residue(g: LabeledDag) -> DataFrame:
     """node_id of the nodes on a cycle or above one; empty for a DAG."""
-    _, left = _peel(g, 64, FUSE_ROWS)
+    _, left = _peel(g, 64, FUSE_ROWS, "commutative")
     return g.nodes.select("node_id").limit(0) if left is None else left.select("node_id")
 
 
-def _peel(g: LabeledDag, bits: int, fuse_rows: int) -> tuple[DataFrame, DataFrame | None]:
+def _peel(g: LabeledDag, bits: int, fuse_rows: int, combine: str) -> tuple[DataFrame, DataFrame | None]:
     live = cut(g.nodes.join(g.edges.groupBy(F.col("parent").alias("node_id")).agg(F.count("*").alias("wait")), "node_id", "left").na.fill(0, ["wait"]))
     edges, inbox = g.edges, None
     done = None
@@ -109,17 +203,20 @@ def _peel(g: LabeledDag, bits: int, fuse_rows: int) -> tuple[DataFrame, DataFram
             rows = rows.unionByName(edges.select(F.lit("edge").alias("kind"), F.col("parent").alias("a"), F.col("child").alias("b"), F.lit(None).cast("string").alias("label"), F.lit(None).cast("int").alias("rank")))
             if inbox is not None:
                 rows = rows.unionByName(inbox.select(F.lit("message").alias("kind"), F.col("node_id").alias("a"), F.col("hash").alias("b"), F.lit(None).cast("string").alias("label"), "rank"))
-            rest = cut(rows.groupBy(F.lit(0).alias("one")).applyInArrow(lambda t: _finish(t, bits), "node_id long, rank int, label string, hash long"))
+            rest = cut(rows.groupBy(F.lit(0).alias("one")).applyInArrow(lambda t: _finish(t, bits, combine), "node_id long, rank int, label string, hash long"))
             done = rest if done is None else done.unionByName(rest)
             if rest.count() < n_live:
                 return done, live.join(rest, "node_id", "left_anti")
             return done, None
         ready = live.where("wait = 0")
-        if inbox is None:
-            front = ready.select("node_id", F.lit(0).alias("rank"), "label", hash_of(F.col("label"), F.array().cast("array<long>"), bits).alias("hash"))
+        family = (g.edges.select(F.col("parent").alias("node_id"), F.col("child").alias("hash"), F.lit(0).alias("rank")).limit(0) if inbox is None else inbox).groupBy("node_id")
+        if combine == "sorted":
+            known = family.agg(F.max("rank").alias("top"), F.collect_set("hash").alias("hashes"))
+            own = hash_of(F.col("label"), F.coalesce("hashes", F.array().cast("array<long>")), bits)
         else:
-            family = inbox.groupBy("node_id").agg(F.max("rank").alias("top"), F.collect_set("hash").alias("hashes"))
-            front = ready.join(family, "node_id", "left").select("node_id", (F.coalesce("top", F.lit(-1)) + 1).cast("int").alias("rank"), "label", hash_of(F.col("label"), F.coalesce("hashes", F.array().cast("array<long>")), bits).alias("hash"))
+            known = family.agg(F.max("rank").alias("top"), *parts_of(F.col("hash")))
+            own = hash_of_parts(F.col("label"), bits)
+        front = ready.join(known, "node_id", "left").select("node_id", (F.coalesce("top", F.lit(-1)) + 1).cast("int").alias("rank"), "label", own.alias("hash"))
         front = cut(front)
         n_front = front.count()
         if not n_front:
@@ -151,7 +248,7 @@ def by_relaxation(g: LabeledDag, max_rounds: int = 10_000) -> DataFrame:
     raise CyclicGraph(f"ranks still grow after {max_rounds} rounds")
 
 
-def _sweep(table: pa.Table, bits: int) -> pa.Table:
+def _sweep(table: pa.Table, bits: int, combine: str) -> pa.Table:
     """One block: nodes in the order of their ids; what waits for another block stays open."""
     import heapq
 
@@ -174,7 +271,7 @@ def _sweep(table: pa.Table, bits: int) -> pa.Table:
                 got, top = got + 1, max(top, r)
                 seen.add(h)
         if got == wait[x]:
-            h = local_hash(names[x], seen, bits)
+            h = local_hash(names[x], seen, bits, combine)
             out.append((x, top + 1, names[x], h))
             for p in up[x]:
                 if p in names:
@@ -183,7 +280,7 @@ def _sweep(table: pa.Table, bits: int) -> pa.Table:
     return pa.table({"node_id": pa.array(columns[0], pa.int64()), "rank": pa.array(columns[1], pa.int32()), "label": pa.array(columns[2], pa.string()), "hash": pa.array(columns[3], pa.int64())})
 
 
-def by_blocks(g: LabeledDag, n_blocks: int = 8, bits: int = 64) -> DataFrame:
+def by_blocks(g: LabeledDag, n_blocks: int = 8, bits: int = 64, combine: str = "commutative") -> DataFrame:
     """node_id, rank, label, hash for reverse-topological ids: sweeps over ranges of ids until no node waits."""
     if not g.edges.where("child >= parent").isEmpty():
         raise ValueError("ids must put children before parents")
@@ -202,7 +299,7 @@ def by_blocks(g: LabeledDag, n_blocks: int = 8, bits: int = 64) -> DataFrame:
             known = done.select(F.col("node_id").alias("child"), "rank", "hash")
             told = edges.join(known, "child").select(F.col("to").alias("block"), F.lit("message").alias("kind"), F.col("parent").alias("a"), F.col("hash").alias("b"), F.lit(None).cast("string").alias("label"), "rank")
             rows = rows.unionByName(told)
-        new = cut(rows.groupBy("block").applyInArrow(lambda t: _sweep(t, bits), "node_id long, rank int, label string, hash long"))
+        new = cut(rows.groupBy("block").applyInArrow(lambda t: _sweep(t, bits, combine), "node_id long, rank int, label string, hash long"))
         more = new.count()
         if not more:
             raise CyclicGraph("no block can go on")

@@ -27,10 +27,22 @@ def test_ranks_agree(sample, how):
     assert {r["node_id"]: r["rank"] for r in df.collect()} == rank
 
 
-def test_fused_and_unfused_hashes_are_the_same(sample):
-    g = sample[0]
-    a, b = ({(r["node_id"], r["hash"]) for r in ranks.by_peeling(g, fuse_rows=n).collect()} for n in (0, 10**6))
-    assert a == b
+@pytest.mark.parametrize("combine", ["commutative", "sorted"])
+def test_all_ways_give_the_same_hashes(spark, combine):
+    hub = build(spark, [(k, f"l{k % 7}" if k % 5 else None) for k in range(60)], [(59, k) for k in range(50)] + [(k, k - 30) for k in range(30, 58)]).cut()
+
+    def rows(df):
+        return {(r["node_id"], r["rank"], r["label"], r["hash"]) for r in df.collect()}
+
+    want = rows(ranks.by_peeling(hub, combine=combine))
+    assert rows(ranks.by_peeling(hub, 64, 0, combine)) == rows(ranks.by_peeling(hub, 64, 90, combine)) == rows(ranks.by_blocks(hub, 2, combine=combine)) == want
+    short = rows(ranks.by_peeling(hub, 5, 10**6, combine))
+    assert short == rows(ranks.by_peeling(hub, 5, 0, combine)) and all(0 <= r[3] < 32 for r in short)
+
+
+def test_unknown_hash_is_told(sample):
+    with pytest.raises(ValueError):
+        ranks.by_peeling(sample[0], combine="other")
 
 
 @pytest.mark.parametrize("args", [{}, {"bits": 3}, {"method": "sweep", "initial": "rank"}, {"method": "sweep", "initial": "rank_label", "family": "records", "bits": 2}])
