@@ -65,6 +65,16 @@ def roots(g: LabeledDag) -> DataFrame:
     return g.nodes.join(g.edges.select(F.col("child").alias("node_id")), "node_id", "left_anti")
 
 
+def children_of(g: LabeledDag, start: DataFrame) -> DataFrame:
+    """parent, child of the edges that leave the node_ids of ``start``."""
+    return g.edges.join(start.select(F.col("node_id").alias("parent")).distinct(), "parent", "left_semi")
+
+
+def parents_of(g: LabeledDag, start: DataFrame) -> DataFrame:
+    """parent, child of the edges that end at the node_ids of ``start``."""
+    return children_of(g.reverse(), start).select(F.col("child").alias("parent"), F.col("parent").alias("child"))
+
+
 def validate(g: LabeledDag, require_topological: bool = False) -> DataFrame:
     """kind, a, b: what is wrong with the graph, no row if nothing is. Cycles are told by ``ranks.cyclic_residue``."""
     none = F.lit(None).cast("long")

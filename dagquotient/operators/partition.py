@@ -79,16 +79,32 @@ def unstable(g: LabeledDag, partition: DataFrame) -> DataFrame:
     return seen.groupBy("block_id").agg(F.min("f").alias("a"), F.max("f").alias("b")).where("a <> b").select("block_id")
 
 
+def _laid_out(df: DataFrame, what: str, by: str) -> DataFrame:
+    """``df`` as a table in one folder for each value of ``by``, so that a filter on it reads no other rows."""
+    spark, at = df.sparkSession, fresh_path(df.sparkSession, what)
+    df.write.partitionBy(by).parquet(at)
+    return spark.read.schema(df.schema).parquet(at)
+
+
+def nodes_by_rank(ranked: DataFrame) -> DataFrame:
+    """Ranked nodes, laid out by rank."""
+    return _laid_out(ranked, "nodes-by-rank", "rank")
+
+
+def edges_with_ranks(g: LabeledDag, ranked: DataFrame) -> DataFrame:
+    """parent, child, parent_rank, child_rank."""
+    child, parent = (ranked.select(F.col("node_id").alias(end), F.col("rank").alias(f"{end}_rank")) for end in ("child", "parent"))
+    return g.edges.join(child, "child").join(parent, "parent").select("parent", "child", "parent_rank", "child_rank")
+
+
+def edges_by_rank(g: LabeledDag, ranked: DataFrame) -> DataFrame:
+    """Edges with ranks, laid out by the rank of the child."""
+    return _laid_out(edges_with_ranks(g, ranked), "edges-by-rank", "child_rank")
+
+
 def _sweep(g: LabeledDag, ranked: DataFrame, keys: list[str], family: str, bits: int) -> DataFrame:
     spark = g.nodes.sparkSession
-    layers = fresh_path(spark, "nodes-by-rank")
-    ranked.write.partitionBy("rank").parquet(layers)
-    nodes = spark.read.schema(ranked.schema).parquet(layers)
-    rank_of = ranked.select("node_id", "rank")
-    edges = g.edges.join(rank_of.select(F.col("node_id").alias("child"), F.col("rank").alias("child_rank")), "child").join(rank_of.select(F.col("node_id").alias("parent"), F.col("rank").alias("parent_rank")), "parent")
-    between = fresh_path(spark, "edges-by-rank")
-    edges.write.partitionBy("child_rank").parquet(between)
-    edges = spark.read.schema(edges.select("parent", "child", "parent_rank", "child_rank").schema).parquet(between)
+    nodes, edges = nodes_by_rank(ranked), edges_by_rank(g, ranked)
     store, message = fresh_path(spark, "messages"), "node_id long, block_id long, parent_rank int"
     out = fresh_path(spark, "blocks")
     top = ranked.agg(F.max("rank")).first()[0]

@@ -25,6 +25,8 @@ from dagquotient.operators.graph import LabeledDag
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 #: Node ids of a document start at its id times this, unless another stride is given; no document may have more nodes.
 STRIDE = 1_000_000
+#: Tags of a document that one window may hold in ``levels_in_chunks``.
+CHUNK = 1_000_000
 #: Stands in traces for what is above a root; no label may be it.
 PAD = "#"
 _comment = re.compile(r"<!--.*?-->", re.S)
@@ -85,12 +87,41 @@ def levels(stream: DataFrame, stride: int = STRIDE) -> tuple[DataFrame, DataFram
     asked = starts.select("*", F.explode(F.array(F.struct(F.lit(True).alias("member"), F.col("depth").alias("level")), F.struct(F.lit(False).alias("member"), (F.col("depth") - 1).alias("level")))).alias("x")).select("*", "x.*").where("level >= 0")
     at = Window.partitionBy("doc_id", "level").orderBy("pos")
     counted = asked.withColumns({"count": F.sum(F.col("member").cast("long")).over(at) - 1, "last": F.last(F.when(F.col("member"), F.col("node_id")), ignorenulls=True).over(at)})
+    return _paired(counted)
+
+
+def _paired(counted: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Nodes and edges from the two rows of an element: as a member of its level, and as it asks the one above."""
     both = counted.groupBy("doc_id", "pos", "depth", "node_id", "label").agg(F.max(F.when(F.col("member"), F.col("count"))).alias("id_on_level"), F.max(F.when(~F.col("member"), F.col("count"))).alias("parent_id"), F.max(F.when(~F.col("member"), F.col("last"))).alias("parent"))
     nodes = both.select("doc_id", "depth", "id_on_level", "node_id", "label", "parent")
     edges = both.where("parent IS NOT NULL").select("doc_id", (F.col("depth") - 1).alias("parent_depth"), "parent_id", F.col("id_on_level").alias("child_id"))
     return nodes, edges
 
 
+def levels_in_chunks(stream: DataFrame, chunk: int = CHUNK, stride: int = STRIDE) -> tuple[DataFrame, DataFrame]:
+    """What ``levels`` gives, for documents of any length: no window holds more than ``chunk`` tags.
+
+    Three numbers are carried from chunk to chunk by windows over one row a chunk: the depth and the elements so far,
+    and on each level the members so far with the last of them.
+    """
+    earlier = Window.partitionBy("doc_id").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    step = F.when(F.col("is_start"), 1).otherwise(-1)
+    dealt = stream.withColumn("part", F.floor(F.col("pos") / chunk))
+    sums = dealt.groupBy("doc_id", "part").agg(F.sum(step).alias("rise"), F.sum(F.col("is_start").cast("long")).alias("born"))
+    carried = sums.select("doc_id", "part", F.coalesce(F.sum("rise").over(earlier), F.lit(0)).alias("from_depth"), F.coalesce(F.sum("born").over(earlier), F.lit(0)).alias("from_nth"))
+    order = Window.partitionBy("doc_id", "part").orderBy("pos")
+    starts = dealt.join(carried, ["doc_id", "part"]).withColumns({"depth": (F.sum(step).over(order) + F.col("from_depth") - 1).cast("int"), "nth": F.sum(F.col("is_start").cast("long")).over(order) + F.col("from_nth") - 1}).where("is_start")
+    starts = starts.select("doc_id", "part", "pos", "label", "depth", _node_id(F.col("doc_id"), F.col("nth"), stride).alias("node_id"))
+    asked = starts.select("*", F.explode(F.array(F.struct(F.lit(True).alias("member"), F.col("depth").alias("level")), F.struct(F.lit(False).alias("member"), (F.col("depth") - 1).alias("level")))).alias("x")).select("*", "x.*").where("level >= 0")
+    on_level = Window.partitionBy("doc_id", "level").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    seen = asked.groupBy("doc_id", "level", "part").agg(F.sum(F.col("member").cast("long")).alias("members"), F.max(F.when(F.col("member"), F.col("node_id"))).alias("newest"))
+    seen = seen.select("doc_id", "level", "part", F.coalesce(F.sum("members").over(on_level), F.lit(0)).alias("from_count"), F.max("newest").over(on_level).alias("from_last"))
+    at = Window.partitionBy("doc_id", "level", "part").orderBy("pos")
+    last = F.last(F.when(F.col("member"), F.col("node_id")), ignorenulls=True).over(at)
+    counted = asked.join(seen, ["doc_id", "level", "part"]).withColumns({"count": F.sum(F.col("member").cast("long")).over(at) + F.col("from_count") - 1, "last": F.coalesce(last, F.col("from_last"))})
+    return _paired(counted)
+
+
 def tree_of(stream: DataFrame, stride: int = STRIDE) -> DataFrame:
     """node_id, parent, depth, label, doc_id."""
     return levels(stream, stride)[0].select("node_id", "parent", "depth", "label", "doc_id")

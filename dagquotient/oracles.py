@@ -102,3 +102,11 @@ def path(head: str, labels: list[str], anchored: bool = False) -> str:
     joins = " ".join(f"JOIN e e{k} ON e{k}.parent = n{k - 1}.node_id JOIN n n{k} ON n{k}.node_id = e{k}.child AND n{k}.label = '{x}'" for k, x in enumerate(labels) if k)
     root = " AND NOT EXISTS (SELECT 1 FROM e WHERE e.child = n0.node_id)" if anchored else ""
     return f"{head} SELECT DISTINCT n{len(labels) - 1}.node_id FROM n n0 {joins} WHERE n0.label = '{labels[0]}'{root}"
+
+
+#: Blocks of documents by the sets of their lines, lines by the sets of their words.
+DOCUMENT_WORDS = r"""WITH l AS (SELECT DISTINCT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents),
+w AS (SELECT line, unnest(string_split_regex(line, '[ \t\r\f\x0b]+')) AS word FROM (SELECT DISTINCT line FROM l)),
+s AS (SELECT line, md5(coalesce(string_agg(DISTINCT word, ' ' ORDER BY word) FILTER (word <> ''), '')) AS sig FROM w GROUP BY line),
+x AS (SELECT o.doc_id, md5(coalesce(string_agg(DISTINCT s.sig, ',' ORDER BY s.sig), '')) AS sig FROM documents o LEFT JOIN l USING (doc_id) LEFT JOIN s USING (line) GROUP BY o.doc_id)
+SELECT doc_id AS node_id, min(doc_id) OVER (PARTITION BY sig) AS block_id FROM x"""

@@ -10,7 +10,7 @@ from pyspark.sql.window import Window
 
 from dagquotient import oracles as O
 from dagquotient.functions.lineage import cut
-from dagquotient.operators import index, maintain, partition, ranks, refine, renumber, tree
+from dagquotient.operators import graph, index, maintain, partition, ranks, refine, renumber, tree
 from dagquotient.plans import cost
 from dagquotient.sources import fixtures, generate
 from dagquotient.sources.tables import load, sql_over
@@ -72,6 +72,7 @@ for _name in ("random", "dense10"):
 for _start in ("rank_label", "rank_label_hash"):  # the first experiment: both starts on the random graph
     add(f"forward_random_{_start}", _graph("random", lambda g, s=_start: _ids(partition.forward_partition(g, "sweep", s))), _random)
 add("rank_supersteps_containment", _graph("containment", lambda g: ranks.by_peeling(g, fuse_rows=0).select("node_id", "rank")), O.rank(O.ctes("containment")))
+add("forward_sorted_hash", _graph("containment", lambda g: partition.certified(g, cut(ranks.by_peeling(g, combine="sorted")))), O.forward(O.ctes("containment"), 5))
 
 
 def _renumbered(g, which: int) -> DataFrame:
@@ -95,6 +96,7 @@ def _tree(f) -> Query:
 
 add("pages_tree_nodes", _tree(lambda t: t.select("node_id", F.coalesce("parent", F.lit(-1)).alias("parent"), F.col("depth").cast("long").alias("depth"), "label")), f"{O.page_ctes()} SELECT node_id, coalesce(parent, -1) AS parent, depth, label FROM t")
 add("pages_tree_levels", lambda spark, d: tree.levels(fixtures.page_tags(spark, d))[0].select("node_id", F.col("depth").cast("long").alias("depth"), "id_on_level"), f"{O.page_ctes()} SELECT node_id, depth, row_number() OVER (PARTITION BY doc, depth ORDER BY node_id) - 1 AS id_on_level FROM t")
+add("pages_tree_levels_chunked", lambda spark, d: tree.levels_in_chunks(fixtures.page_tags(spark, d), 16)[0].select("node_id", F.col("depth").cast("long").alias("depth"), "id_on_level"), f"{O.page_ctes()} SELECT node_id, depth, row_number() OVER (PARTITION BY doc, depth ORDER BY node_id) - 1 AS id_on_level FROM t")
 _levels = "l AS (SELECT doc, node_id, parent, depth, row_number() OVER (PARTITION BY doc, depth ORDER BY node_id) - 1 AS k FROM t)"
 add("pages_tree_edges", lambda spark, d: tree.levels(fixtures.page_tags(spark, d))[1].select("doc_id", F.col("parent_depth").cast("long").alias("parent_depth"), "parent_id", "child_id"), f"{O.page_ctes()}, {_levels} SELECT c.doc AS doc_id, p.depth AS parent_depth, p.k AS parent_id, c.k AS child_id FROM l c JOIN l p ON p.node_id = c.parent")
 for _method in ("path", "general"):
@@ -255,10 +257,21 @@ add("rollup_labels", lambda spark, d: fixtures.graph(spark, d, "reference").node
 add("top_blocks_reference", _graph("reference", lambda g: _index(partition.forward_partition)(g).blocks.select("block_id", "label", "n_members", F.row_number().over(Window.partitionBy("label").orderBy(F.desc("n_members"), "block_id")).cast("long").alias("place")).where("place <= 3")), O.quotient_nodes(O.forward(O.ctes("reference"), 5)).replace("GROUP BY block_id", "GROUP BY block_id QUALIFY row_number() OVER (PARTITION BY min(label) ORDER BY count(*) DESC, block_id) <= 3").replace("count(*) AS n_members FROM", "count(*) AS n_members, row_number() OVER (PARTITION BY min(label) ORDER BY count(*) DESC, block_id) AS place FROM"))
 
 
-from dagquotient import surface  # noqa: E402
+from dagquotient import surface, workloads  # noqa: E402
 
 for _name, (_query, _sql) in surface.QUERIES.items():
     add(_name, _query, _sql)
+for _name, _query in workloads.QUERIES.items():  # seconds and bytes as they are measured: no SQL
+    add(_name, _query)
+
+
+def _document_blocks(spark: SparkSession, d: str) -> DataFrame:
+    p = partition.forward_partition(fixtures.document_words(spark, d).cut())
+    return p.where("node_id % 4 = 0").select(F.expr("node_id div 4").alias("node_id"), F.expr("block_id div 4").alias("block_id"))
+
+
+add("forward_documents", _document_blocks, O.DOCUMENT_WORDS)
+add("degrees_random", _graph("random", graph.degrees), f"{O.ctes('random')} SELECT node_id, coalesce(c, 0) AS children, coalesce(p, 0) AS parents FROM n LEFT JOIN (SELECT parent AS node_id, count(*) AS c FROM e GROUP BY 1) USING (node_id) LEFT JOIN (SELECT child AS node_id, count(*) AS p FROM e GROUP BY 1) USING (node_id)")
 
 
 def queries() -> dict[str, Query]:

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from dagquotient.functions.lineage import cut
 from dagquotient.operators import tree
 from dagquotient.operators.graph import LabeledDag
 from dagquotient.sources.tables import load, sql_over
@@ -80,6 +81,24 @@ def graph(spark: SparkSession, sf_dir: str, name: str) -> LabeledDag:
     return LabeledDag.of(sql_over(spark, sf_dir, nodes), sql_over(spark, sf_dir, edges))
 
 
+def document_words(spark: SparkSession, sf_dir: str) -> LabeledDag:
+    """Documents, their distinct lines and the distinct words of these, numbered without a window over all texts.
+
+    Documents are node doc_id * 4; ids of lines and words (remainders 1 and 2) hold for this graph only.
+    """
+    docs = load(spark, sf_dir, "documents")
+    in_doc = docs.select((F.col("doc_id") * 4).alias("doc"), F.explode(F.split("text", "\n")).alias("line")).distinct()
+    in_doc = cut(in_doc)
+    lines = cut(in_doc.select("line").distinct().withColumn("line_id", F.monotonically_increasing_id() * 4 + 1))
+    in_line = cut(lines.select("line_id", F.explode(F.split("line", r"[ \t\r\f\x0b]+")).alias("word")).where("word <> ''").distinct())
+    words = cut(in_line.select("word").distinct().withColumn("word_id", F.monotonically_increasing_id() * 4 + 2))
+    nodes = docs.select((F.col("doc_id") * 4).alias("node_id"), F.lit("doc").alias("label")).distinct()
+    nodes = nodes.unionByName(lines.select(F.col("line_id").alias("node_id"), F.lit("line").alias("label")))
+    nodes = nodes.unionByName(words.select(F.col("word_id").alias("node_id"), F.concat(F.lit("w:"), "word").alias("label")))
+    edges = in_doc.join(lines, "line").select(F.col("doc").alias("parent"), F.col("line_id").alias("child"))
+    return LabeledDag(nodes, edges.unionByName(in_line.join(words, "word").select(F.col("line_id").alias("parent"), F.col("word_id").alias("child"))))
+
+
 def page_tags(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tree.tags(load(spark, sf_dir, "pages").select("page_id", "html"))
 

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from dagquotient import oracles as O
+from dagquotient.functions.lineage import cut
+from dagquotient.operators.maintain import renamed
 from dagquotient.sources import fixtures
 from dagquotient.sources.tables import load, sql_over
 from dagquotient.streaming import events as stream
@@ -66,6 +68,19 @@ def _stream_days(spark: SparkSession, d: str) -> DataFrame:
     return found.select(F.col("window.start").cast("date").alias("day"), "event_type", "n")
 
 
+def _events(spark: SparkSession, d: str) -> DataFrame:
+    return stream.source(spark, f"{d.rstrip('/')}/events*.parquet")
+
+
+def _stream_indexed(spark: SparkSession, d: str) -> DataFrame:
+    """Turns of conversations with the turn after each as its child, from files that a stream reads."""
+    g = fixtures.graph(spark, d, "conversation")
+    told = g.edges.groupBy(F.col("parent").alias("node_id")).agg(F.collect_list("child").alias("children"))
+    arrivals = cut(g.nodes.join(told, "node_id", "left").select("node_id", "label", F.coalesce("children", F.array().cast("array<long>")).alias("children")))
+    folder = arrivals.inputFiles()[0].rsplit("/", 1)[0]
+    return renamed(cut(stream.indexed(spark.readStream.schema(arrivals.schema).parquet(folder))))
+
+
 def _block_ranks(spark: SparkSession, d: str) -> DataFrame:
     sizes = _kinds(spark, d).groupBy("kind", "label").agg(F.count("*").alias("n"))
     w = Window.partitionBy("kind").orderBy(F.desc("n"), "label")
@@ -86,4 +101,7 @@ QUERIES = {
     "session_events": (_sessions, _SESSIONS),
     "stream_tumbling_events": (_stream_days, "SELECT ts::DATE AS day, event_type, count(*) AS n FROM events GROUP BY ALL"),
     "stream_events_ak2": (lambda s, d: stream.traces(stream.source(s, f"{d.rstrip('/')}/events*.parquet"), 2), f"SELECT event_id AS node_id, {_LAGS} AS trace FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)"),
+    "stream_near_edges": (lambda s, d: stream.near_edges(_events(s, d), _events(s, d), ("view", "purchase"), "12 hours"), "SELECT b.event_id AS parent, a.event_id AS child FROM events a JOIN events b USING (user_id) WHERE a.event_type = 'view' AND b.event_type = 'purchase' AND a.ts <= b.ts AND a.ts >= b.ts - INTERVAL '12 hours'"),
+    "stream_edges_once": (lambda s, d: stream.edges_once(_events(s, d).select(F.col("user_id").alias("parent"), F.ascii("event_type").cast("long").alias("child"), "ts")).select("parent", "child"), "SELECT DISTINCT user_id AS parent, ascii(event_type)::BIGINT AS child FROM events"),
+    "stream_indexed_conversation": (_stream_indexed, O.forward(O.ctes("conversation"), 12)),
 }
