@@ -28,7 +28,7 @@ CHAIN, REACH = 2, 6
 
 
 def signatures(text: Column) -> Column:
-    """The sorted distinct hashes of a text's signatures, the first 32 bits of MD5 as eight hexadecimal digits."""
+    """The sorted distinct hashes of a text's signatures, the first 32 bits of MD5 as a number."""
     text = F.coalesce(text, F.lit(""))
 
     def spots(w: Column) -> Column:
@@ -41,12 +41,12 @@ def signatures(text: Column) -> Column:
         return let(found, lambda f: F.when(F.size(f) > 0, f).when(F.size(w) > 1, pairs).otherwise(F.array(F.concat(F.lit("1 "), text))))
 
     found = let(F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda x: x != ""), spots)
-    return F.sort_array(F.array_distinct(F.transform(found, lambda x: F.substring(F.md5(x), 1, 8))))
+    return F.sort_array(F.array_distinct(F.transform(found, lambda x: F.conv(F.substring(F.md5(x), 1, 8), 16, 10).cast("long"))))
 
 
 def as_string(sigs: Column) -> Column:
     """The fingerprint: eight hexadecimal digits a signature, in order."""
-    return F.array_join(sigs, ",")
+    return F.array_join(F.transform(sigs, lambda h: F.lpad(F.lower(F.hex(h)), 8, "0")), ",")
 
 
 def likeness(a: Column, b: Column) -> Column:
