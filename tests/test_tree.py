@@ -73,3 +73,10 @@ def test_io_model():
     assert m.scan(100) == 7 and m.sort(1000) == 63
     assert m.sort(2**20) == 2**16 * 16 // 6 + 1
     assert m.predict("one_index", 2**20) == m.sort(2**20)
+
+
+def test_paths_of_deep_trees_form_no_arrays(spark, monkeypatch):
+    """Two chains of 150 elements, deeper than the SQL of the page trees goes; their paths are told by numbers."""
+    monkeypatch.setattr(tree, "_doubled", lambda *_: pytest.fail("an array for each path"))
+    t = cut(spark.range(300).selectExpr("id AS node_id", "CASE WHEN id % 150 > 0 THEN id - 1 END AS parent", "CAST(id % 150 AS INT) AS depth", "CASE WHEN id % 150 % 3 = 0 THEN 'a' ELSE 'b' END AS label", "id div 150 AS doc_id"))
+    assert blocks(tree.one_index(t, "path")) == {i: i % 150 for i in range(300)}
