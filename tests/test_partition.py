@@ -124,3 +124,12 @@ def test_generators_make_dags(spark):
     g = generate.random_dag(spark, 500)
     assert g.edges.where("child >= parent").isEmpty() and g.nodes.count() == 500
     assert generate.dense_dag(spark, 30, 100).edges.count() == 30 * 29 // 2
+
+
+def test_splitters_in_one_task_and_in_rounds(spark):
+    """More nodes than one Spark round a block was allowed for, and rounds against the one task; null labels are a label."""
+    many = graph.LabeledDag(spark.range(10_400).selectExpr("id AS node_id", "IF(id % 2 = 0, 'a', 'b') AS label"), spark.range(10_400).where("id % 4 > 0").selectExpr("id AS parent", "id - 1 AS child"))
+    assert {r["node_id"]: r["block_id"] for r in refine.by_splitter(many).collect()} == {i: i % 4 for i in range(10_400)}
+    few = graph.LabeledDag(spark.range(12).selectExpr("id AS node_id", "IF(id % 3 = 0, NULL, 'a') AS label"), spark.createDataFrame([(3, 0), (4, 1), (5, 2), (6, 4), (9, 3), (9, 5), (10, 5), (10, 4)], "parent long, child long")).cut()
+    one, rounds = (sorted(map(tuple, refine.by_splitter(few, n).collect())) for n in (refine.FUSE_ROWS, 0))
+    assert one == rounds
