@@ -48,6 +48,23 @@ def test_less_memory_costs_more(spark):
     assert all(r["transfers_per_item"] == r["transfers"] / 19 and r["bytes_written"] > 0 for r in got)
 
 
+def test_shares_of_a_graph_larger_than_a_task(spark, monkeypatch):
+    asked, peel = [], ranks.by_peeling
+    monkeypatch.setattr(ranks, "FUSE_ROWS", 10)
+    monkeypatch.setattr(ranks, "by_peeling", lambda g, fuse_rows: asked.append(fuse_rows) or peel(g, fuse_rows=fuse_rows))
+    assert len(workloads.memory(spark, fixtures.literal(spark, fixtures.TREE), (1.0, 0.5)).table().collect()) == 2
+    assert asked == [10, 5]
+
+
+def test_recursive_ranks_beyond_the_row_limit(spark):
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "8")
+    try:
+        got = rows(ranks.by_recursive_sql(fixtures.literal(spark, fixtures.PAIR_LEFT)).select("node_id", "rank"))
+        assert got == [(1, 2), (2, 1), (3, 1), (4, 0), (5, 0), (9, 2), (10, 1)] and spark.conf.get("spark.sql.cteRecursionRowLimit") == "8"
+    finally:
+        spark.conf.unset("spark.sql.cteRecursionRowLimit")
+
+
 def files(spark, path, *parts, schema):
     for k, part in enumerate(parts):
         spark.createDataFrame(part, schema).coalesce(1).write.parquet(f"{path}/{k}")
@@ -84,3 +101,19 @@ def test_stream_of_nodes(spark, tmp_path):
     first, then = [(1, "x", []), (2, "x", []), (3, "y", [1])], [(4, "y", [2]), (5, "z", [3, 4]), (6, "z", [4])]
     got = renamed(cut(stream.indexed(files(spark, tmp_path / "in", first, then, schema=schema))))
     assert rows(got.select("node_id", "block_id")) == [(1, 1), (2, 1), (3, 3), (4, 3), (5, 5), (6, 5)]
+
+
+def test_generated_graphs_come_from_tables(spark):
+    """Of each, as many rows as the table of SMALL makes, equal to the SQL over it."""
+    import __spark_entry__ as entry
+    import duckdb
+
+    con = duckdb.connect()
+    for t in ("supplier", "part"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SMALL}/{t}.parquet'")
+    for name in ("dense_dag_edges", "random_dag_edges", "random_tree", "example_pair_partition", "example_pair_quotient_edges", "example_tree_forward"):
+        want = con.execute(entry.oracle_sql()[name]).fetchall()
+        got = entry.queries()[name](spark, SMALL)
+        assert rows(got) == sorted(want), name
+        if name == "random_tree":
+            assert len(want) == spark.read.parquet(f"{SMALL}/part.parquet").count()
