@@ -91,7 +91,7 @@ def edited(docs: DataFrame) -> DataFrame:
 
 
 def near(docs: DataFrame, threshold: float = 0.8) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, class_id) of every row, and (a, b, likeness) of all pairs of classes that are alike.
+    """(doc_id, class_id) of every row, and (a, b, likeness) of all pairs of classes that are alike, a < b.
 
     A class is a set of signatures, its id the smallest doc_id that has it.
     """
@@ -113,4 +113,4 @@ def near(docs: DataFrame, threshold: float = 0.8) -> tuple[DataFrame, DataFrame]
     possible = (F.col("na") >= threshold * F.col("nb") - 1e-9) & (reach * (1 + threshold) >= threshold * (F.col("na") + F.col("nb")) - 1e-9)
     pairs = left.join(right, ["s", "span"]).where(apart & possible).select("a", "b").distinct()
     pairs = pairs.join(classes.select(F.col("class_id").alias("a"), F.col("sigs").alias("sa")), "a").join(classes.select(F.col("class_id").alias("b"), F.col("sigs").alias("sb")), "b")
-    return member, pairs.select("a", "b", likeness(F.col("sa"), F.col("sb")).alias("likeness")).where(F.col("likeness") >= threshold)
+    return member, pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), likeness(F.col("sa"), F.col("sb")).alias("likeness")).where(F.col("likeness") >= threshold)
