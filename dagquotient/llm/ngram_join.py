@@ -32,7 +32,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import cut, drop, freed, packed, small, told
+from dagquotient.llm.common import cut, drop, freed, packed, small, told, trimmed
 from dagquotient.llm.components import components
 
 #: Rows of a block, entries that are sorted at once, and n-grams that the sketch of common ones keeps: they come last.
@@ -169,7 +169,7 @@ def _common(docs: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
             yield out()
 
     with freed(docs.sparkSession):
-        found = docs.select("text").mapInArrow(run, "h long, df long").groupBy("h").agg(F.sum("df").alias("df")).orderBy(F.desc("df"), "h").limit(COMMON).toPandas()
+        found = docs.select("text").mapInArrow(trimmed(run), "h long, df long").groupBy("h").agg(F.sum("df").alias("df")).orderBy(F.desc("df"), "h").limit(COMMON).toPandas()
     found = found.sort_values("h")
     return found["h"].to_numpy(np.int64), found["df"].to_numpy(np.int64)
 
@@ -206,7 +206,7 @@ def _fronts(docs: DataFrame, n: int, percent: int) -> DataFrame:
 
     import xxhash
 
-    return docs.select(*_row_keys(), "text").mapInArrow(run, "d long, th long, cid long, n long, low long, high long, front array<long>")
+    return docs.select(*_row_keys(), "text").mapInArrow(trimmed(run), "d long, th long, cid long, n long, low long, high long, front array<long>")
 
 
 def _sets_of(texts: DataFrame, n: int) -> DataFrame:
@@ -217,7 +217,7 @@ def _sets_of(texts: DataFrame, n: int) -> DataFrame:
             values, at = sets(batch.column("text"), n)
             yield pa.RecordBatch.from_arrays([batch.column("cid"), pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(values))], ["cid", "s"])
 
-    return texts.select("cid", "text").mapInArrow(run, "cid long, s array<long>")
+    return texts.select("cid", "text").mapInArrow(trimmed(run), "cid long, s array<long>")
 
 
 def overlaps(which: np.ndarray, values: np.ndarray, rows: int) -> np.ndarray:
