@@ -1,3 +1,5 @@
+import pytest
+
 from dagquotient.operators import partition, ranks
 from dagquotient.sources import fixtures
 from tests import brute
@@ -52,3 +54,29 @@ def test_partition_of_a_dense_graph(spark):
     want, _ = brute.forward(nodes, edges)
     assert blocks(partition.certified(g, ranks.by_peeling(g, fuse_rows=len(edges)))) == want
     assert blocks(partition.certified(g, ranks.by_peeling(g, 3, fuse_rows=len(edges)))) == want
+
+
+def test_supersteps_of_a_deep_graph_take_few_rounds(spark, monkeypatch):
+    """All pairs of 150 nodes: as many ranks as nodes, in a few steps of bounded tasks."""
+    g = build(spark, [(7 + 10**6 * i, "a") for i in range(150)], [(7 + 10**6 * a, 7 + 10**6 * b) for a in range(150) for b in range(a)]).cut()
+    tables, cut = [], ranks.cut
+    monkeypatch.setattr(ranks, "cut", lambda df: tables.append(1) or cut(df))
+    assert [r[1] for r in rows(ranks.by_supersteps(g, step_rows=2000))] == list(range(150))
+    assert len(tables) <= 20
+
+
+def test_supersteps_agree_with_peeling(spark):
+    nodes, edges = brute.random_graph(3, n=80, labels=2, degree=3)
+    g = build(spark, nodes, edges).cut()
+    want = [(r[0], r[1]) for r in rows(ranks.by_peeling(g))]
+    for thin, held in ((0, 0), (5, 40), (1000, 60), (1000, 10**6)):
+        assert rows(ranks.by_supersteps(g, thin, held)) == want
+    empty = build(spark, nodes, edges)
+    assert ranks.by_supersteps(type(g)(empty.nodes.limit(0), empty.edges.limit(0))).count() == 0
+
+
+def test_supersteps_tell_cycles(spark):
+    g = build(spark, [(i, "a") for i in range(8)], [(0, 1), (1, 0), (2, 1), (4, 3), (5, 4), (6, 5), (7, 6)]).cut()
+    for thin in (0, 1000):
+        with pytest.raises(ranks.CyclicGraph):
+            ranks.by_supersteps(g, thin)
