@@ -1,13 +1,14 @@
-"""Suffix-array dedup: passages of ``length`` bytes or more that occur elsewhere, by longest-previous-factor arrays.
+"""Suffix-array dedup: passages of ``length`` bytes or more that occur elsewhere, by earlier and later factors as long.
 
 Suffixes of a whole corpus are not sorted at once. Every window of ``length`` bytes has an anchor, the least of the
 hashes of its short byte strings; equal windows have equal anchors at equal offsets. So
 
 * each document is cut into contexts, the runs of windows with one anchor (about one in 85 bytes begins one);
 * contexts whose anchor occurs once hold nothing repeated; equal contexts collapse into one and a count;
-* what is left, different contexts of one anchor, is dealt to tasks by anchor. There suffix arrays are built over
-  blocks of contexts in corpus order, previous and next smaller positions in suffix order give the longest earlier
-  match of every suffix, the same against the order gives the longest later one;
+* what is left, different contexts of one anchor, is dealt to tasks by anchor. There suffixes of blocks of contexts in
+  corpus order are sorted by doubled prefixes; in suffix order those alike for ``length`` bytes follow each other, and all but
+  the earliest of them have an earlier factor of that length, all but the latest a later one;
+* texts are dealt out only where a bitmap of the documents that are asked for may hold them;
 * an anchor with more contexts than a block should hold has its windows compared by 128-bit hashes, which deals them
   out evenly.
 
@@ -27,15 +28,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import cut, drop, small
+from dagquotient.llm.common import among, cut, drop, sieve, small, told
 
 #: Bytes of the strings whose hashes make anchors, bytes of a block of contexts, contexts of an anchor that a
 #: block may hold, and windows of a piece of a context.
 GRAM, BLOCK, CROWD, RUN = 32, 1 << 20, 3000, 8
 #: Bytes from which a text is searched in pieces, and bytes that the windows of a piece begin in.
 GIANT, PIECE = 1 << 27, 1 << 26
-#: Contexts that are handed out with the texts as a broadcast; they have about a hundred bytes each.
-WANTED_ROWS = 200_000
 _NO_ID = -(2**63)
 _MIX = np.random.default_rng(20240229).integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
 _PLACE = 28  # bits of a position; the rest of a key is hash
@@ -202,6 +201,21 @@ def longest_factors(text: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarra
     return out[0], out[1]
 
 
+def long_factors(text: np.ndarray, at: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each of the ascending places ``at``, at which ``length`` symbols begin: do the same begin at an earlier one, and at a later one?
+
+    That is whether what ``longest_factors`` gives reaches ``length``. Ranks by at least half as many symbols, here and at the
+    end, tell suffixes apart as far as that.
+    """
+    k, rank = suffix_ranks(text, -(-length // 2))[-1]
+    key = rank[at] * (len(text) + 1) + rank[at + length - k]
+    order = np.argsort(key, kind="stable")
+    same = key[order][1:] == key[order][:-1]
+    before, after = np.zeros(len(at), bool), np.zeros(len(at), bool)
+    before[order[1:]], after[order[:-1]] = same, same
+    return before, after
+
+
 def _runs(flags: np.ndarray) -> tuple[list[int], list[int]]:
     """Starts and ends (exclusive) of the runs of true."""
     edge = np.flatnonzero(np.diff(np.concatenate([[False], flags, [False]]).astype(np.int8)))
@@ -216,9 +230,12 @@ def _match(length: int, every: bool):
         joined = np.frombuffer(b"\0".join(r["bytes"] for r in rows) + b"\0", np.uint8).astype(np.int16) + 1
         ends = np.cumsum([len(r["bytes"]) + 1 for r in rows])
         joined[ends - 1] = 0
-        before, after = longest_factors(joined, length)
-        match = (before >= length) | ((after >= length) if every else False)
-        out = [_runs(match[e - len(r["bytes"]) - 1 :][: r["n"]]) for r, e in zip(rows, ends.tolist(), strict=True)]
+        n = np.array([r["n"] for r in rows])
+        last = np.cumsum(n)
+        first = ends - np.array([len(r["bytes"]) for r in rows]) - 1
+        before, after = long_factors(joined, np.arange(last[-1]) + np.repeat(first - (last - n), n), length)
+        match = before | after if every else before
+        out = [_runs(match[e - k : e]) for k, e in zip(n.tolist(), last.tolist(), strict=True)]
         return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in ("h", "c1", "c2")] + [pa.array([x[k] for x in out], pa.list_(pa.int32())) for k in (0, 1)], ["h", "c1", "c2", "starts", "ends"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -331,22 +348,28 @@ def _keyed(docs: DataFrame) -> DataFrame:
 
 def repeats(docs: DataFrame, length: int = 200, first: str = "goes") -> DataFrame:
     """d, th, s, e: byte ranges of documents that are covered by repeated strings (they may overlap)."""
+    return _repeats(docs, length, first)[0]
+
+
+def _repeats(docs: DataFrame, length: int, first: str) -> tuple[DataFrame, list[DataFrame]]:
+    """What ``repeats`` gives, and the tables that it is read from."""
     if length < 2 * GRAM:
         raise ValueError(f"length must be {2 * GRAM} or more")
     every = first == "goes"
     keyed = _keyed(docs)
     every_one = cut(keyed.select("d", "th", "raw").where(F.octet_length("raw") >= length).mapInArrow(_find(length), "h long, c1 long, c2 long, d long, th long, s int, n int, o int"))
     shared = cut(every_one.groupBy("h").agg(F.count("*").alias("times")).where("times > 1").select("h"))
-    found = cut(every_one.join(small(shared, shared.count()), "h"))
+    found = cut(among(every_one, shared, told(shared), "h"))
     drop(every_one, shared)
     key = ["h", "c1", "c2"]
     kinds = cut(found.groupBy(*key).agg(F.count("*").alias("times"), F.min(F.struct("d", "th", "s")).alias("at"), F.first("n").alias("n"), F.first("o").alias("o")))
     anchors = cut(kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("times").alias("least")).where((F.col("kinds") > 1) & ((F.col("least") < 2) | F.lit(not every))).select("h"))
-    open_ = kinds.join(small(anchors, anchors.count()), "h")
+    open_ = among(kinds, anchors, told(anchors), "h")
     open_ = cut(open_.select(*key, "at.d", "at.th", "at.s", "n", "o", (F.col("n") + (length - 1)).alias("size"), F.lit(-(-(length - GRAM) // 2)).alias("side")))
     wanted = open_.groupBy("d", "th").agg(F.collect_list(F.struct(*key, "d", "th", "s", "n", "o", "size", "side")).alias("wanted"))
-    n_open = open_.count()
-    texts = keyed.select("d", "th", "raw").join(small(wanted, n_open, WANTED_ROWS), ["d", "th"]).mapInArrow(_cut_out, "h long, c1 long, c2 long, d long, th long, left long, right long, s int, n int, o int, bytes binary")
+    n_open = told(open_)
+    asked = sieve(open_, n_open, "d", "th")(keyed.select("d", "th", "raw")).where("may").drop("may")
+    texts = asked.join(wanted, ["d", "th"]).mapInArrow(_cut_out, "h long, c1 long, c2 long, d long, th long, left long, right long, s int, n int, o int, bytes binary")
     texts = cut(texts)
     if texts.count() > n_open:  # repeated rows give the bytes of a context several times: one row of them is enough
         texts = texts.dropDuplicates([*key])
@@ -361,14 +384,15 @@ def repeats(docs: DataFrame, length: int = 200, first: str = "goes") -> DataFram
     solved = cut(solved)
     drop(texts, crowds)
     parts = solved.select(*key, F.explode(F.arrays_zip("starts", "ends")).alias("x")).select(*key, F.col("x.starts").alias("a"), F.col("x.ends").alias("b"))
-    inside = found.select(*key, "d", "th", "s").join(cut(parts), key)
+    parts = cut(parts)
+    inside = found.select(*key, "d", "th", "s").join(parts, key)
     if not every:
         earliest = kinds.select(*key, "at")
         inside = inside.join(earliest, key).where(F.struct("d", "th", "s") == F.col("at"))
     inside = inside.select("d", "th", (F.col("s") + F.col("a")).alias("s"), (F.col("s") + F.col("b") + (length - 1)).alias("e"))
     whole = cut(kinds.where("times > 1").select(*key, "at"))
     copies = found.join(whole, key).where(F.lit(every) | (F.struct("d", "th", "s") != F.col("at")))
-    return inside.union(copies.select("d", "th", "s", (F.col("s") + F.col("n") + (length - 1)).alias("e")))
+    return inside.union(copies.select("d", "th", "s", (F.col("s") + F.col("n") + (length - 1)).alias("e"))), [found, kinds, solved, parts, whole]
 
 
 def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -393,7 +417,10 @@ def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def dedup(docs: DataFrame, length: int = 200, first: str = "goes") -> DataFrame:
     """doc_id, n_bytes, starts, ends (of the removed runs), kept (the remaining bytes), a row for each row of ``docs``."""
-    found = repeats(docs, length, first)
-    ranges = found.groupBy("d", "th").agg(F.collect_set(F.struct("s", "e")).alias("ranges"))
-    rows = _keyed(docs).join(ranges, ["d", "th"], "left").select("doc_id", "raw", "ranges")
+    found, tables = _repeats(docs, length, first)
+    ranges = cut(found.groupBy("d", "th").agg(F.collect_set(F.struct("s", "e")).alias("ranges")))
+    drop(*tables)
+    marked = sieve(ranges, told(ranges), "d", "th")(_keyed(docs))
+    rows = marked.where("may").join(ranges, ["d", "th"], "left").select("doc_id", "raw", "ranges")
+    rows = rows.union(marked.where("NOT may").select("doc_id", "raw", F.lit(None).cast(ranges.schema["ranges"].dataType).alias("ranges")))
     return rows.mapInArrow(_remove, "doc_id long, n_bytes long, starts array<int>, ends array<int>, kept binary")
