@@ -32,7 +32,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import cut, drop, freed, packed, small, told, trimmed
+from dagquotient.llm.common import among, cut, drop, freed, packed, small, told, trimmed
 from dagquotient.llm.components import components
 
 #: Rows of a block, entries that are sorted at once, and n-grams that the sketch of common ones keeps: they come last.
@@ -360,10 +360,10 @@ def _met(blocks: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent
     asked = cut(blocks.select("cid").distinct())
     n_asked = told(asked)
     who = classes.join(small(asked, n_asked), "cid", "left_semi").select("cid", "d", "th")
-    sets_of = cut(_sets_of(docs.select(*_row_keys(), "text").join(small(who, n_asked), ["d", "th"]), n))
+    sets_of = cut(_sets_of(among(docs.select(*_row_keys(), "text"), who, n_asked, "d", "th"), n))
     if told(sets_of) > n_asked:  # rows alike in id and text
         sets_of = sets_of.dropDuplicates(["cid"])
-    out = cut(blocks.join(sets_of, "cid").groupBy("g", "i", "j").applyInArrow(_links(percent), "a long, b long"))
+    out = cut(sets_of.join(small(blocks, told(blocks)), "cid").groupBy("g", "i", "j").applyInArrow(_links(percent), "a long, b long"))
     drop(blocks, asked, sets_of)
     return out
 
@@ -393,14 +393,18 @@ def _rooted(df: DataFrame, roots: DataFrame, n_roots: int, of: str, name: str) -
 
 def _candidates(rows: DataFrame, classes: DataFrame, roots: DataFrame, n_roots: int, percent: int) -> DataFrame:
     """a, b: what connects classes that ``roots`` does not connect and that may be linked, as far as fronts tell."""
-    postings = rows.where("n > 0").select("cid", "n", F.explode("front").alias("h"))
-    shared = cut(postings.groupBy("h").agg(F.min("cid").alias("least"), F.max("cid").alias("most")).where("least <> most").select("h"))
-    held = cut(postings.join(small(shared, told(shared)), "h").dropDuplicates(["h", "cid"]))
+    one = rows.join(small(classes.select("cid", "d", "th"), told(classes)), ["cid", "d", "th"]).select("cid", "n", "front")
+    rooted = _rooted(one, roots, n_roots, "cid", "root")
+    told_of = rooted.select("cid", "n", "root", F.explode("front").alias("h"))
+    # only n-grams of classes that are not connected make lists: most that copies share are told apart here
+    shared = cut(told_of.groupBy("h").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("h"))
+    postings = among(told_of, shared, told(shared), "h")
+    if one.select("cid").count() > told(classes):  # rows alike in id and text
+        postings = postings.dropDuplicates(["h", "cid"])
+    postings = cut(postings)
     drop(shared)
-    postings = cut(_rooted(held, roots, n_roots, "cid", "root"))
-    drop(held)
     mixed = F.xxhash64("cid")
-    lists = cut(postings.groupBy("h").agg(F.count("*").alias("m"), F.min("root").alias("r0"), F.max("root").alias("r1"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y")).where("r0 <> r1"), brief=F.count_if(F.col("m") <= SHORT))
+    lists = cut(postings.groupBy("h").agg(F.count("*").alias("m"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y")), brief=F.count_if(F.col("m") <= SHORT))
     brief = lists.where(F.col("m") <= SHORT).select("h")
     pairs = cut(_pairs(postings.join(small(brief, told(lists, "brief")), "h", "left_semi"), percent))
     # longer lists, one of each membership
@@ -412,12 +416,15 @@ def _candidates(rows: DataFrame, classes: DataFrame, roots: DataFrame, n_roots:
         return pairs
     members = cut(postings.join(small(long_, n_long), "h").select(F.col("h").alias("g"), "cid", "n", "root"))
     drop(postings, long_)
-    fronts = rows.join(classes.select("cid", "d", "th"), ["cid", "d", "th"]).select("cid", F.transform("front", lambda x: x.bitwiseAND(F.lit(2**31 - 1)).cast("int")).alias("front")).dropDuplicates(["cid"])
-    fronts = cut(fronts.join(members.select("cid").distinct(), "cid", "left_semi"))
-    met = _blocks(members, _sql_front(F.col("n"), percent)).join(fronts, "cid")
-    found = cut(met.groupBy("g", "i", "j").applyInArrow(_alike(percent), "a long, b long"))
+    asked = cut(members.select("cid").distinct())
+    who = cut(classes.select("cid", "d", "th").join(small(asked, told(asked)), "cid", "left_semi"))
+    fronts = rows.join(small(who, told(who)), ["cid", "d", "th"]).select("cid", F.transform("front", lambda x: x.bitwiseAND(F.lit(2**31 - 1)).cast("int")).alias("front"))
+    fronts = cut(fronts.dropDuplicates(["cid"]))
+    drop(asked, who)
+    met = cut(_blocks(members, _sql_front(F.col("n"), percent)))
+    found = cut(fronts.join(small(met, told(met)), "cid").groupBy("g", "i", "j").applyInArrow(_alike(percent), "a long, b long"))
     out = cut(pairs.union(found).distinct())
-    drop(pairs, found, members, fronts)
+    drop(pairs, found, members, fronts, met)
     return out
 
 

@@ -1,7 +1,7 @@
 import numpy as np
 from pyspark.sql import functions as F
 
-from dagquotient.llm import common, suffix
+from dagquotient.llm import common, ngram_join, suffix
 
 
 def test_long_factors():
@@ -52,3 +52,17 @@ def test_contexts_beyond_a_broadcast(spark, monkeypatch):
     texts[3] = texts[20][:250] + texts[3][:250] + texts[11][100:350]
     out = suffix.dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), 200)
     assert {x["doc_id"]: 0 if (n := x["n_bytes"] - len(x["kept"])) < 250 else n for x in out.collect() if x["n_bytes"] > len(x["kept"])} == {3: 500, 11: 250, 20: 250}
+
+
+def test_ngrams_of_connected_classes_make_no_postings(spark, monkeypatch):
+    """What only connected classes have in front is dropped before lists are made; what others share stays."""
+    r = np.random.default_rng(7)
+    words = [f"w{k}" for k in range(400)]
+    rows = [(1, " ".join(words)), (2, " ".join(["x", *words[1:]])), (3, " ".join(r.permutation(words))), (4, " ".join(words)), (4, " ".join(words))]
+    tables, cut = [], ngram_join.cut
+    monkeypatch.setattr(ngram_join, "cut", lambda df, **sums: tables.append(cut(df, **sums)) or tables[-1])
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {(x["doc_id"], x["component_id"]) for x in ngram_join.join(docs, 3, 90).collect()}
+    assert got == {(1, 1), (2, 1), (3, 3), (4, 1)}
+    shared = [common.told(t) for t in tables if t.columns == ["h"]]
+    assert shared and max(shared) < 5
