@@ -32,11 +32,13 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from dagquotient.llm.common import among, cut, drop, freed, packed, small, told, trimmed
+from dagquotient.llm.common import among, cut, drop, freed, packed, sieve, small, told, trimmed, without
 from dagquotient.llm.components import components
 
 #: Rows of a block, entries that are sorted at once, and n-grams that the sketch of common ones keeps: they come last.
 BLOCK_ROWS, BLOCK_ENTRIES, COMMON = 256, 2_000_000, 100_000
+#: Rows of a table up to which the driver builds it for a broadcast: it holds several at once.
+MOST = 200_000
 #: Classes of a list whose pairs are accumulated one by one.
 SHORT = 16
 #: Bytes that are hashed together.
@@ -139,6 +141,10 @@ def _batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             start = stop
 
 
+def _small(df: DataFrame, rows: int) -> DataFrame:
+    return small(df, rows, MOST)
+
+
 def _least(size):
     """k: n-grams that two sets must share in front; ``size`` is that of the smaller one."""
     return 1 + size // 100
@@ -348,7 +354,7 @@ def _blocks(members: DataFrame, entries: Column) -> DataFrame:
     main = per_root.groupBy("g").agg(F.max(F.struct("c", "e", "root")).alias("x"), F.sum("c").alias("m"), F.sum("e").alias("all"))
     parts = lambda rows, size: F.greatest(F.ceil(rows / BLOCK_ROWS), F.ceil(size / BLOCK_ENTRIES)).cast("long")
     main = cut(main.where("m > x.c").select("g", F.col("x.root").alias("main"), parts(F.col("m"), F.col("all")).alias("blocks"), parts(F.col("m") - F.col("x.c"), F.col("all") - F.col("x.e")).alias("parts")))
-    both = members.join(small(main, told(main)), "g")
+    both = members.join(_small(main, told(main)), "g")
     own = both.select("g", F.pmod(F.xxhash64("cid", "g"), "blocks").alias("i"), F.explode(F.expr("sequence(0L, parts - 1)")).alias("j"), "cid", "n", "root")
     visits = both.where("root <> main").select("g", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("i"), F.pmod(F.xxhash64("g", "cid"), "parts").alias("j"), "cid", "n", "root")
     return own.union(visits).distinct()
@@ -359,11 +365,11 @@ def _met(blocks: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent
     blocks = cut(blocks)
     asked = cut(blocks.select("cid").distinct())
     n_asked = told(asked)
-    who = classes.join(small(asked, n_asked), "cid", "left_semi").select("cid", "d", "th")
-    sets_of = cut(_sets_of(among(docs.select(*_row_keys(), "text"), who, n_asked, "d", "th"), n))
+    who = classes.join(_small(asked, n_asked), "cid", "left_semi").select("cid", "d", "th")
+    sets_of = cut(_sets_of(among(docs.select(*_row_keys(), "text"), who, n_asked, "d", "th", most=MOST), n))
     if told(sets_of) > n_asked:  # rows alike in id and text
         sets_of = sets_of.dropDuplicates(["cid"])
-    out = cut(sets_of.join(small(blocks, told(blocks)), "cid").groupBy("g", "i", "j").applyInArrow(_links(percent), "a long, b long"))
+    out = cut(sets_of.join(_small(blocks, told(blocks)), "cid").groupBy("g", "i", "j").applyInArrow(_links(percent), "a long, b long"))
     drop(blocks, asked, sets_of)
     return out
 
@@ -378,7 +384,7 @@ def _by_keys(classes: DataFrame) -> DataFrame:
     for key in ("low", "high"):
         groups = classes.groupBy(F.col(key).alias("g")).agg(F.min(F.struct("cid", "n")).alias("first"), F.count("*").alias("m"), F.sum("n").alias("e")).where("m > 1")
         groups = cut(groups.select("g", F.col("first.cid").alias("cid"), F.col("first.n").alias("n"), F.greatest(F.ceil(F.col("m") / BLOCK_ROWS), F.ceil(F.col("e") / BLOCK_ENTRIES)).cast("long").alias("blocks")))
-        each = classes.join(small(groups.select(F.col("g").alias(key), "blocks"), told(groups)), key).select(F.col(key).alias("g"), F.pmod(F.xxhash64("cid"), "blocks").alias("i"), "cid", "n")
+        each = classes.join(_small(groups.select(F.col("g").alias(key), "blocks"), told(groups)), key).select(F.col(key).alias("g"), F.pmod(F.xxhash64("cid"), "blocks").alias("i"), "cid", "n")
         first = groups.where("blocks > 1").select("g", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("i"), "cid", "n")
         rows = each.union(first).distinct().withColumns({"j": F.lit(0 if key == "low" else 1).cast("long"), "root": F.col("cid")})
         out = rows if out is None else out.unionByName(rows)
@@ -388,41 +394,44 @@ def _by_keys(classes: DataFrame) -> DataFrame:
 def _rooted(df: DataFrame, roots: DataFrame, n_roots: int, of: str, name: str) -> DataFrame:
     """``df`` with the root of the class in ``of``, the class itself where it has no links."""
     roots = roots.select(F.col("node").alias(of), F.col("root").alias("_root"))
-    return df.join(small(roots, n_roots), of, "left").withColumn(name, F.coalesce("_root", of)).drop("_root")
+    return df.join(_small(roots, n_roots), of, "left").withColumn(name, F.coalesce("_root", of)).drop("_root")
 
 
 def _candidates(rows: DataFrame, classes: DataFrame, roots: DataFrame, n_roots: int, percent: int) -> DataFrame:
     """a, b: what connects classes that ``roots`` does not connect and that may be linked, as far as fronts tell."""
-    one = rows.join(small(classes.select("cid", "d", "th"), told(classes)), ["cid", "d", "th"]).select("cid", "n", "front")
+    # of the classes of several rows the row that stands for each; only those are told to all tasks
+    several = cut(classes.where("m > 1").select("cid", F.col("d").alias("_d"), F.col("th").alias("_th")))
+    one = rows.where("n > 0").join(_small(several, told(several)), "cid", "left").where("_d IS NULL OR _d = d AND _th = th").select("cid", "n", "front")
     rooted = _rooted(one, roots, n_roots, "cid", "root")
     told_of = rooted.select("cid", "n", "root", F.explode("front").alias("h"))
     # only n-grams of classes that are not connected make lists: most that copies share are told apart here
     shared = cut(told_of.groupBy("h").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("h"))
-    postings = among(told_of, shared, told(shared), "h")
+    # and a few others, of which nothing follows: a bitmap in place of the n-grams themselves goes to the driver
+    postings = sieve(shared, told(shared), "h")(told_of).where("may").drop("may")
     if one.select("cid").count() > told(classes):  # rows alike in id and text
         postings = postings.dropDuplicates(["h", "cid"])
     postings = cut(postings)
-    drop(shared)
+    drop(shared, several)
     mixed = F.xxhash64("cid")
-    lists = cut(postings.groupBy("h").agg(F.count("*").alias("m"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y")), brief=F.count_if(F.col("m") <= SHORT))
-    brief = lists.where(F.col("m") <= SHORT).select("h")
-    pairs = cut(_pairs(postings.join(small(brief, told(lists, "brief")), "h", "left_semi"), percent))
+    lists = postings.groupBy("h").agg(F.count("*").alias("m"), F.bit_xor(mixed).alias("x"), F.sum(F.shiftright(mixed, 24)).alias("y"), (F.min("root") != F.max("root")).alias("apart"))
+    lists = cut(lists.where(F.col("m") > SHORT))
+    pairs = cut(_pairs(postings.join(_small(lists.select("h"), told(lists)), "h", "left_anti"), percent))
     # longer lists, one of each membership
-    long_ = cut(lists.where(F.col("m") > SHORT).groupBy("m", "x", "y").agg(F.min("h").alias("h")).select("h"))
+    long_ = cut(lists.where("apart").groupBy("m", "x", "y").agg(F.min("h").alias("h")).select("h"))
     drop(lists)
     n_long = told(long_)
     if not n_long:
         drop(postings, long_)
         return pairs
-    members = cut(postings.join(small(long_, n_long), "h").select(F.col("h").alias("g"), "cid", "n", "root"))
+    members = cut(postings.join(_small(long_, n_long), "h").select(F.col("h").alias("g"), "cid", "n", "root"))
     drop(postings, long_)
     asked = cut(members.select("cid").distinct())
-    who = cut(classes.select("cid", "d", "th").join(small(asked, told(asked)), "cid", "left_semi"))
-    fronts = rows.join(small(who, told(who)), ["cid", "d", "th"]).select("cid", F.transform("front", lambda x: x.bitwiseAND(F.lit(2**31 - 1)).cast("int")).alias("front"))
+    who = cut(classes.select("cid", "d", "th").join(_small(asked, told(asked)), "cid", "left_semi"))
+    fronts = rows.join(_small(who, told(who)), ["cid", "d", "th"]).select("cid", F.transform("front", lambda x: x.bitwiseAND(F.lit(2**31 - 1)).cast("int")).alias("front"))
     fronts = cut(fronts.dropDuplicates(["cid"]))
     drop(asked, who)
     met = cut(_blocks(members, _sql_front(F.col("n"), percent)))
-    found = cut(fronts.join(small(met, told(met)), "cid").groupBy("g", "i", "j").applyInArrow(_alike(percent), "a long, b long"))
+    found = cut(fronts.join(_small(met, told(met)), "cid").groupBy("g", "i", "j").applyInArrow(_alike(percent), "a long, b long"))
     out = cut(pairs.union(found).distinct())
     drop(pairs, found, members, fronts, met)
     return out
@@ -433,8 +442,9 @@ def _sql_front(size: Column, percent: int) -> Column:
 
 
 def _class_roots(rows: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
-    """cid, root of every class that has n-grams: what is connected has one root; ``rows``: what ``_fronts`` gives."""
-    classes = cut(rows.where("n > 0").groupBy("cid").agg(F.min(F.struct("d", "th")).alias("x"), *[F.first(c).alias(c) for c in ("n", "low", "high")]).select("cid", "x.d", "x.th", "n", "low", "high"))
+    """node, root of every class that has links: what is connected has one root; ``rows``: what ``_fronts`` gives."""
+    classes = rows.where("n > 0").groupBy("cid").agg(F.min(F.struct("d", "th")).alias("x"), F.count("*").alias("m"), *[F.first(c).alias(c) for c in ("n", "low", "high")])
+    classes = cut(classes.select("cid", "x.d", "x.th", "m", "n", "low", "high"))
     links = _met(_by_keys(classes), classes, docs, n, percent)
     roots = cut(components(links))
     n_roots = told(roots)
@@ -448,7 +458,8 @@ def _class_roots(rows: DataFrame, docs: DataFrame, n: int, percent: int) -> Data
     # roots of roots: links that were found last connect what the first ones did
     ends = _rooted(_rooted(more, roots, n_roots, "a", "ra"), roots, n_roots, "b", "rb").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
     last = cut(components(ends))
-    out = cut(_rooted(classes.select("cid"), roots, n_roots, "cid", "first").join(last.select(F.col("node").alias("first"), F.col("root").alias("_last")), "first", "left").select("cid", F.coalesce("_last", "first").alias("root")))
+    firsts = roots.select("node", F.col("root").alias("first")).union(last.select("node", F.col("node").alias("first"))).distinct()
+    out = cut(_rooted(firsts, last, told(last), "first", "root").select("node", "root"))
     drop(classes, links, roots, open_, groups, members, more, last)
     return out
 
@@ -468,14 +479,14 @@ def _joined(docs: DataFrame, n: int, percent: int) -> DataFrame:
     docs = docs.select("doc_id", "text")
     rows = cut(_fronts(docs, n, percent))
     found = _class_roots(rows, docs, n, percent)
-    n_root = told(found)
-    root = found.select(F.col("cid").alias("node"), "root")
     slim = cut(rows.select("d", "th", "cid", "n"))
     drop(rows)
-    names = _rooted(slim.where("n > 0"), root, n_root, "cid", "root").groupBy("root").agg(F.min(F.when(F.col("d") != _NO_ID, F.col("d"))).alias("component_id"))
-    names = cut(names)
-    out = _rooted(slim, root, n_root, "cid", "root").withColumn("root", F.when(F.col("n") > 0, F.col("root"))).join(small(names, told(names)), "root", "left")
-    return out.select(F.when(F.col("d") != _NO_ID, F.col("d")).alias("doc_id"), "th", F.col("n").alias("n_shingles"), "root", "component_id")
+    own = F.when(F.col("d") != _NO_ID, F.col("d"))
+    rooted = _rooted(slim, found, told(found), "cid", "root").withColumn("root", F.when(F.col("n") > 0, F.col("root")))
+    # a component of one row has its name from there
+    names = cut(rooted.where("n > 0").groupBy("root").agg(F.min(own).alias("name"), F.count("*").alias("m")).where("m > 1").select("root", "name"))
+    out = rooted.join(_small(names, told(names)), "root", "left")
+    return out.select(own.alias("doc_id"), "th", F.col("n").alias("n_shingles"), "root", F.when(F.col("n") > 0, F.coalesce("name", own)).alias("component_id"))
 
 
 def dedup(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
@@ -484,12 +495,15 @@ def dedup(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
     Where several texts of a component have that id, the one of the least hash stays. An id stays more than once if its
     texts are no near copies of each other.
     """
-    first = cut(_joined(docs, n, percent).where("n_shingles = 0 AND doc_id IS NOT NULL OR doc_id = component_id").select("doc_id", "th", "root"))
-    linked = first.where("root IS NOT NULL").groupBy("root", "doc_id").agg(F.min("th").alias("th"))
-    keep = cut(linked.select("doc_id", "th").union(first.where("root IS NULL").select("doc_id", "th").distinct()))
-    n_keep = told(keep)
-    kept = packed(docs, F.col("doc_id").alias("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"))
-    kept = kept.join(small(keep, n_keep), ["doc_id", "th"], "left_semi")
-    if told(first) > n_keep:  # ids that several rows have
+    rows = cut(_joined(docs, n, percent).where("doc_id IS NOT NULL").select("doc_id", "th", "root", (F.col("n_shingles") > 0).alias("some"), "component_id"))
+    first = cut(rows.where("NOT some OR doc_id = component_id").groupBy("root", "doc_id", "th").agg(F.count("*").alias("m")), repeated=F.count_if(F.col("m") > 1))
+    several = first.where("root IS NOT NULL").groupBy("root", "doc_id").agg(F.min("th").alias("least"), F.count("*").alias("m")).where("m > 1").select("root", "doc_id", "least")
+    several = cut(several)
+    others = first.join(_small(several, told(several)), ["root", "doc_id"]).where("th <> least").select("doc_id", "th")
+    gone = cut(rows.where("some AND doc_id <> component_id").select("doc_id", "th").union(others).distinct())
+    kept = packed(docs.where("doc_id IS NOT NULL"), F.col("doc_id").alias("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"))
+    kept = without(kept, gone, told(gone), "doc_id", "th", most=MOST)
+    if told(first, "repeated"):  # ids that several rows have
         kept = kept.dropDuplicates(["doc_id", "th"])
+    drop(rows, first, several)
     return kept.select("row.*").unionByName(docs.where("doc_id IS NULL"))
